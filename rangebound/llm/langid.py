@@ -29,12 +29,13 @@ _LUTS: dict[str, np.ndarray] = {}
 @dataclass(frozen=True)
 class LangConfig:
     """orders: n-gram lengths; buckets: hash buckets (a power of two); alpha: additive smoothing;
-    per_lang: most training documents of a language."""
+    per_lang: most training documents of a language; most_langs: languages learned, by number of rows."""
 
     orders: tuple[int, ...] = (1, 2, 3)
     buckets: int = 1 << 15
     alpha: float = 0.1
     per_lang: int = 5000
+    most_langs: int = 256
 
 
 def _luts() -> tuple[np.ndarray, np.ndarray]:
@@ -128,9 +129,10 @@ class LangModel:
 def fit(train: DataFrame, cfg: LangConfig = LangConfig(), text: str = "text", lang: str = "lang", key: str = "doc_id") -> LangModel:
     """Learns from rows with a text and a language; at most about cfg.per_lang of each language."""
     rows = train.select(F.col(key).alias("k"), F.col(text).alias("text"), F.col(lang).alias("lang")).where("lang is not null and text is not null")
-    sizes = rows.groupBy("lang").count()
+    sizes = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(cfg.most_langs).collect()
     u = F.pmod(F.xxhash64("k"), F.lit(1_000_000)) / 1_000_000
-    picked = rows.join(sizes, "lang").where(u < F.lit(cfg.per_lang) / F.col("count")).select("lang", "text")
+    share = F.create_map(*[F.lit(x) for r in sizes for x in (r["lang"], cfg.per_lang / r["count"])]) if sizes else F.create_map().cast("map<string,double>")
+    picked = rows.where(u < share[F.col("lang")]).select("lang", "text")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         acc: dict[str, np.ndarray] = {}

@@ -7,10 +7,12 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .langid import op4_language_id
+from .quality_cnn import op8_quality
 from .toxicity import op1_toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_toxicity": op1_toxicity,
     "op4_language_id": op4_language_id,
+    "op8_quality": op8_quality,
 }
 ORACLES: dict[str, str] = {}

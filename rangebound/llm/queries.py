@@ -8,10 +8,12 @@ from pyspark.sql import DataFrame, SparkSession
 
 from .langid import op4_language_id
 from .quality_cnn import op8_quality
+from .quality_rules import op2_quality_rules
 from .toxicity import op1_toxicity
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_toxicity": op1_toxicity,
+    "op2_quality_rules": op2_quality_rules,
     "op4_language_id": op4_language_id,
     "op8_quality": op8_quality,
 }

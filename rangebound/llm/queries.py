@@ -6,6 +6,7 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+from .decontaminate import op9_decontaminate
 from .jaccard_join import op10_jaccard_join
 from .langid import op4_language_id
 from .quality_cnn import op8_quality
@@ -17,6 +18,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_quality_rules": op2_quality_rules,
     "op4_language_id": op4_language_id,
     "op8_quality": op8_quality,
+    "op9_decontaminate": op9_decontaminate,
     "op10_jaccard_join": op10_jaccard_join,
 }
 ORACLES: dict[str, str] = {}

@@ -100,7 +100,7 @@ class Index:
         self.ids, self.items, self.cfg = ids, [], cfg
         seeds: dict[int, set[int]] = defaultdict(set)
         for t in texts:
-            data = np.frombuffer((t or "").encode(), dtype=np.uint8)
+            data = np.frombuffer((t or "").lower().encode(), dtype=np.uint8)
             h, c = _word_ids(data, np.array([0, len(data)]))
             self.items.append((h >> np.uint64(4)).astype(np.int64).tolist())
             size = min(cfg.least, len(h))
@@ -179,7 +179,7 @@ def leaks(docs: DataFrame, benchmark: DataFrame, cfg: TileConfig = TileConfig(),
             for b in batches:
                 ids = b.column(0).to_pylist()
                 rows = []
-                for i, _, data, off in K.slices(b.column(1)):
+                for i, _, data, off in K.slices(K.lowered(b.column(1))):
                     for doc, item, under, n, size in ix.search(data, off):
                         if under >= cfg.coverage * size:
                             rows.append((ids[i + doc], ix.ids[item], size, under, n, under / size))

@@ -13,6 +13,7 @@ from functools import lru_cache
 
 import numpy as np
 import pyarrow as pa
+import pyarrow.compute as pc
 
 SLICE_BYTES = 1 << 19
 SEGMENT = 1 << 20
@@ -81,6 +82,14 @@ def slices(column: pa.Array, most: int = SLICE_BYTES) -> Iterator[tuple[int, int
         i = j
 
 
+def lowered(column: pa.Array) -> pa.Array:
+    """Lower case in every script; ASCII alone where the text isn't valid UTF-8."""
+    try:
+        return pc.utf8_lower(column)
+    except pa.ArrowInvalid:
+        return pc.ascii_lower(column)
+
+
 def words(data: np.ndarray, offsets: np.ndarray, lut: np.ndarray) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Starts and ends (byte positions) of all words, and the number of words of each document."""
     n = len(data)

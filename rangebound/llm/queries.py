@@ -7,6 +7,7 @@ from collections.abc import Callable
 from pyspark.sql import DataFrame, SparkSession
 
 from .decontaminate import op9_decontaminate
+from .html_extract import op6_html_extract
 from .jaccard_join import op10_jaccard_join
 from .langid import op4_language_id
 from .quality_cnn import op8_quality
@@ -17,6 +18,7 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_toxicity": op1_toxicity,
     "op2_quality_rules": op2_quality_rules,
     "op4_language_id": op4_language_id,
+    "op6_html_extract": op6_html_extract,
     "op8_quality": op8_quality,
     "op9_decontaminate": op9_decontaminate,
     "op10_jaccard_join": op10_jaccard_join,

@@ -126,7 +126,7 @@ def fit(rows: DataFrame, cfg: ToxConfig = ToxConfig()) -> ToxModel:
         for b in batches:
             y = b.column(1).to_pylist()
             ys, feats, twins = [], [], []
-            for i, j, data, off in K.slices(b.column(0)):
+            for i, j, data, off in K.slices(K.lowered(b.column(0))):
                 h, doc, _ = _features(data, off, cfg)
                 order = np.argsort(doc, kind="stable")
                 h, cut = h[order], np.searchsorted(doc[order], np.arange(j - i + 1))
@@ -205,7 +205,7 @@ def score(docs: DataFrame, model: ToxModel, text: str = "text") -> DataFrame:
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         for b in batches:
             out = np.zeros(b.num_rows)
-            for i, j, data, off in K.slices(b.column(where)):
+            for i, j, data, off in K.slices(K.lowered(b.column(where))):
                 out[i:j] = shared.value.score(data, off)
             yield pa.RecordBatch.from_arrays([*b.columns, pa.array(out)], [*fields, "toxicity"])
 

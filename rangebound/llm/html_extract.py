@@ -198,7 +198,7 @@ def fit(pages: DataFrame, html: str = "html", key: str = "page_id", sample: int
     ta, tb = sum(a.values()) + 1, sum(b.values()) + 1
     ratio = {s: math.log((a[s] + 0.5) / ta) - math.log((b[s] + 0.5) / tb) for s in a}
     word = min(4.0, max(0.3, ratio.get("#word", 1.0)))
-    tags = {s: -word * min(4.0, max(0.5, 1.0 - r)) for s, r in ratio.items() if s != "#word"}
+    tags = {s: -word * min(1.5, max(0.5, 1.0 - r)) for s, r in ratio.items() if s != "#word"}
     return Weights(word, tags, -word, -20 * word)
 
 
@@ -243,6 +243,7 @@ def extract(page: str | None, w: Weights) -> str:
             path.reverse()
             paths = path if paths is None else paths[: next((i for i, (x, y) in enumerate(zip(paths, path, strict=False)) if x != y), min(len(paths), len(path)))]
     home = next((k for k in reversed(paths or [0]) if p.tag[k] not in INLINE_NEST and p.tag[k] not in ("p", "li", "ul", "ol", "h1", "h2", "h3", "h4", "h5", "h6", "table", "tbody", "tr", "td", "pre", "blockquote", "figure")), 0)
+    home = next((k for k in paths or [] if p.tag[k] == "article"), next((k for k in paths or [] if p.main[k]), home))
     if p.tag[home] not in ("#page", "html", "body"):
         inside = {home}
         for k in range(home + 1, len(p.parent)):

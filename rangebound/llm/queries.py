@@ -13,10 +13,12 @@ from .langid import op4_language_id
 from .quality_cnn import op8_quality
 from .quality_rules import op2_quality_rules
 from .toxicity import op1_toxicity
+from .warc import op3_warc
 
 QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op1_toxicity": op1_toxicity,
     "op2_quality_rules": op2_quality_rules,
+    "op3_warc": op3_warc,
     "op4_language_id": op4_language_id,
     "op6_html_extract": op6_html_extract,
     "op8_quality": op8_quality,

@@ -1,4 +1,71 @@
-"""Corpus pipeline; its stages are added as their operators are."""
+"""Corpus pipeline: language ID, quality rules, near duplicates, decontamination, mixing.
 
-STAGES: list = []
+Each stage takes (spark, docs, sf_dir) and works on all that its predecessor kept; all but the
+last return the columns of documents. The pipeline can't be expressed as SQL as a whole (trained model,
+concentration steps, connected components); it is tested against a brute-force version.
+"""
+
+from __future__ import annotations
+
+from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import functions as F
+
+from rangebound.llm import decontaminate, jaccard_join, langid, mixing, quality_rules
+from rangebound.llm.common import materialise, table
+
+#: Least posterior of a language.
+LEAST_POSTERIOR = 0.5
+
+
+def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops texts of no language, and those whose language is in doubt."""
+    found = langid.predict(docs, langid.fit(docs))
+    return found.where((F.col("lang_pred") != langid.UNDETERMINED) & (F.col("lang_score") >= LEAST_POSTERIOR)).select(*docs.columns)
+
+
+def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops what the base rules or the outlier rule reject."""
+    return quality_rules.judge(docs).where("kept").select(*docs.columns)
+
+
+def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Keeps the smallest id of each component of 5-word-shingle Jaccard 0.8."""
+    found = jaccard_join.groups(docs, jaccard_join.JoinConfig(words=5, percent=80))
+    extra = found.where("id != component_id").select("id").distinct()
+    return docs.join(extra, docs["doc_id"] == extra["id"], "left_anti").dropDuplicates(["doc_id"]) if _repeats(docs) else docs.join(extra, docs["doc_id"] == extra["id"], "left_anti")
+
+
+def _repeats(docs: DataFrame) -> bool:
+    """Whether any id is given more than once; then one row of each id stays."""
+    return bool(docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count())
+
+
+def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """Drops documents that cover half of a benchmark item's words or more."""
+    return decontaminate.clean(docs, table(spark, sf_dir, "benchmark"))
+
+
+def mixed(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
+    """The training order: a row for each time a document is read."""
+    return mixing.mix(docs)
+
+
+STAGES = [
+    ("language ID", language_id),
+    ("quality rules", rules),
+    ("near duplicates", near_duplicates),
+    ("benchmark decontamination", benchmark_leaks),
+    ("mixing", mixed),
+]
+
+#: No SQL: see above.
 ORACLE_SQL = None
+
+
+def run(spark: SparkSession, sf_dir: str) -> DataFrame:
+    docs = table(spark, sf_dir, "documents")
+    for i, (_, stage) in enumerate(STAGES):
+        docs = stage(spark, docs, sf_dir)
+        if i < len(STAGES) - 1:
+            docs = materialise(docs)
+    return docs

@@ -6,12 +6,16 @@ from collections.abc import Callable
 
 from pyspark.sql import DataFrame, SparkSession
 
+import corpus_pipeline
+
 from .decontaminate import op9_decontaminate
 from .html_extract import op6_html_extract
 from .jaccard_join import op10_jaccard_join
 from .langid import op4_language_id
+from .mixing import op5_mixing
 from .quality_cnn import op8_quality
 from .quality_rules import op2_quality_rules
+from .token_counts import op7_token_counts
 from .toxicity import op1_toxicity
 from .warc import op3_warc
 
@@ -20,9 +24,12 @@ QUERIES: dict[str, Callable[[SparkSession, str], DataFrame]] = {
     "op2_quality_rules": op2_quality_rules,
     "op3_warc": op3_warc,
     "op4_language_id": op4_language_id,
+    "op5_mixing": op5_mixing,
     "op6_html_extract": op6_html_extract,
+    "op7_token_counts": op7_token_counts,
     "op8_quality": op8_quality,
     "op9_decontaminate": op9_decontaminate,
     "op10_jaccard_join": op10_jaccard_join,
+    "pipeline": corpus_pipeline.run,
 }
 ORACLES: dict[str, str] = {}

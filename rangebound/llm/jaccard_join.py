@@ -39,7 +39,7 @@ from .components import components
 class JoinConfig:
     """words: of a shingle; percent: least Jaccard similarity; deepest: largest l; verify: cost of
     verifying a candidate, in postings; short: longest posting list that is joined with itself;
-    block: documents of a tile's side; cells: of the sketch (a power of two)."""
+    block: documents of a tile's side; cells: of the sketch (a power of two); bits: of the bitmap of ids."""
 
     words: int = 5
     percent: int = 80
@@ -48,6 +48,7 @@ class JoinConfig:
     short: int = 24
     block: int = 256
     cells: int = 1 << 20
+    bits: int = 1 << 23
 
 
 SKETCH_PARTS = 16
@@ -160,9 +161,15 @@ def prefixes(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
 
 def candidates(pre: DataFrame, cfg: JoinConfig) -> DataFrame:
     """Edges (u, v) between documents to be compared."""
-    post = pre.select("id", "n", "l", "first", F.posexplode("tokens").alias("pos", "token")).select("token", "id", "n", "l", F.greatest(F.lit(1), F.col("pos") - F.col("first") + 2).alias("level"))
+    n_parts = int(pre.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    post = pre.select("id", "n", "l", "first", F.posexplode("tokens").alias("pos", "token"))
+    level = F.greatest(F.lit(1), F.col("pos") - F.col("first") + 2)
+    # Postings are dealt by token once, for the sizes of lists and for the join with them alike.
+    post = post.select("token", "id", (F.col("n").cast("long") * 256 + F.col("l") * 16 + level).alias("packed")).repartition(n_parts, "token")
     lists = post.groupBy("token").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("head")).where("size > 1")
-    post = materialise(post.join(lists, "token"))
+    post = post.join(lists.hint("shuffle_hash"), "token")
+    post = post.select("token", "id", F.shiftright("packed", 8).alias("n"), (F.shiftright("packed", 4) % 16).alias("l"), (F.col("packed") % 16).alias("level"), "size", "head")
+    post = materialise(post)
     short = post.where(F.col("size") <= cfg.short).select("token", "id", "n", "l", "level")
     a, b = (short.select(*[F.col(c).alias(f"{s}{c}") for c in short.columns]) for s in "ab")
     near = (F.col("atoken") == F.col("btoken")) & (F.col("aid") < F.col("bid")) & (100 * F.least("an", "bn") >= cfg.percent * F.greatest("an", "bn")) & (F.greatest("alevel", "blevel") <= F.least("al", "bl"))
@@ -189,7 +196,7 @@ def _compare(ids: np.ndarray, side: np.ndarray, column: pa.Array, cross: bool, c
     if len(col):
         col = np.unique(col, return_inverse=True)[1]
     common = np.zeros((m, m), dtype=np.float32)
-    width = max(1, (1 << 22) // m)
+    width = max(1, min(int(col[-1]) + 1 if len(col) else 1, (1 << 21) // m))
     cut = np.searchsorted(col, np.arange(0, (int(col[-1]) + 1 if len(col) else 0) + width, width))
     for k in range(len(cut) - 1):
         x = np.zeros((m, width), dtype=np.float32)
@@ -217,6 +224,19 @@ def _compare(ids: np.ndarray, side: np.ndarray, column: pa.Array, cross: bool, c
     return out
 
 
+def _among(docs: DataFrame, ids: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """docs without most of those whose id isn't among `ids`: a bitmap of hashed ids, of fixed size, is
+    broadcast. It only spares the join that follows texts it would drop; as ids fill it, it spares fewer."""
+    spark = docs.sparkSession
+    place = lambda c: F.pmod(F.xxhash64(c), F.lit(cfg.bits))
+    got = ids.select(place("id").alias("h")).groupBy(F.shiftright("h", 6).cast("int").alias("word")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("h") % 64).cast("int"))).alias("mask")).toPandas()
+    words = np.zeros(cfg.bits // 64, dtype=np.int64)
+    words[got["word"].to_numpy(dtype=int)] = got["mask"].to_numpy(dtype=np.int64)
+    bitmap = spark.createDataFrame(pa.table({"bitmap": pa.array([words], pa.list_(pa.int64()))}))
+    hit = F.call_function("getbit", F.get("bitmap", F.shiftright(place("id"), 6).cast("int")), (place("id") % 64).cast("int")) == 1
+    return docs.crossJoin(F.broadcast(bitmap)).where(hit).drop("bitmap")  # one row
+
+
 def links(docs: DataFrame, clusters: DataFrame, cfg: JoinConfig) -> DataFrame:
     """docs: (id, text); clusters: (id, component). Links (u, v) that span the similar documents
     of each cluster. A tile holds two blocks of about cfg.block documents at most."""
@@ -224,7 +244,7 @@ def links(docs: DataFrame, clusters: DataFrame, cfg: JoinConfig) -> DataFrame:
     placed = clusters.join(sizes, "component").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     tiles = placed.select("id", "component", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
     tiles = tiles.select("id", "component", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
-    rows = docs.join(tiles, "id").select("component", "i", "j", "id", "own", "text")
+    rows = _among(docs, clusters, cfg).join(tiles, "id").select("component", "i", "j", "id", "own", "text")
 
     def compare(t: pa.Table) -> pa.Table:
         i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()

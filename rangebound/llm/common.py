@@ -44,3 +44,13 @@ def discard(df: DataFrame) -> None:
         if "/rangebound-" in f:
             path = spark._jvm.org.apache.hadoop.fs.Path(f)
             path.getFileSystem(spark._jsc.hadoopConfiguration()).delete(path, True)
+
+
+def bounded_sample(df: DataFrame, key: Column, n: int) -> DataFrame:
+    """n rows, by a hash of the key: those rows are thinned to about 2n where they are read, so that
+    what tasks hand on doesn't grow with their number."""
+    total = df.count()
+    h = F.xxhash64(key)
+    if total > 4 * n:
+        df = df.where(F.pmod(h, F.lit(1 << 30)) < int((1 << 30) * (2 * n / total)))
+    return df.orderBy(h, key).limit(n)

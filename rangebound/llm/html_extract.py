@@ -27,7 +27,7 @@ import pandas as pd
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import bounded_sample, table
 
 # Element names of HTML and the words by which sites name their page furniture.
 RAW = frozenset("script style noscript template textarea title iframe svg math object select option canvas audio video".split())
@@ -178,7 +178,7 @@ def symbol_counts(page: str) -> tuple[Counter, Counter] | None:
 def fit(pages: DataFrame, html: str = "html", key: str = "page_id", sample: int = 2000) -> Weights:
     """Learns from the marked pages among `sample` pages taken by a hash of the id. A word's weight
     is positive and a tag's negative whatever the counts."""
-    rows = pages.where(F.col(html).isNotNull()).orderBy(F.xxhash64(key), key).limit(sample).select(F.col(html).alias("html"))
+    rows = bounded_sample(pages.where(F.col(html).isNotNull()), F.col(key), sample).select(F.col(html).alias("html"))
 
     def count(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
         inside, outside = Counter(), Counter()

@@ -190,7 +190,7 @@ def fit(rows: DataFrame, cfg: McdConfig) -> DataFrame:
     far = F.floor(F.log1p(distance()) * 200).alias("bin")
     for _ in range(cfg.steps):
         placed = rows.join(params, "g").select("g", *FEATURES, far)
-        near = placed.join(quantile_bins(placed, ["g"], "bin", cfg.h), "g").where("bin <= cut")
+        near = placed.join(materialise(quantile_bins(placed, ["g"], "bin", cfg.h)), "g").where("bin <= cut")
         params = materialise(estimates(near, cfg, grow))
     q = 0.975
     limit = chi2_quantile(q, d)

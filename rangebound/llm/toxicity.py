@@ -22,7 +22,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import fold, table
+from .common import bounded_sample, fold, table
 
 #: Terms that name groups, by category; a term is swapped for the others of its category.
 IDENTITY: dict[str, tuple[str, ...]] = {
@@ -88,7 +88,7 @@ def _swaps() -> dict[int, list[int]]:
 def training_rows(docs: DataFrame, labels: DataFrame, label: str, keep: Column, n: int) -> DataFrame:
     """(text, y) of at most n labelled documents, taken by a hash of the id; `keep` holds of the
     ids that may be learned from. The picked labels are at most n rows, so they are broadcast."""
-    picked = labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull()).where(keep).groupBy("doc_id").agg(F.max(label).alias("y")).orderBy(F.xxhash64("doc_id"), "doc_id").limit(n)
+    picked = bounded_sample(labels.where(F.col(label).isNotNull() & F.col("doc_id").isNotNull()).where(keep).groupBy("doc_id").agg(F.max(label).alias("y")), F.col("doc_id"), n)
     return docs.join(F.broadcast(picked), "doc_id").where("text is not null").select("text", F.col("y").cast("int").alias("y"))
 
 

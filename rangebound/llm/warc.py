@@ -29,7 +29,7 @@ import zstandard
 from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
-from .common import materialise, scratch_dir, table
+from .common import bounded_sample, materialise, scratch_dir, table
 
 # Fixed values of the file format.
 SKIPPABLE = 0x184D2A5D
@@ -53,9 +53,9 @@ class WarcConfig:
     archive_bytes: int = 64 << 20
 
 
-def build_dictionary(pages: DataFrame, cfg: WarcConfig, html: str = "html") -> bytes:
-    """From at most cfg.sample records in order of their digest; b'' where they are too few."""
-    rows = pages.where(F.col(html).isNotNull()).select(F.encode(F.substring(html, 1, cfg.sample_bytes), "utf-8").alias("b"), F.sha2(html, 256).alias("d")).orderBy("d").limit(cfg.sample).collect()
+def build_dictionary(pages: DataFrame, cfg: WarcConfig, html: str = "html", key: str = "page_id") -> bytes:
+    """From at most cfg.sample records, by a hash of the id; b'' where they are too few."""
+    rows = bounded_sample(pages.where(F.col(html).isNotNull()), F.col(key), cfg.sample).select(F.encode(F.substring(html, 1, cfg.sample_bytes), "utf-8").alias("b")).collect()
     parts = [bytes(r["b"]) for r in rows if r["b"]]
     try:
         return zstandard.train_dictionary(cfg.dictionary, parts).as_bytes() if len(parts) >= 8 else b""

@@ -23,7 +23,10 @@ def splitters(df: DataFrame, point: str, rid: str, buckets: int) -> list[tuple]:
     if buckets < 2:
         return []
     want = SAMPLE_PER_BUCKET * buckets
-    got = df.select(point, F.xxhash64(rid).alias("_u")).orderBy("_u").limit(want).select(point).collect()
+    total = df.count()
+    u = F.pmod(F.xxhash64(rid), F.lit(1 << 30))
+    rows = df.where(u < int((1 << 30) * (2 * want / total))) if total > 4 * want else df
+    got = rows.select(point, u.alias("_u")).orderBy("_u").limit(want).select(point).collect()
     values = sorted(tuple(r[0]) for r in got)
     step = len(values) / buckets
     return sorted({values[int(i * step)] for i in range(1, buckets) if int(i * step) < len(values)})

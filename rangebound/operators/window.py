@@ -464,7 +464,7 @@ def group_window(rf: RangeFrame, agg: str, arg: str | None, key: str, lo: int, h
     pairs = _all_pairs(m, wide) if method == "naive" else _band(m, wide, width or max(1, hi - lo + 1), None)
     flags = _flag(pairs, wide)
     # No slot limit: a frame as large as any group of members.
-    big = WindowSpec(agg, arg, (key,), -(1 << 30), 1 << 30)
+    big = WindowSpec(agg, arg, (key,), -(1 << 28), 1 << 28)
     got = _bounds(flags, (RID, DUP), big).select(RID, DUP, *[F.col(f"x__{e}").alias(f"{into}__{e}") for e in ("lb", "sg", "ub")])
     out = RangeFrame(unit.df.join(got, [RID, DUP]), (*unit.attrs, Attr(into, False)), True)
     return out.with_df(out.df.select(*out.columns))

@@ -302,7 +302,7 @@ def _onepass(members: DataFrame, spec: WindowSpec, chunk: int) -> DataFrame:
     the rows that may be in their windows."""
     p = list(spec.partition)
     own = members.withColumn("_k", F.floor(F.col("p__lb") / chunk))
-    reach = own.groupBy(*p, "_k").agg(F.min(F.col("p__lb") + spec.lo).alias("from"), F.max(F.col("p__ub") + spec.hi).alias("to"))
+    reach = own.groupBy(*p, "_k").agg(F.min(F.col("p__lb") + min(0, spec.lo)).alias("from"), F.max(F.col("p__ub") + max(0, spec.hi)).alias("to"))
     w = max(chunk, spec.size)
     spread = reach.withColumn("_w", F.explode(F.sequence(F.floor(F.col("from") / w), F.floor(F.col("to") / w))))
     placed = members.withColumn("_w", F.explode(F.sequence(F.floor(F.col("p__lb") / w), F.floor(F.col("p__ub") / w))))

@@ -12,7 +12,7 @@ from pyspark.sql import DataFrame
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from ..operators.order import RankSpec, order_keys, prune
+from ..operators.order import RankSpec, order_keys, prune, topk
 from ..schema import DUP, RID, RangeFrame
 from .det import AGG
 from .worlds import sample_worlds, worlds_of
@@ -97,9 +97,13 @@ def _rank_probabilities(rf: RangeFrame, keys: Sequence[str], k: int, desc: Seque
 
 
 def threshold_topk(rf: RangeFrame, keys: Sequence[str], k: int, p: float, desc: Sequence[str] = ()) -> DataFrame:
-    """Rows whose chance to be among the first k is at least p (p = 0: above 0)."""
+    """Rows whose chance to be among the first k is at least p. At p = 1 those are the certain members and
+    at p = 0 (read: above 0) the possible ones, whatever the distribution; in between the grid counts."""
+    if p >= 1 or p <= 0:
+        got = topk(rf, keys, k, desc).df
+        return got.where("_m_lb > 0" if p >= 1 else "_m_ub > 0").groupBy(RID).agg(F.lit(float(p)).alias("p"))
     got = _rank_probabilities(rf, keys, k, desc).groupBy(RID).agg(F.round(F.sum("p"), 9).alias("p"))
-    return got.where(F.col("p") >= p) if p > 0 else got.where("p > 0")
+    return got.where(F.col("p") >= p)
 
 
 def most_likely_per_position(rf: RangeFrame, keys: Sequence[str], k: int, desc: Sequence[str] = ()) -> DataFrame:

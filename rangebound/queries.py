@@ -321,8 +321,8 @@ add(
 )
 add(
     "ra_rollup",
-    lambda s, d: A.rollup(customers(s, d, keep=("c_nationkey", "c_mktsegment")), ["c_mktsegment", "c_nationkey"], {"total": ("sum", "bal")}).df.select("c_mktsegment", "c_nationkey", "total__lb", "total__sg", "total__ub"),
-    f"SELECT c_mktsegment, c_nationkey, CAST(sum(lb) AS BIGINT) AS total__lb, CAST(sum(sg) AS BIGINT) AS total__sg, CAST(sum(ub) AS BIGINT) AS total__ub FROM ({CUSTOMERS(keep='c_mktsegment, c_nationkey')}) GROUP BY ROLLUP (c_mktsegment, c_nationkey)",
+    lambda s, d: A.rollup(customers(s, d, keep=("c_nationkey", "c_mktsegment")), ["c_mktsegment", "c_nationkey"], {"total": ("sum", "bal")}).df.select(F.coalesce("c_mktsegment", F.lit("*")).alias("segment"), F.coalesce("c_nationkey", F.lit(-1)).alias("nation"), "total__lb", "total__sg", "total__ub"),
+    f"SELECT coalesce(c_mktsegment, '*') AS segment, coalesce(c_nationkey, -1) AS nation, CAST(sum(lb) AS BIGINT) AS total__lb, CAST(sum(sg) AS BIGINT) AS total__sg, CAST(sum(ub) AS BIGINT) AS total__ub FROM ({CUSTOMERS(keep='c_mktsegment, c_nationkey')}) GROUP BY ROLLUP (c_mktsegment, c_nationkey)",
 )
 add("ranking_row_number", lambda s, d: A.ranking(customers(s, d), ["bal"], "row_number").df.select(RID, "row_number__lb", "row_number__ub"), f"{rank_cte(CUSTOMERS())} SELECT rid AS _rid, pl + 1 AS row_number__lb, pu + 1 AS row_number__ub FROM p")
 add("ranking_ntile", lambda s, d: A.ranking(customers(s, d), ["bal"], "ntile").df.select(RID, "ntile__lb", "ntile__ub"))
@@ -345,8 +345,8 @@ p AS (SELECT rid, row_number() OVER (PARTITION BY w ORDER BY v, rid) - 1 AS pos
 for _k in (10, 20):
     add(f"base_sampled{_k}", lambda s, d, k=_k: B.baseline_sampled(customers(s, d, 20, 100_000), B.positions(["bal"]), k, "pos").drop(DUP), _SAMPLED(_k))
 _TOP = lambda cond: f"{rank_cte(SUPPLIERS(20, 1_000_000))} SELECT rid AS _rid FROM p WHERE {cond}"
-add("base_threshold_certain", lambda s, d: B.threshold_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 10, 1.0).select(RID))
-add("base_threshold_possible", lambda s, d: B.threshold_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 10, 0.0).select(RID))
+add("base_threshold_certain", lambda s, d: B.threshold_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 10, 1.0).select(RID), _TOP("pu < 10 AND wl = 1"))
+add("base_threshold_possible", lambda s, d: B.threshold_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 10, 0.0).select(RID), _TOP("pl < 10"))
 add("base_threshold_half", lambda s, d: B.threshold_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 10, 0.5))
 add("base_most_likely_list", lambda s, d: B.most_likely_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 3))
 add("base_most_likely_pos", lambda s, d: B.most_likely_per_position(suppliers(s, d, 20, 1_000_000), ["bal"], 5))

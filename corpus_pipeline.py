@@ -29,15 +29,10 @@ def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
-    """Keeps the smallest id of each component of 5-word-shingle Jaccard 0.8."""
+    """Keeps the smallest id of each component of 5-word-shingle Jaccard 0.8; rows that share an id stay together."""
     found = jaccard_join.groups(docs, jaccard_join.JoinConfig(words=5, percent=80))
-    extra = found.where("id != component_id").select("id").distinct()
-    return docs.join(extra, docs["doc_id"] == extra["id"], "left_anti").dropDuplicates(["doc_id"]) if _repeats(docs) else docs.join(extra, docs["doc_id"] == extra["id"], "left_anti")
-
-
-def _repeats(docs: DataFrame) -> bool:
-    """Whether any id is given more than once; then one row of each id stays."""
-    return bool(docs.where("doc_id is not null").groupBy("doc_id").count().where("count > 1").limit(1).count())
+    extra = materialise(found.where("id != component_id").select("id").distinct())
+    return jaccard_join.without(docs, extra)
 
 
 def benchmark_leaks(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -22,7 +22,6 @@ from dataclasses import dataclass
 import numpy as np
 import pyarrow as pa
 from pyspark.sql import DataFrame, SparkSession
-from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from . import kernels as K
@@ -191,10 +190,25 @@ def leaks(docs: DataFrame, benchmark: DataFrame, cfg: TileConfig = TileConfig(),
     return out
 
 
-def clean(docs: DataFrame, benchmark: DataFrame, cfg: TileConfig = TileConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
-    """docs without the documents that leak an item."""
-    found = leaks(docs, benchmark, cfg, key, text).select(F.col("doc_id").alias("_leak")).distinct()
-    return docs.join(found, docs[key] == found["_leak"], "left_anti")
+def clean(docs: DataFrame, benchmark: DataFrame, cfg: TileConfig = TileConfig(), text: str = "text") -> DataFrame:
+    """docs without the documents that leak an item: filtered where they are read, a block of the
+    benchmark after the other; nothing is joined or moved."""
+    spark = docs.sparkSession
+    where = docs.schema.fieldNames().index(text)
+    for index in blocks(benchmark, cfg, "item_id", "text"):
+        shared = spark.sparkContext.broadcast(index)
+
+        def run(batches: Iterator[pa.RecordBatch], shared=shared) -> Iterator[pa.RecordBatch]:
+            for b in batches:
+                keep = np.ones(b.num_rows, dtype=bool)
+                for i, _, data, off in K.slices(K.lowered(b.column(where))):
+                    for doc, _, under, _, size in shared.value.search(data, off):
+                        if under >= cfg.coverage * size:
+                            keep[i + doc] = False
+                yield b.filter(pa.array(keep))
+
+        docs = docs.mapInArrow(run, docs.schema)
+    return docs
 
 
 def op9_decontaminate(spark: SparkSession, sf_dir: str) -> DataFrame:

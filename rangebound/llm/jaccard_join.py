@@ -21,13 +21,13 @@ words than a shingle are one shingle; repeated rows are one class; rows without
 
 from __future__ import annotations
 
-from collections.abc import Iterator
+from collections.abc import Callable, Iterator
 from dataclasses import dataclass
 
 import numpy as np
 import pyarrow as pa
 import zstandard
-from pyspark.sql import DataFrame, SparkSession
+from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
@@ -43,8 +43,8 @@ class JoinConfig:
 
     words: int = 5
     percent: int = 80
-    deepest: int = 4
-    verify: float = 8.0
+    deepest: int = 8
+    verify: float = 16.0
     short: int = 24
     block: int = 256
     cells: int = 1 << 20
@@ -224,17 +224,30 @@ def _compare(ids: np.ndarray, side: np.ndarray, column: pa.Array, cross: bool, c
     return out
 
 
-def _among(docs: DataFrame, ids: DataFrame, cfg: JoinConfig) -> DataFrame:
-    """docs without most of those whose id isn't among `ids`: a bitmap of hashed ids, of fixed size, is
-    broadcast. It only spares the join that follows texts it would drop; as ids fill it, it spares fewer."""
-    spark = docs.sparkSession
-    place = lambda c: F.pmod(F.xxhash64(c), F.lit(cfg.bits))
-    got = ids.select(place("id").alias("h")).groupBy(F.shiftright("h", 6).cast("int").alias("word")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("h") % 64).cast("int"))).alias("mask")).toPandas()
-    words = np.zeros(cfg.bits // 64, dtype=np.int64)
+def id_filter(spark: SparkSession, ids: DataFrame, bits: int = 1 << 23) -> tuple[DataFrame, Callable[[str], Column]]:
+    """A bitmap of hashed ids, of fixed size, as a frame of one row, and the test of an id column against it.
+    What it rejects isn't among the ids; the more ids, the more others it lets through."""
+    place = lambda c: F.pmod(F.xxhash64(c), F.lit(bits))
+    got = ids.select(place(F.col("id")).alias("h")).groupBy(F.shiftright("h", 6).cast("int").alias("word")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("h") % 64).cast("int"))).alias("mask")).toPandas()
+    words = np.zeros(bits // 64, dtype=np.int64)
     words[got["word"].to_numpy(dtype=int)] = got["mask"].to_numpy(dtype=np.int64)
-    bitmap = spark.createDataFrame(pa.table({"bitmap": pa.array([words], pa.list_(pa.int64()))}))
-    hit = F.call_function("getbit", F.get("bitmap", F.shiftright(place("id"), 6).cast("int")), (place("id") % 64).cast("int")) == 1
-    return docs.crossJoin(F.broadcast(bitmap)).where(hit).drop("bitmap")  # one row
+    bitmap = spark.createDataFrame(pa.table({"_bitmap": pa.array([words], pa.list_(pa.int64()))}))
+
+    def hit(c: str) -> Column:
+        h = place(F.col(c).cast("long"))
+        return F.coalesce(F.call_function("getbit", F.get("_bitmap", F.shiftright(h, 6).cast("int")), (h % 64).cast("int")) == 1, F.lit(False))
+
+    return bitmap, hit
+
+
+def without(docs: DataFrame, ids: DataFrame, key: str = "doc_id", bits: int = 1 << 23) -> DataFrame:
+    """docs whose key isn't among ids.id. Only rows that the bitmap doesn't clear are joined; the
+    others aren't moved."""
+    bitmap, hit = id_filter(docs.sparkSession, ids, bits)
+    marked = docs.crossJoin(F.broadcast(bitmap)).withColumn("_hit", hit(key)).drop("_bitmap")  # one row
+    clear = marked.where(~F.col("_hit")).drop("_hit")
+    asked = marked.where("_hit").drop("_hit")
+    return clear.unionByName(asked.join(ids.select(F.col("id").alias("_id")), F.col(key) == F.col("_id"), "left_anti"))
 
 
 def links(docs: DataFrame, clusters: DataFrame, cfg: JoinConfig) -> DataFrame:
@@ -244,7 +257,9 @@ def links(docs: DataFrame, clusters: DataFrame, cfg: JoinConfig) -> DataFrame:
     placed = clusters.join(sizes, "component").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
     tiles = placed.select("id", "component", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
     tiles = tiles.select("id", "component", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
-    rows = _among(docs, clusters, cfg).join(tiles, "id").select("component", "i", "j", "id", "own", "text")
+    bitmap, hit = id_filter(docs.sparkSession, clusters, cfg.bits)
+    asked = docs.crossJoin(F.broadcast(bitmap)).where(hit("id")).drop("_bitmap")  # one row; spares the join other texts
+    rows = asked.join(tiles, "id").select("component", "i", "j", "id", "own", "text")
 
     def compare(t: pa.Table) -> pa.Table:
         i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()

@@ -2,7 +2,7 @@
 
 Each labelled text that names a group is paired with copies in which identity terms are swapped
 for other terms of their category. Training adds to the log loss a penalty on the squared
-difference of the two logits, so that naming a group does not move the score by itself, and an
+difference of the two logits, also for a copy that names none, so that naming a group does not move the score by itself, and an
 L1 penalty, so that words without evidence weigh nothing however long a text is. Features are
 hashed words and word beginnings, present or absent.
 
@@ -57,12 +57,6 @@ class ToxConfig:
     swaps: int = 3
 
 
-def _word_hash(words: list[str]) -> np.ndarray:
-    data = np.frombuffer(" ".join(words).encode(), dtype=np.uint8)
-    s, e, _ = K.words(data, np.array([0, len(data)]), K.ALNUM_WORDS)
-    return K.hash_words(data, s, e)
-
-
 def _features(data: np.ndarray, offsets: np.ndarray, cfg: ToxConfig) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
     """Feature hashes, the document of each, and the hashes of whole words alone (first block)."""
     s, e, counts = K.words(data, offsets, K.ALNUM_WORDS)
@@ -76,12 +70,16 @@ def _features(data: np.ndarray, offsets: np.ndarray, cfg: ToxConfig) -> tuple[np
     return np.concatenate(out), np.concatenate(docs), whole
 
 
-def _swaps() -> dict[int, list[int]]:
-    """Hash of each identity term -> hashes of what replaces it."""
+def _swaps(cfg: ToxConfig) -> dict[int, tuple[np.ndarray, list[np.ndarray]]]:
+    """Hash of each identity term -> all its features, and those of each term that may replace it."""
     out = {}
     for terms in IDENTITY.values():
-        h = _word_hash(list(terms)).tolist()
-        out |= {x: [y for y in h if y != x] for x in h}
+        feats = []
+        for t in terms:
+            data = np.frombuffer(t.encode(), dtype=np.uint8)
+            feats.append(_features(data, np.array([0, len(data)]), cfg)[0])
+        for i, x in enumerate(feats):
+            out[int(x[0])] = (x, [y for j, y in enumerate(feats) if j != i])
     return out
 
 
@@ -121,7 +119,7 @@ def fit(rows: DataFrame, cfg: ToxConfig = ToxConfig()) -> ToxModel:
     """Learns from a bounded frame of (text, y)."""
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        swaps = _swaps()
+        swaps = _swaps(cfg)
         ids = np.array(sorted(swaps), dtype=np.uint64)
         for b in batches:
             y = b.column(1).to_pylist()
@@ -135,8 +133,12 @@ def fit(rows: DataFrame, cfg: ToxConfig = ToxConfig()) -> ToxModel:
                     named = own[np.isin(own, ids)].tolist()
                     ys.append(y[i + k])
                     feats.append(own.tobytes())
-                    # The t-th twin swaps every term named in the text for the t-th of its category.
-                    more = [np.unique(np.concatenate([own[~np.isin(own, np.array(named, dtype=np.uint64))], np.array([swaps[x][t % len(swaps[x])] for x in named], dtype=np.uint64)])).tobytes() for t in range(cfg.swaps)] if named else []
+                    more = []
+                    if named:
+                        # The t-th twin swaps every term named in the text for the t-th other of its category.
+                        rest = own[~np.isin(own, np.concatenate([swaps[x][0] for x in named]))]
+                        more = [np.unique(np.concatenate([rest, *[swaps[x][1][t % len(swaps[x][1])] for x in named]])).tobytes() for t in range(cfg.swaps)]
+                        more.append(rest.tobytes())  # and one twin names no group at all
                     twins.append(more)
             yield pa.RecordBatch.from_arrays([pa.array(ys, pa.int32()), pa.array(feats, pa.binary()), pa.array(twins, pa.list_(pa.binary()))], ["y", "f", "twins"])
 
@@ -162,7 +164,7 @@ def train(docs: list[np.ndarray], y: np.ndarray, twins: list[list[np.ndarray]],
     dp = np.bincount(inv, weights=np.repeat(y, [len(x) for x in docs]), minlength=len(every))
     a, b, c, d = dp, df - dp, pos - dp, (n - pos) - (df - dp)
     chi = n * (a * d - b * c) ** 2 / np.maximum((a + b) * (c + d) * (a + c) * (b + d), 1)
-    ids = np.array(sorted(_swaps()), dtype=np.uint64)
+    ids = np.unique(np.concatenate([x[0] for x in _swaps(cfg).values()]))
     named = np.isin(every, ids)
     chi[(df < cfg.min_docs) & ~named] = -1
     best = np.argsort(-chi, kind="stable")[: cfg.keep]

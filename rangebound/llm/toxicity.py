@@ -44,7 +44,7 @@ class ToxConfig:
     the counterfactual penalty; l1 (over the root of the rows), l2: other penalties; chi: least
     chi-square of a feature; steps, rate: gradient steps."""
 
-    sample: int = 12_000
+    sample: int = 5_000
     prefixes: tuple[int, ...] = (4, 5, 6)
     min_docs: int = 3
     keep: int = 4000

@@ -1,7 +1,8 @@
 """Registered queries of the order operators, and their SQL.
 
-The SQL counts pairs instead of summing end points, so it is another formulation of the same semantics.
-Sums and counts are whole numbers on both sides.
+The SQL counts pairs instead of summing end points, so it is another formulation of the same semantics. Counting
+pairs of a whole orders table takes too long: those queries keep to small ids, and their twins named _whole rank all
+orders, with SQL that sums end points in one window. Sums and counts are whole numbers on both sides.
 """
 
 from __future__ import annotations
@@ -78,6 +79,16 @@ p AS (SELECT b.*, CAST(d.d AS INTEGER) AS dup, q.pl + d.d AS pl, q.pg + d.d AS p
  FROM b JOIN q USING (rid) JOIN (SELECT CAST(0 AS BIGINT) AS d UNION ALL SELECT 1) d ON d.d < b.mu)"""
 
 
+def sums_cte(box: str) -> str:
+    """The same b and p by one window over end points: a row's start precedes its guess and its end."""
+    return f"""WITH b AS ({box}),
+e AS (SELECT lb AS v, rid, 1 AS kind, mu AS a, 0 AS g, 0 AS z FROM b UNION ALL SELECT sg, rid, 2, 0, mg, 0 FROM b UNION ALL SELECT ub, rid, 3, 0, 0, ml FROM b),
+r AS (SELECT rid, kind, sum(a) OVER w AS sa, sum(g) OVER w AS sg, sum(z) OVER w AS sz FROM e WINDOW w AS (ORDER BY v, rid, kind ROWS BETWEEN UNBOUNDED PRECEDING AND 1 PRECEDING)),
+q AS (SELECT rid, CAST(coalesce(max(CASE WHEN kind = 1 THEN sz END), 0) AS BIGINT) AS pl, CAST(coalesce(max(CASE WHEN kind = 2 THEN r.sg END), 0) AS BIGINT) AS pg,
+ CAST(max(CASE WHEN kind = 3 THEN sa END) - max(b.mu) AS BIGINT) AS pu FROM r JOIN b USING (rid) GROUP BY rid),
+p AS {rank_cte(box).partition("p AS ")[2]}"""
+
+
 RANK_OUT = "rid AS _rid, dup AS _dup, pl AS pos__lb, pg AS pos__sg, pu AS pos__ub, wl AS _m_lb, wg AS _m_sg, wu AS _m_ub"
 
 
@@ -97,6 +108,11 @@ def topk_sql(box: str, k: int, desc: bool = False, offset: int = 0) -> str:
  CAST({sure} AS BIGINT) AS _m_lb, CAST({inside('pg')} * wg AS BIGINT) AS _m_sg, wu AS _m_ub FROM p WHERE pl < {most} AND pu >= {offset} AND dup < {most}"""
 
 
+def whole(sql: Callable[..., str], box: str, *args: int, **kwargs: int) -> str:
+    """rank_sql or topk_sql with positions by sums."""
+    return sql(box, *args, **kwargs).replace(rank_cte(box), sums_cte(box))
+
+
 def top_rows(rf: RangeFrame) -> DataFrame:
     return rf.df.select(RID, DUP, "pos__lb", "pos__ub", "_m_lb", "_m_sg", "_m_ub")
 
@@ -172,6 +188,7 @@ add(
 add("rank_naive", lambda s, d: ranked(order.rank(suppliers(s, d), ["bal"], method="naive")), rank_sql(SUPPLIERS()))
 for _m in ("rewrite", "onepass", "dist", "cdf"):
     add(f"rank_{_m}", lambda s, d, m=_m: ranked(order.rank(orders(s, d, 20, 1_000_000, 4000), ["price"], method=m)), rank_sql(ORDERS(20, 1_000_000, 4000)))
+    add(f"rank_{_m}_whole", lambda s, d, m=_m: ranked(order.rank(orders(s, d, 20, 1_000_000), ["price"], method=m)), whole(rank_sql, ORDERS(20, 1_000_000)))
 add("rank_desc", lambda s, d: ranked(order.rank(customers(s, d, 20, 100_000), ["bal"], desc=["bal"])), rank_sql(CUSTOMERS(20, 100_000), desc=True))
 add(
     "rank_multikey",
@@ -185,13 +202,16 @@ add(
 )
 add("rank_partitioned", lambda s, d: ranked(order.rank(customers(s, d, 20, 100_000, keep=("c_nationkey",)), ["bal"], partition=["c_nationkey"])), rank_sql(CUSTOMERS(20, 100_000, keep="c_nationkey"), part="c_nationkey"))
 add("rank_dups_existence", lambda s, d: ranked(order.rank(orders(s, d, 20, 1_000_000, 4000, 10, 10), ["price"])), rank_sql(ORDERS(20, 1_000_000, 4000, 10, 10)))
+add("rank_dups_existence_whole", lambda s, d: ranked(order.rank(orders(s, d, 20, 1_000_000, None, 10, 10), ["price"])), whole(rank_sql, ORDERS(20, 1_000_000, None, 10, 10)))
 
 # ---- top-k ----------------------------------------------------------------------------------
 
 for _m in ("select", "prune", "onepass"):
     for _k in (2, 10):
         add(f"topk_{_m}" + ("" if _k == 10 else "_2"), lambda s, d, m=_m, k=_k: top_rows(order.topk(orders(s, d, 20, 1_000_000, 4000, 10, 10), ["price"], k, method=m)), topk_sql(ORDERS(20, 1_000_000, 4000, 10, 10), _k))
+        add(f"topk_{_m}" + ("" if _k == 10 else "_2") + "_whole", lambda s, d, m=_m, k=_k: top_rows(order.topk(orders(s, d, 20, 1_000_000, None, 10, 10), ["price"], k, method=m)), whole(topk_sql, ORDERS(20, 1_000_000, None, 10, 10), _k))
 add("topk_offset", lambda s, d: top_rows(order.topk(orders(s, d, 20, 1_000_000, 4000), ["price"], 5, offset=5)), topk_sql(ORDERS(20, 1_000_000, 4000), 5, offset=5))
+add("topk_offset_whole", lambda s, d: top_rows(order.topk(orders(s, d, 20, 1_000_000), ["price"], 5, offset=5)), whole(topk_sql, ORDERS(20, 1_000_000), 5, offset=5))
 add("topk_desc", lambda s, d: top_rows(order.topk(customers(s, d, 20, 100_000, 10), ["bal"], 10, desc=["bal"])), topk_sql(CUSTOMERS(20, 100_000, 10), 10, desc=True))
 
 # ---- windows --------------------------------------------------------------------------------

@@ -7,7 +7,9 @@ greatest total score. Elements that are never part of an article (menus, headers
 the page, sidebars, notices, adverts, forms, scripts, styles, comments), by tag, role or class
 name, score so low that no stretch pays for crossing into one at an edge, and what lies inside such an element is left out
 of the text. If the stretch lies in an element that is smaller than the body, the stretch is
-widened to that element, so a short first or last block isn't lost.
+widened to that element, so a short first or last block isn't lost. Where that element is no marked main part, nothing
+says what belongs together on both sides of such an element, so the scan is repeated with its score at zero: an
+advert amid the paragraphs of a plain body costs neither side.
 
 White space inside a block becomes one space, blocks are joined by one space in page order, and character references
 are decoded. Defined results: a null or empty page, or one without words, has the empty text;
@@ -215,23 +217,22 @@ def best_stretch(scores: list[float]) -> tuple[int, int]:
     return at
 
 
-def extract(page: str | None, w: Weights) -> str:
-    if not page:
-        return ""
-    p = parse(page)
+def stretch_of(p: Page, w: Weights, low: float) -> tuple[int, int]:
+    """The best stretch, with `low` as the score of each word and tag in furniture."""
     scores = []
     for e in p.events:
         if e.kind == "text":
             n = len(e.value.split())
-            scores.append((w.low if e.low else w.word) * n)
+            scores.append((low if e.low else w.word) * n)
         elif e.low:
-            scores.append(w.low)
+            scores.append(low)
         else:
             scores.append(w.tags.get(e.value, w.other))
-    lo, hi = best_stretch(scores)
-    if hi <= lo:
-        return ""
-    # The smallest element around the words of the stretch.
+    return best_stretch(scores)
+
+
+def home_of(p: Page, lo: int, hi: int) -> int:
+    """The smallest element around the words of the stretch."""
     paths = None
     for e in p.events[lo:hi]:
         if e.kind == "text" and not e.low and e.value.strip():
@@ -243,7 +244,20 @@ def extract(page: str | None, w: Weights) -> str:
             path.reverse()
             paths = path if paths is None else paths[: next((i for i, (x, y) in enumerate(zip(paths, path, strict=False)) if x != y), min(len(paths), len(path)))]
     home = next((k for k in reversed(paths or [0]) if p.tag[k] not in INLINE_NEST and p.tag[k] not in ("p", "li", "ul", "ol", "h1", "h2", "h3", "h4", "h5", "h6", "table", "tbody", "tr", "td", "pre", "blockquote", "figure")), 0)
-    home = next((k for k in paths or [] if p.tag[k] == "article"), next((k for k in paths or [] if p.main[k]), home))
+    return next((k for k in paths or [] if p.tag[k] == "article"), next((k for k in paths or [] if p.main[k]), home))
+
+
+def extract(page: str | None, w: Weights) -> str:
+    if not page:
+        return ""
+    p = parse(page)
+    lo, hi = stretch_of(p, w, w.low)
+    if hi <= lo:
+        return ""
+    home = home_of(p, lo, hi)
+    if not p.main[home]:
+        lo, hi = stretch_of(p, w, 0.0)
+        home = home_of(p, lo, hi)
     if p.tag[home] not in ("#page", "html", "body"):
         inside = {home}
         for k in range(home + 1, len(p.parent)):

@@ -1,8 +1,9 @@
 """Language identification: multinomial naive Bayes over hashed character n-grams.
 
 Training counts are aggregated in Spark, from a sample of at most `per_lang` documents a
-language; the log-probability matrix (buckets x languages, a bounded size) is broadcast, and a
-batch of documents is scored as a sparse matrix whose non-zeros are the n-gram occurrences.
+language; the log-probability matrix (buckets x languages, 256 KB for each language that occurs) is broadcast, and a
+batch of documents is scored as a sparse matrix whose non-zeros are the n-gram occurrences, a block of languages
+after the other.
 
 Defined results: a text that is null, empty or has no letter is `und` with score 0. With no
 training row at all every text is `und`. Ties go to the language that sorts first. Repeated rows
@@ -29,13 +30,13 @@ _LUTS: dict[str, np.ndarray] = {}
 @dataclass(frozen=True)
 class LangConfig:
     """orders: n-gram lengths; buckets: hash buckets (a power of two); alpha: additive smoothing;
-    per_lang: most training documents of a language; most_langs: languages learned, by number of rows."""
+    per_lang: most training documents of a language; block_langs: languages that are counted or scored at once."""
 
     orders: tuple[int, ...] = (1, 2, 3)
     buckets: int = 1 << 15
     alpha: float = 0.1
     per_lang: int = 5000
-    most_langs: int = 256
+    block_langs: int = 64
 
 
 def _luts() -> tuple[np.ndarray, np.ndarray]:
@@ -115,43 +116,58 @@ class LangModel:
         best, prob = np.full(n_docs, -1), np.zeros(n_docs)
         if not self.langs:
             return best, prob
-        total = np.tile(self.prior[:, None], (1, n_docs))
-        for idx, _ in _ngrams(cps, at, self.cfg):
-            for i, row in enumerate(self.weights):
-                total[i] += np.add.reduceat(row[idx], at[:-1])
+        grams = [idx for idx, _ in _ngrams(cps, at, self.cfg)]
+        top, most, mass = np.zeros(n_docs, dtype=int), np.full(n_docs, -np.inf), np.zeros(n_docs)
+        for first in range(0, len(self.langs), self.cfg.block_langs):
+            part = slice(first, first + self.cfg.block_langs)
+            total = np.tile(self.prior[part, None], (1, n_docs))
+            for idx in grams:
+                for i, row in enumerate(self.weights[part]):
+                    total[i] += np.add.reduceat(row[idx], at[:-1])
+            here = total.max(axis=0)
+            top = np.where(here > most, first + total.argmax(axis=0), top)
+            now = np.maximum(most, here)
+            mass = mass * np.exp(most - now) + np.exp(total - now).sum(axis=0)  # relative to the best so far
+            most = now
         known = letters > 0
-        top = total.argmax(axis=0)
-        p = 1 / np.exp(total - total.max(axis=0)).sum(axis=0)
-        best[known], prob[known] = top[known], p[known]
+        best[known], prob[known] = top[known], 1 / mass[known]
         return best, prob
 
 
 def fit(train: DataFrame, cfg: LangConfig = LangConfig(), text: str = "text", lang: str = "lang", key: str = "doc_id") -> LangModel:
     """Learns from rows with a text and a language; at most about cfg.per_lang of each language."""
     rows = train.select(F.col(key).alias("k"), F.col(text).alias("text"), F.col(lang).alias("lang")).where("lang is not null and text is not null")
-    sizes = rows.groupBy("lang").count().orderBy(F.desc("count"), "lang").limit(cfg.most_langs).collect()
+    sizes = rows.groupBy("lang").agg(F.count(F.lit(1)).alias("size"))
     u = F.pmod(F.xxhash64("k"), F.lit(1_000_000)) / 1_000_000
-    share = F.create_map(*[F.lit(x) for r in sizes for x in (r["lang"], cfg.per_lang / r["count"])]) if sizes else F.create_map().cast("map<string,double>")
-    picked = rows.where(u < share[F.col("lang")]).select("lang", "text")
+    # One row a language.
+    picked = rows.join(F.broadcast(sizes), "lang").where(u < F.lit(float(cfg.per_lang)) / F.col("size")).select("lang", "text")
 
     def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         acc: dict[str, np.ndarray] = {}
         docs: dict[str, int] = {}
+
+        def flush() -> Iterator[pa.RecordBatch]:
+            for name, got in acc.items():
+                got[-1] = docs[name]
+                nz = np.flatnonzero(got)
+                yield pa.RecordBatch.from_arrays([pa.array([name] * len(nz), pa.string()), pa.array(nz.astype(np.int32)), pa.array(got[nz])], ["lang", "bucket", "n"])
+            acc.clear()
+            docs.clear()
+
         for b in batches:
             names = b.column(0).to_pylist()
             for i, j, data, off in K.slices(b.column(1)):
                 of = np.array(names[i:j], dtype=object)
                 grams = list(ngram_buckets(data, off, cfg))
                 for name in set(names[i:j]):
+                    if name not in acc and len(acc) >= cfg.block_langs:
+                        yield from flush()
                     pick = of == name
                     docs[name] = docs.get(name, 0) + int(pick.sum())
                     got = acc.setdefault(name, np.zeros(cfg.buckets + 1, dtype=np.int64))
                     for idx, at in grams:
                         got += np.bincount(idx[np.repeat(pick, np.diff(at))], minlength=cfg.buckets + 1)
-        for name, got in acc.items():
-            got[-1] = docs[name]
-            nz = np.flatnonzero(got)
-            yield pa.RecordBatch.from_arrays([pa.array([name] * len(nz), pa.string()), pa.array(nz.astype(np.int32)), pa.array(got[nz])], ["lang", "bucket", "n"])
+        yield from flush()
 
     counts = picked.mapInArrow(count, "lang string, bucket int, n long").groupBy("lang", "bucket").agg(F.sum("n").alias("n")).toPandas()
     langs = sorted(counts["lang"].unique())

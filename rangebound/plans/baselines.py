@@ -15,7 +15,7 @@ from pyspark.sql import functions as F
 from ..operators.order import RankSpec, order_keys, prune, topk
 from ..schema import DUP, RID, RangeFrame
 from .det import AGG
-from .worlds import sample_worlds, worlds_of
+from .worlds import few_rows, sample_worlds, worlds_of
 
 GRID = 8
 
@@ -54,7 +54,7 @@ def sampled_topk(rf: RangeFrame, keys: Sequence[str], k: int, samples: int, desc
 def exact_bounds(rf: RangeFrame, query: Callable[[list[tuple]], dict[tuple, float]], limit: int = 20_000) -> DataFrame:
     """Tight bounds by enumeration: query maps a world (list of (rid, copy, values...)) to values by
     (rid, copy). No solver is at hand, so this is for frames of a few rows."""
-    rows = [r.asDict() for r in rf.df.limit(64).collect()]
+    rows = few_rows(rf)
     low: dict[tuple, float] = {}
     high: dict[tuple, float] = {}
     for world in worlds_of(rows, [(a.name, a.certain) for a in rf.attrs], limit):
@@ -122,7 +122,7 @@ def most_likely_topk(rf: RangeFrame, keys: Sequence[str], k: int, desc: Sequence
 
 def exact_topk_lists(rf: RangeFrame, key: str, k: int, limit: int = 20_000) -> list[tuple[tuple[int, ...], float]]:
     """All ordered top-k lists of a tiny frame with their share of worlds, likeliest first."""
-    rows = [r.asDict() for r in rf.df.limit(64).collect()]
+    rows = few_rows(rf)
     names = [a.name for a in rf.attrs]
     at = 2 + names.index(key)
     seen: Counter = Counter(tuple(r[0] for r in sorted(w, key=lambda r: (r[at], r[0], r[1]))[:k]) for w in worlds_of(rows, [(a.name, a.certain) for a in rf.attrs], limit))

@@ -28,10 +28,18 @@ def worlds_of(rows: Sequence[dict], attrs: Sequence[tuple[str, bool]], limit: in
         yield [(rid, i, *v) for rid, copies in chosen for i, v in enumerate(copies)]
 
 
+def few_rows(rf: RangeFrame, most: int = 64) -> list[dict]:
+    """All rows of a frame that is to be enumerated; an error if there are more than `most`."""
+    rows = [r.asDict() for r in rf.df.limit(most + 1).collect()]
+    if len(rows) > most:
+        raise ValueError(f"more than {most} rows")
+    return rows
+
+
 def enumerate_worlds(rf: RangeFrame, limit: int = 20_000) -> DataFrame:
     """(world_id, _rid, _dup, attributes): for frames of a few rows."""
     attrs = [(a.name, a.certain) for a in rf.attrs]
-    rows = [r.asDict() for r in rf.df.limit(64).collect()]
+    rows = few_rows(rf)
     out = [(w, *row) for w, world in enumerate(worlds_of(rows, attrs, limit)) for row in world]
     return rf.df.sparkSession.createDataFrame(out, ", ".join(["world_id long", f"{RID} long", f"{DUP} int", *[f"{a} long" for a, _ in attrs]]))
 

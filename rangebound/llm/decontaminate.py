@@ -10,7 +10,8 @@ The benchmark is searched in blocks of at most `block_words` words, so what is b
 bounded size; each block is one pass over all documents. Whole documents are searched.
 
 Defined results: null and empty texts match nothing; an item of fewer than `least` words is
-sought as one whole seed; repeated rows are reported each; an empty table gives no rows.
+sought as one whole seed; repeated rows are reported each; an item whose id is null is sought like any other and
+reported with a null item_id; an empty table gives no rows.
 """
 
 from __future__ import annotations
@@ -153,12 +154,12 @@ class Index:
 
 
 def blocks(benchmark: DataFrame, cfg: TileConfig, key: str, text: str) -> Iterator[Index]:
-    """The benchmark in blocks of bounded size; items are read in order of a hash of the id."""
-    slim = benchmark.select(F.col(key).cast("long").alias("k"), F.col(text).alias("t")).where("k is not null and t is not null")
+    """The benchmark in blocks of bounded size; items are dealt by a hash of id and text, so those without an id or with the same one are spread too."""
+    slim = benchmark.select(F.col(key).cast("long").alias("k"), F.col(text).alias("t")).where("t is not null")
     total = slim.agg(F.sum(F.length("t"))).first()[0] or 0
     n = 1 + total // (4 * cfg.block_words)
     for i in range(n):
-        rows = slim.where(F.pmod(F.xxhash64("k"), F.lit(n)) == i).orderBy("k").collect()
+        rows = slim.where(F.pmod(F.xxhash64("k", "t"), F.lit(n)) == i).orderBy("k", "t").collect()
         if rows:
             yield Index([r["k"] for r in rows], [r["t"] for r in rows], cfg)
 

@@ -24,7 +24,7 @@ from pyspark.sql import functions as F
 from . import kernels as K
 from .common import bounded_sample, fold, table
 
-#: Terms that name groups, by category; a term is swapped for the others of its category.
+#: Terms that name groups, by category and language; a term is swapped for the others of its category. No term is in two.
 IDENTITY: dict[str, tuple[str, ...]] = {
     "gender": ("women", "men", "woman", "man", "girls", "boys", "transgender"),
     "religion": ("muslims", "christians", "jews", "hindus", "buddhists", "sikhs", "atheists"),
@@ -34,6 +34,30 @@ IDENTITY: dict[str, tuple[str, ...]] = {
     "orientation": ("gay", "straight", "lesbian", "bisexual", "heterosexual"),
     "status": ("immigrants", "refugees", "natives", "foreigners"),
     "ability": ("disabled", "blind", "deaf", "autistic"),
+    "gender_de": ("frauen", "männer", "frau", "mann", "mädchen", "jungen"),
+    "religion_de": ("muslime", "christen", "juden", "buddhisten", "atheisten"),
+    "faith_de": ("muslimische", "christliche", "jüdische", "hinduistische", "buddhistische", "atheistische"),
+    "origin_de": ("afrikanische", "asiatische", "europäische", "arabische", "amerikanische", "mexikanische", "indische"),
+    "colour_de": ("schwarze", "weiße", "braune"),
+    "orientation_de": ("schwule", "lesbische", "bisexuelle", "heterosexuelle"),
+    "status_de": ("einwanderer", "flüchtlinge", "einheimische", "ausländer"),
+    "ability_de": ("behinderte", "blinde", "gehörlose", "autistische"),
+    "gender_fr": ("femmes", "hommes", "femme", "homme", "filles", "garçons"),
+    "religion_fr": ("musulmans", "chrétiens", "juifs", "hindous", "bouddhistes", "athées"),
+    "faith_fr": ("musulman", "chrétien", "juif", "hindou", "bouddhiste", "athée"),
+    "origin_fr": ("africain", "asiatique", "européen", "arabe", "américain", "mexicain", "indien"),
+    "colour_fr": ("noirs", "blancs", "bruns"),
+    "orientation_fr": ("homosexuels", "lesbiennes", "bisexuels", "hétérosexuels"),
+    "status_fr": ("immigrés", "réfugiés", "autochtones", "étrangers"),
+    "ability_fr": ("handicapés", "aveugles", "sourds", "autistes"),
+    "gender_es": ("mujeres", "hombres", "mujer", "hombre", "niñas", "niños"),
+    "religion_es": ("musulmanes", "cristianos", "judíos", "hindúes", "budistas", "ateos"),
+    "faith_es": ("musulmán", "cristiano", "judío", "hindú", "budista", "ateo"),
+    "origin_es": ("africano", "asiático", "europeo", "árabe", "americano", "mexicano", "indio"),
+    "colour_es": ("negros", "blancos", "morenos"),
+    "orientation_es": ("homosexuales", "lesbianas", "bisexuales", "heterosexuales"),
+    "status_es": ("inmigrantes", "refugiados", "nativos", "extranjeros"),
+    "ability_es": ("discapacitados", "ciegos", "sordos", "autistas"),
 }
 
 

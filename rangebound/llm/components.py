@@ -2,12 +2,12 @@
 
 Links never leave the cluster's tables; each round's links are written to the shared folder, so
 lineage stays short and a lost executor costs nothing. Rounds follow the logarithm of the longest
-chain, not its length.
+chain, not its length. A hub's links are joined, never windowed, so that a hot one can be split.
 """
 
 from __future__ import annotations
 
-from pyspark.sql import DataFrame
+from pyspark.sql import DataFrame, Observation
 from pyspark.sql import functions as F
 
 from .common import discard, materialise
@@ -16,31 +16,35 @@ from .common import discard, materialise
 def _large_star(links: DataFrame) -> DataFrame:
     both = links.select("u", "v").union(links.select(F.col("v").alias("u"), F.col("u").alias("v")))
     least = both.groupBy("u").agg(F.least(F.min("v"), F.col("u")).alias("m"))
-    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).where("u != v").distinct()
+    return both.where("v > u").join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v")).distinct()
 
 
 def _small_star(links: DataFrame) -> DataFrame:
-    down = links.select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v"))
-    least = down.groupBy("u").agg(F.min("v").alias("m"))
-    moved = down.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
+    """links: u > v."""
+    least = links.groupBy("u").agg(F.min("v").alias("m"))
+    moved = links.join(least, "u").select(F.col("v").alias("u"), F.col("m").alias("v"))
     own = least.select("u", F.col("m").alias("v"))
-    return moved.union(own).where("u != v").distinct()
+    return moved.union(own).where("u != v").select(F.greatest("u", "v").alias("u"), F.least("u", "v").alias("v")).distinct()
 
 
 def components(links: DataFrame, most_rounds: int = 60) -> DataFrame:
-    """links: (u, v) longs, in any direction, repeated or not; loops are ignored. Returns
-    (id, component), a row for each id that has a link to another; component is the smallest id."""
-    now = materialise(links.select(F.col("u").cast("long"), F.col("v").cast("long")).where("u != v").distinct())
+    """links: (u, v) of any one type that has an order, in any direction, repeated or not; loops and nulls are
+    ignored. Returns (id, component), a row for each id that has a link to another, written to the shared folder;
+    component is the smallest id."""
+    now = materialise(links.where("u != v").select("u", "v").distinct())
     mark = None
     for _ in range(most_rounds):
-        new = materialise(_small_star(_large_star(now)))
-        found = new.agg(F.count(F.lit(1)), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)"))).first()
+        seen = Observation()
+        step = _small_star(_large_star(now))
+        new = materialise(step.observe(seen, F.count(F.lit(1)).alias("n"), F.sum(F.xxhash64("u", "v").cast("decimal(38,0)")).alias("h")))
         discard(now)
         now = new
-        if tuple(found) == mark:
+        if seen.get == mark:
             break
-        mark = tuple(found)
+        mark = seen.get
     else:
         raise RuntimeError(f"components have not settled in {most_rounds} rounds")
     roots = now.select(F.col("v").alias("id")).distinct().withColumn("component", F.col("id"))
-    return now.select(F.col("u").alias("id"), F.col("v").alias("component")).union(roots)
+    out = materialise(now.select(F.col("u").alias("id"), F.col("v").alias("component")).union(roots))
+    discard(now)
+    return out

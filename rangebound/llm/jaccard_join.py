@@ -7,16 +7,18 @@ document picks its own l: a longer prefix costs more postings, but asks for more
 anything is verified; a pair uses the smaller l of the two.
 
 From postings to links without listing the pairs of a group:
-- equal shingle sets are one class, stood for by its smallest id;
-- short posting lists are joined with themselves, and pairs with l shared postings are candidates;
-- a long list adds one edge from each member to its smallest id;
-- candidate edges give clusters. The texts of a cluster meet in one task, or, for a large cluster,
-  in tiles of two blocks; there all its pairs are compared exactly, and only links that join
-  something are returned.
+- equal shingle sets are one class, known by a 128-bit signature; a task posts each of its classes once;
+- postings are dealt by token and read in order, so that no list is held: a short list gives its pairs,
+  and pairs with l shared postings are candidates; a long one gives an edge from each member to its first;
+- candidate edges give clusters, and a cluster is dealt in blocks of bounded size, with a few leaders in each.
+  There an inverted index finds all partners of one document at a time, and documents of the largest
+  component found so far need not be asked: their partners outside it ask for them;
+- what is left outside the largest component of a cluster of several blocks is compared with all blocks.
 Sketch and hashes decide order and grouping alone; a link is an exact comparison of sets of 64-bit hashes.
 
-Defined results: null, empty and blank texts have no shingles and are linked with nothing; fewer
-words than a shingle are one shingle; repeated rows are one class; rows without an id are alone.
+Defined results, row by row: null, empty and blank texts have no shingles and are linked with nothing; fewer
+words than a shingle are one shingle; repeated rows are one class; rows that share an id but not
+a text are documents of their own; rows without an id are alone. Other columns aren't read.
 """
 
 from __future__ import annotations
@@ -31,22 +33,25 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import materialise, table
+from .common import discard, materialise, table
 from .components import components
 
 
 @dataclass(frozen=True)
 class JoinConfig:
     """words: of a shingle; percent: least Jaccard similarity; deepest: largest l; verify: cost of
-    verifying a candidate, in postings; short: longest posting list that is joined with itself;
-    block: documents of a tile's side; cells: of the sketch (a power of two); bits: of the bitmap of ids."""
+    verifying a candidate, in postings; short: longest posting list whose pairs are counted;
+    block: documents of a block, weight: its shingles; leaders: documents put into each block of a cluster;
+    cells: of the sketch (a power of two); bits: of the bitmap of ids."""
 
     words: int = 5
     percent: int = 80
     deepest: int = 8
     verify: float = 16.0
-    short: int = 24
-    block: int = 256
+    short: int = 8
+    block: int = 512
+    weight: int = 1 << 20
+    leaders: int = 16
     cells: int = 1 << 20
     bits: int = 1 << 23
 
@@ -62,43 +67,55 @@ def sets(column: pa.Array, words: int) -> Iterator[tuple[int, int, np.ndarray, n
         yield i, j, v, n
 
 
+def signatures(v: np.ndarray, n: np.ndarray) -> np.ndarray:
+    """Two 64-bit sums over each document's shingles, a row for each document."""
+    end = np.cumsum(n)
+    out = np.zeros((len(n), 2), dtype=np.uint64)
+    for k, salt in enumerate((0, 0xA5A5A5A55A5A5A5A)):
+        run = np.concatenate([np.zeros(1, np.uint64), np.cumsum(K.mix(v ^ np.uint64(salt)), dtype=np.uint64)])
+        out[:, k] = run[end] - run[end - n]
+    return out
+
+
+def _binary(sig: np.ndarray) -> pa.Array:
+    return pa.array([x.tobytes() for x in np.ascontiguousarray(sig)], pa.binary())
+
+
+PROFILE = "id long, n long, sig binary, cid long, part int, cells binary"
+
+
 def profile(docs: DataFrame, cfg: JoinConfig) -> DataFrame:
-    """docs: (id, text). A row for each document: id, n, and a 128-bit signature (s1, s2) of its
-    set; and rows with the parts of each task's sketch (part, cells)."""
+    """docs: (id, text). A row for each document: id, n, the signature of its set and the first half of that
+    as a number (cid); and rows with the parts of each task's sketch (part, cells)."""
     shift = np.uint64(64 - cfg.cells.bit_length() + 1)
+    names = ["id", "n", "sig", "cid", "part", "cells"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cells = np.zeros(cfg.cells, dtype=np.int64)
         wait: list[np.ndarray] = []
         held = 0
         for b in batches:
-            n_all, s1, s2 = (np.zeros(b.num_rows, dtype=np.int64) for _ in range(3))
+            n_all = np.zeros(b.num_rows, dtype=np.int64)
+            sig = np.zeros((b.num_rows, 2), dtype=np.uint64)
             for i, j, v, n in sets(b.column(1), cfg.words):
-                run1 = np.concatenate([np.zeros(1, np.uint64), np.cumsum(K.mix(v), dtype=np.uint64)])
-                run2 = np.concatenate([np.zeros(1, np.uint64), np.cumsum(K.mix(v ^ np.uint64(0xA5A5A5A55A5A5A5A)), dtype=np.uint64)])
-                end = np.cumsum(n)
                 n_all[i:j] = n
-                s1[i:j] = (run1[end] - run1[end - n]).view(np.int64)
-                s2[i:j] = (run2[end] - run2[end - n]).view(np.int64)
+                sig[i:j] = signatures(v, n)
                 wait.append((v >> shift).astype(np.int64))
                 held += len(v)
                 if held > 1 << 21:
                     cells += np.bincount(np.concatenate(wait), minlength=cfg.cells)
                     wait, held = [], 0
-            none = pa.nulls(b.num_rows, pa.int32())
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n_all), pa.array(s1), pa.array(s2), none, pa.nulls(b.num_rows, pa.binary())], NAMES)
+            cid = np.ascontiguousarray(sig[:, 0]).view(np.int64)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n_all), _binary(sig), pa.array(cid), pa.nulls(b.num_rows, pa.int32()), pa.nulls(b.num_rows, pa.binary())], names)
         if wait:
             cells += np.bincount(np.concatenate(wait), minlength=cfg.cells)
         if cells.any():
             pack = zstandard.ZstdCompressor(level=1)
             rows = [pack.compress(x.tobytes()) for x in np.split(cells, SKETCH_PARTS)]
             null = pa.nulls(SKETCH_PARTS, pa.int64())
-            yield pa.RecordBatch.from_arrays([null, null, null, null, pa.array(range(SKETCH_PARTS), pa.int32()), pa.array(rows, pa.binary())], NAMES)
+            yield pa.RecordBatch.from_arrays([null, null, pa.nulls(SKETCH_PARTS, pa.binary()), null, pa.array(range(SKETCH_PARTS), pa.int32()), pa.array(rows, pa.binary())], names)
 
-    return docs.mapInArrow(run, "id long, n long, s1 long, s2 long, part int, cells binary")
-
-
-NAMES = ["id", "n", "s1", "s2", "part", "cells"]
+    return docs.mapInArrow(run, PROFILE)
 
 
 def sketch(profiled: DataFrame, cfg: JoinConfig) -> np.ndarray:
@@ -114,7 +131,7 @@ def sketch(profiled: DataFrame, cfg: JoinConfig) -> np.ndarray:
         if acc:
             yield pa.RecordBatch.from_arrays([pa.array(list(acc), pa.int32()), pa.array([x.tobytes() for x in acc.values()], pa.binary())], ["part", "cells"])
 
-    rows = profiled.where("part is not null").select("part", "cells").repartition(SKETCH_PARTS, "part").mapInArrow(add, "part int, cells binary").collect()
+    rows = profiled.where("part is not null").select("part", "cells").repartition(SKETCH_PARTS, "part").mapInArrow(add, "part int, cells binary").toLocalIterator()
     out = np.zeros(cfg.cells, dtype=np.int64)
     size = cfg.cells // SKETCH_PARTS
     for r in rows:
@@ -122,10 +139,20 @@ def sketch(profiled: DataFrame, cfg: JoinConfig) -> np.ndarray:
     return out
 
 
-def prefixes(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
-    """docs: (id, text). (id, n, l, first, tokens): the document's prefix in the common order;
-    the first `first` tokens are its prefix for l = 1, each further one is for the next l. A token
-    is a shingle's frequency class and hash."""
+def _depth(own: np.ndarray, cost: np.ndarray, cfg: JoinConfig) -> tuple[int, int]:
+    """(l, length of the prefix for l = 1) of a document with these ordered tokens: the l at which what the prefix's
+    postings cost, and the verifications that so many shared ones let through, is least."""
+    least = -(-cfg.percent * len(own) // 100)
+    first = len(own) - least + 1
+    top = min(cfg.deepest, max(1, least))
+    spend = np.cumsum(cost[(own[: first + top - 1] >> np.uint64(57)).astype(np.int64)])
+    return 1 + int(np.argmin([spend[first + k - 1] * (1 + cfg.verify / (k + 1)) for k in range(top)])), first
+
+
+def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
+    """docs: (id, text). (token, cid, packed) for each token of each class's prefix in the common order. A token is a
+    shingle's frequency class and hash; packed has n, l and the token's level: the least l whose prefix holds it.
+    A task posts a class once, however many of its rows are copies."""
     classes = np.floor(2 * np.log2(np.maximum(counts, 1))).astype(np.uint64)
     load = max(1.0, float(counts.mean()))
     costs = 1 + np.maximum(0.0, 2.0 ** (np.arange(128) / 2) - 2 * load)
@@ -134,93 +161,162 @@ def prefixes(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cls, cost = shared.value
+        done: set[int] = set()
         for b in batches:
-            ls, firsts, toks, ns = [], [], [], []
-            for i, j, v, n in sets(b.column(1), cfg.words):
+            for _, _, v, n in sets(b.column(0), cfg.words):
+                cid = np.ascontiguousarray(signatures(v, n)[:, 0]).view(np.int64).tolist()
                 key = (cls[(v >> shift).astype(np.int64)].astype(np.uint64) << np.uint64(57)) | (v >> np.uint64(7))
+                tokens, who, packed = [], [], []
                 at = 0
-                for size in n.tolist():
+                for size, c in zip(n.tolist(), cid, strict=True):
                     own = key[at : at + size]
                     at += size
+                    if not size or c in done:
+                        continue
+                    done.add(c)
                     own.sort()
-                    least = -(-cfg.percent * size // 100)
-                    first = size - least + 1 if size else 0
-                    top = min(cfg.deepest, max(1, least))
-                    spend = np.cumsum(cost[(own[: first + top - 1] >> np.uint64(57)).astype(np.int64)])
-                    deep = 1 + int(np.argmin([spend[first + k - 1] * (1 + cfg.verify / (k + 1)) for k in range(top)])) if size else 1
-                    ls.append(deep)
-                    firsts.append(first)
-                    ns.append(size)
-                    toks.append(own[: first + deep - 1].view(np.int64) if size else np.zeros(0, np.int64))
-            flat = pa.array(np.concatenate([*toks, np.zeros(0, np.int64)]))
-            ends = np.concatenate([[0], np.cumsum([len(t) for t in toks])]).astype(np.int32)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(ns, pa.int32()), pa.array(ls, pa.int32()), pa.array(firsts, pa.int32()), pa.ListArray.from_arrays(pa.array(ends), flat)], ["id", "n", "l", "first", "tokens"])
-
-    return docs.mapInArrow(run, "id long, n int, l int, first int, tokens array<long>")
-
-
-def candidates(pre: DataFrame, cfg: JoinConfig) -> DataFrame:
-    """Edges (u, v) between documents to be compared."""
-    n_parts = int(pre.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    post = pre.select("id", "n", "l", "first", F.posexplode("tokens").alias("pos", "token"))
-    level = F.greatest(F.lit(1), F.col("pos") - F.col("first") + 2)
-    # Postings are dealt by token once, for the sizes of lists and for the join with them alike.
-    post = post.select("token", "id", (F.col("n").cast("long") * 256 + F.col("l") * 16 + level).alias("packed")).repartition(n_parts, "token")
-    lists = post.groupBy("token").agg(F.count(F.lit(1)).alias("size"), F.min("id").alias("head")).where("size > 1")
-    post = post.join(lists.hint("shuffle_hash"), "token")
-    post = post.select("token", "id", F.shiftright("packed", 8).alias("n"), (F.shiftright("packed", 4) % 16).alias("l"), (F.col("packed") % 16).alias("level"), "size", "head")
-    post = materialise(post)
-    short = post.where(F.col("size") <= cfg.short).select("token", "id", "n", "l", "level")
-    a, b = (short.select(*[F.col(c).alias(f"{s}{c}") for c in short.columns]) for s in "ab")
-    near = (F.col("atoken") == F.col("btoken")) & (F.col("aid") < F.col("bid")) & (100 * F.least("an", "bn") >= cfg.percent * F.greatest("an", "bn")) & (F.greatest("alevel", "blevel") <= F.least("al", "bl"))
-    met = a.join(b, near).groupBy(F.col("aid").alias("u"), F.col("bid").alias("v")).agg(F.count(F.lit(1)).alias("k"), F.min(F.least("al", "bl")).alias("l"))
-    long = post.where((F.col("size") > cfg.short) & (F.col("id") != F.col("head"))).select(F.col("id").alias("u"), F.col("head").alias("v")).distinct()
-    return met.where("k >= l").select("u", "v").union(long)
-
-
-def _compare(ids: np.ndarray, side: np.ndarray, column: pa.Array, cross: bool, cfg: JoinConfig) -> list[tuple[int, int]]:
-    """Links among the texts of a tile that join something."""
-    parts = list(sets(column, cfg.words))
-    n = np.concatenate([p[3] for p in parts])
-    v = np.concatenate([p[2] for p in parts])
-    m = len(n)
-    doc = np.repeat(np.arange(m), n)
-    order = np.argsort(v, kind="stable")
-    v, doc = v[order], doc[order]
-    new = np.ones(len(v), dtype=bool)
-    new[1:] = v[1:] != v[:-1]
-    col = np.cumsum(new) - 1
-    times = np.bincount(col)
-    often = times[col] > 1
-    doc, col = doc[often], col[often]
-    if len(col):
-        col = np.unique(col, return_inverse=True)[1]
-    common = np.zeros((m, m), dtype=np.float32)
-    width = max(1, min(int(col[-1]) + 1 if len(col) else 1, (1 << 21) // m))
-    cut = np.searchsorted(col, np.arange(0, (int(col[-1]) + 1 if len(col) else 0) + width, width))
-    for k in range(len(cut) - 1):
-        x = np.zeros((m, width), dtype=np.float32)
-        x[doc[cut[k] : cut[k + 1]], col[cut[k] : cut[k + 1]] - k * width] = 1
-        common += x @ x.T
-    both = common.astype(np.int64)
-    ok = (100 * both >= cfg.percent * (n[:, None] + n[None, :] - both)) & (both > 0)
-    if cross:
-        ok &= side[:, None] != side[None, :]
-    us, vs = np.nonzero(np.triu(ok, 1))
-    up = list(range(m))
-
-    def root(x: int) -> int:
-        while up[x] != x:
-            up[x] = up[up[x]]
-            x = up[x]
-        return x
+                    deep, first = _depth(own, cost, cfg)
+                    own = own[: first + deep - 1]
+                    tokens.append(own.view(np.int64))
+                    who.append(np.full(len(own), c, dtype=np.int64))
+                    packed.append(size * 256 + deep * 16 + np.maximum(1, np.arange(len(own)) - first + 2))
+                if tokens:
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (tokens, who, packed)], ["token", "cid", "packed"])
+
+    return docs.select("text").mapInArrow(run, "token long, cid long, packed long")
+
+
+def _pairs(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, short: int, percent: int, head: tuple[int, int] | None) -> list[np.ndarray]:
+    """Edges (u, v, l) of whole posting lists in order of token and cid; head: (token, first member) of a list
+    whose beginning has been read already. Pairs of short lists carry the l that they need, edges of long lists 0."""
+    keep = np.ones(len(token), dtype=bool)
+    keep[1:] = (token[1:] != token[:-1]) | (cid[1:] != cid[:-1]) | (packed[1:] != packed[:-1])
+    token, cid, packed = token[keep], cid[keep], packed[keep]
+    new = np.ones(len(token), dtype=bool)
+    new[1:] = token[1:] != token[:-1]
+    start = np.flatnonzero(new)
+    size = np.diff(np.append(start, len(token)))
+    first = cid[start]
+    if head is not None and len(start) and token[0] == head[0]:
+        first[0] = head[1]
+        size[0] += short  # what has been read of it is longer than a short list
+    size, first = np.repeat(size, np.diff(np.append(start, len(token)))), np.repeat(first, np.diff(np.append(start, len(token))))
+    long = size > short
+    star = long & (cid != first)
+    out = [np.stack([np.minimum(cid[star], first[star]), np.maximum(cid[star], first[star]), np.zeros(int(star.sum()), np.int64)])]
+    n, deep, level = packed >> 8, (packed >> 4) & 15, packed & 15
+    for d in range(1, short):
+        a = np.flatnonzero(~long[:-d] & (token[:-d] == token[d:])) if d < len(token) else np.zeros(0, np.int64)
+        if not len(a):
+            break
+        z = a + d
+        need = np.minimum(deep[a], deep[z])
+        ok = (100 * np.minimum(n[a], n[z]) >= percent * np.maximum(n[a], n[z])) & (np.maximum(level[a], level[z]) <= need) & (cid[a] != cid[z])
+        a, z = a[ok], z[ok]
+        out.append(np.stack([np.minimum(cid[a], cid[z]), np.maximum(cid[a], cid[z]), need[ok]]))
+    return out
+
 
+def candidates(post: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """Edges (u, v) between classes that have to meet, over cid."""
+    n_parts = int(post.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+    ordered = post.repartition(n_parts, "token").sortWithinPartitions("token", "cid", "packed")
+    short, percent, most = cfg.short, cfg.percent, 1 << 17
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        held = np.zeros((3, 0), dtype=np.int64)
+        head: tuple[int, int] | None = None
+
+        def flush(part: np.ndarray) -> pa.RecordBatch:
+            e = np.concatenate(_pairs(*part, short, percent, head), axis=1)
+            return pa.RecordBatch.from_arrays([pa.array(x) for x in e], ["u", "v", "l"])
+
+        for b in batches:
+            held = np.concatenate([held, np.stack([c.to_numpy() for c in b.columns])], axis=1)
+            if held.shape[1] < most:
+                continue
+            cut = int(np.searchsorted(held[0], held[0, -1]))  # the last list may go on
+            if cut:
+                yield flush(held[:, :cut])
+                held, head = held[:, cut:], None
+            if held.shape[1] > most // 2:
+                # One list fills the buffer; it is long, unless its rows repeat.
+                own = np.unique(held, axis=1)
+                if own.shape[1] <= short and head is None:
+                    held = own
+                else:
+                    yield flush(held)
+                    head = (int(held[0, 0]), head[1] if head and head[0] == held[0, 0] else int(held[1, 0]))
+                    held = held[:, -1:]
+        if held.shape[1]:
+            yield flush(held)
+
+    edges = ordered.mapInArrow(run, "u long, v long, l long")
+    return edges.groupBy("u", "v").agg(F.count(F.lit(1)).alias("k"), F.min("l").alias("l")).where("k >= l").select("u", "v")
+
+
+class Tile:
+    """The distinct documents of a tile, and an inverted index of the shingles that two of them share."""
+
+    def __init__(self, column: pa.Array, given: list[bytes], cfg: JoinConfig) -> None:
+        parts = list(sets(column, cfg.words))
+        n = np.concatenate([p[3] for p in parts])
+        v = np.concatenate([p[2] for p in parts])
+        sig = [x.tobytes() for x in np.concatenate([signatures(p[2], p[3]) for p in parts])]
+        #: Rows of the distinct documents; rows whose text isn't that of their class don't count.
+        first = {x: i for i, x in reversed(list(enumerate(sig))) if x == given[i]}
+        self.rows = sorted(first.values())
+        self.ids = [sig[i] for i in self.rows]
+        place = np.full(len(n), -1)
+        place[self.rows] = np.arange(len(self.rows))
+        doc = np.repeat(place, n)
+        v, doc = v[doc >= 0], doc[doc >= 0]
+        self.n, self.percent = n[self.rows], cfg.percent
+        order = np.argsort(v, kind="stable")
+        v, doc = v[order], doc[order]
+        new = np.ones(len(v), dtype=bool)
+        new[1:] = v[1:] != v[:-1]
+        col = np.cumsum(new) - 1
+        size = np.bincount(col) if len(col) else np.zeros(0, np.int64)
+        shared = size[col] > 1
+        self.doc = doc[shared]
+        size = size[size > 1]
+        self.first, self.size = np.cumsum(size) - size, size
+        col = np.repeat(np.arange(len(size)), size)
+        back = np.argsort(self.doc, kind="stable")
+        self.cols = col[back]
+        self.cut = np.searchsorted(self.doc[back], np.arange(len(self.rows) + 1))
+
+    def partners(self, d: int) -> np.ndarray:
+        """Places of the documents that link with document d."""
+        cols = self.cols[self.cut[d] : self.cut[d + 1]]
+        size = self.size[cols]
+        at = np.repeat(self.first[cols] - (np.cumsum(size) - size), size) + np.arange(int(size.sum()))
+        both = np.bincount(self.doc[at], minlength=len(self.rows))
+        ok = (100 * both >= self.percent * (self.n + self.n[d] - both)) & (both > 0)
+        ok[d] = False
+        return np.flatnonzero(ok)
+
+
+def explore(tile: Tile, label: np.ndarray, asks: np.ndarray, core: np.ndarray | None = None) -> list[tuple[int, int]]:
+    """Links (places) that join what the label hasn't joined. Documents outside the component of the core ask for
+    their partners, one by one, until none that may ask is left; the core is a set of one label, or the largest
+    component of the moment. So all pairs with a document outside it are compared, and those within it are joined."""
     out = []
-    for x, y in zip(us.tolist(), vs.tolist(), strict=True):
-        p, q = root(x), root(y)
-        if p != q:
-            up[max(p, q)] = min(p, q)
-            out.append((int(ids[x]), int(ids[y])))
+    open_ = asks.copy()
+    fixed = None if core is None else int(np.argmax(core)) if core.any() else -1
+    while len(label):
+        inner = int(np.argmax(np.bincount(label))) if fixed is None else int(label[fixed]) if fixed >= 0 else -1
+        wait = np.flatnonzero(open_ & (label != inner))
+        if not len(wait):
+            break
+        d = int(wait[0])
+        open_[d] = False
+        met = tile.partners(d)
+        for x in np.unique(label[met]).tolist():
+            if x != label[d]:
+                out.append((d, int(met[label[met] == x][0])))
+        label[np.isin(label, label[met])] = label[d]
     return out
 
 
@@ -228,9 +324,9 @@ def id_filter(spark: SparkSession, ids: DataFrame, bits: int = 1 << 23) -> tuple
     """A bitmap of hashed ids, of fixed size, as a frame of one row, and the test of an id column against it.
     What it rejects isn't among the ids; the more ids, the more others it lets through."""
     place = lambda c: F.pmod(F.xxhash64(c), F.lit(bits))
-    got = ids.select(place(F.col("id")).alias("h")).groupBy(F.shiftright("h", 6).cast("int").alias("word")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("h") % 64).cast("int"))).alias("mask")).toPandas()
+    got = ids.select(place(F.col("id")).alias("h")).groupBy(F.shiftright("h", 6).cast("int").alias("word")).agg(F.bit_or(F.call_function("shiftleft", F.lit(1).cast("long"), (F.col("h") % 64).cast("int"))).alias("mask")).toArrow()
     words = np.zeros(bits // 64, dtype=np.int64)
-    words[got["word"].to_numpy(dtype=int)] = got["mask"].to_numpy(dtype=np.int64)
+    words[got.column("word").to_numpy()] = got.column("mask").to_numpy()
     bitmap = spark.createDataFrame(pa.table({"_bitmap": pa.array([words], pa.list_(pa.int64()))}))
 
     def hit(c: str) -> Column:
@@ -250,23 +346,88 @@ def without(docs: DataFrame, ids: DataFrame, key: str = "doc_id", bits: int = 1
     return clear.unionByName(asked.join(ids.select(F.col("id").alias("_id")), F.col(key) == F.col("_id"), "left_anti"))
 
 
-def links(docs: DataFrame, clusters: DataFrame, cfg: JoinConfig) -> DataFrame:
-    """docs: (id, text); clusters: (id, component). Links (u, v) that span the similar documents
-    of each cluster. A tile holds two blocks of about cfg.block documents at most."""
-    sizes = clusters.groupBy("component").agg(F.ceil(F.count(F.lit(1)) / cfg.block).cast("int").alias("blocks"))
-    placed = clusters.join(sizes, "component").withColumn("own", F.pmod(F.xxhash64("id"), F.col("blocks")).cast("int"))
-    tiles = placed.select("id", "component", "own", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("other"))
-    tiles = tiles.select("id", "component", "own", F.least("own", "other").alias("i"), F.greatest("own", "other").alias("j"))
-    bitmap, hit = id_filter(docs.sparkSession, clusters, cfg.bits)
+def placed(heads: DataFrame, clusters: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """heads: (sig, cid, head, n); clusters: (id, component) over cid. Members (sig, head, component, blocks, block)."""
+    members = heads.join(clusters, F.col("cid") == F.col("id")).select("sig", "head", "n", "component")
+    sizes = members.groupBy("component").agg(F.ceil(F.greatest(F.count(F.lit(1)) / cfg.block, F.sum("n") / cfg.weight)).cast("int").alias("blocks"))
+    return members.join(sizes, "component").select("sig", "head", "component", "blocks", F.pmod(F.xxhash64("sig"), F.col("blocks")).cast("int").alias("block"))
+
+
+def _with_texts(docs: DataFrame, dealt: DataFrame, bitmap: DataFrame, hit: Callable[[str], Column]) -> DataFrame:
+    """dealt, with the text of each head. The dealt side is the hashed one at every size: it has no texts."""
     asked = docs.crossJoin(F.broadcast(bitmap)).where(hit("id")).drop("_bitmap")  # one row; spares the join other texts
-    rows = asked.join(tiles, "id").select("component", "i", "j", "id", "own", "text")
+    return asked.join(dealt.hint("shuffle_hash"), F.col("id") == F.col("head")).drop("id", "head")
+
+
+LINK = "u binary, v binary"
+
+
+def _links(t: pa.Table, found: list[tuple[bytes, bytes]]) -> pa.Table:
+    return pa.table({"u": pa.array([x[0] for x in found], pa.binary()), "v": pa.array([x[1] for x in found], pa.binary())})
+
+
+def block_links(docs: DataFrame, places: DataFrame, cfg: JoinConfig, bitmap: DataFrame, hit: Callable[[str], Column]) -> DataFrame:
+    """Links (u, v) of signatures that span the similar documents of each block."""
+    own = places.select("component", "block", "sig", "head")
+    least = places.where("blocks > 1").groupBy("component", "blocks", F.pmod(F.xxhash64("sig", F.lit(1)), F.lit(cfg.leaders))).agg(F.min(F.struct("sig", "head")).alias("x"))
+    lead = least.select("component", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "x.sig", "x.head")
 
     def compare(t: pa.Table) -> pa.Table:
-        i, j = t.column("i")[0].as_py(), t.column("j")[0].as_py()
-        found = _compare(t.column("id").to_numpy(), t.column("own").to_numpy(), t.column("text").combine_chunks(), i != j, cfg) if t.num_rows > 1 else []
-        return pa.table({"u": pa.array([x[0] for x in found], pa.int64()), "v": pa.array([x[1] for x in found], pa.int64())})
+        found: list[tuple[bytes, bytes]] = []
+        if t.num_rows > 1:
+            tile = Tile(t.column("text").combine_chunks(), t.column("sig").to_pylist(), cfg)
+            m = len(tile.ids)
+            found = [(tile.ids[a], tile.ids[b]) for a, b in explore(tile, np.arange(m), np.ones(m, dtype=bool))]
+        return _links(t, found)
+
+    return _with_texts(docs, own.unionByName(lead), bitmap, hit).groupBy("component", "block").applyInArrow(compare, LINK)
+
+
+def rest_links(docs: DataFrame, places: DataFrame, known: DataFrame, cfg: JoinConfig, bitmap: DataFrame, hit: Callable[[str], Column]) -> DataFrame | None:
+    """known: (id, component), the components that blocks have found. Links between them, over their names; None if
+    every cluster of several blocks is one component. Documents outside the largest component of their cluster meet
+    all its blocks."""
+    large = places.where("blocks > 1").join(known.select(F.col("id").alias("sig"), F.col("component").alias("c")), "sig", "left").withColumn("own", F.coalesce("c", "sig")).drop("c")
+    sizes = large.groupBy("component", "own").agg(F.count(F.lit(1)).alias("size")).groupBy("component").agg(F.max_by("own", F.struct("size", "own")).alias("giant"), F.sum("size").alias("all"), F.max("size").alias("most"))
+    left = materialise(sizes.where("all > most").select("component", "giant", F.ceil((F.col("all") - F.col("most")) / cfg.block).cast("int").alias("parts")))
+    if left.isEmpty():
+        discard(left)
+        return None
+    large = large.join(left, "component").withColumn("part", F.pmod(F.xxhash64("sig", F.lit(2)), F.col("parts")).cast("int")).withColumn("asks", F.col("own") != F.col("giant"))
+    meet = large.select("component", "block", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), "sig", "head", "own", F.lit(False).alias("asks"), F.expr("own = giant").alias("core"))
+    ask = large.where("asks").select("component", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "part", "sig", "head", "own", "asks", F.lit(False).alias("core"))
 
-    return rows.groupBy("component", "i", "j").applyInArrow(compare, "u long, v long")
+    def compare(t: pa.Table) -> pa.Table:
+        # Asking rows first: of a document's two rows in its own block, the one that asks stays.
+        t = t.sort_by([("asks", "descending")])
+        found: list[tuple[bytes, bytes]] = []
+        asks = t.column("asks").to_numpy()
+        if t.num_rows > 1 and asks.any():
+            tile = Tile(t.column("text").combine_chunks(), t.column("sig").to_pylist(), cfg)
+            own = [t.column("own")[i].as_py() for i in tile.rows]
+            names = {x: i for i, x in enumerate(dict.fromkeys(own))}
+            label = np.array([names[x] for x in own], dtype=np.int64)
+            found = [(own[a], own[b]) for a, b in explore(tile, label, asks[tile.rows], t.column("core").to_numpy()[tile.rows])]
+        return _links(t, found)
+
+    return _with_texts(docs, meet.unionByName(ask), bitmap, hit).groupBy("component", "part", "block").applyInArrow(compare, LINK)
+
+
+def classes(docs: DataFrame, heads: DataFrame, clusters: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """(sig, component) of the classes that have a link to another; written to the shared folder."""
+    places = materialise(placed(heads, clusters, cfg))
+    bitmap, hit = id_filter(docs.sparkSession, places.select(F.col("head").alias("id")), cfg.bits)
+    found = components(block_links(docs, places, cfg, bitmap, hit))
+    rest = rest_links(docs, places, found, cfg, bitmap, hit)
+    if rest is not None:
+        # A component that blocks found may take part under its name, as may a document that none holds.
+        joined = components(rest).select(F.col("id").alias("c"), F.col("component").alias("to"))
+        alone = joined.join(found, F.col("c") == F.col("id"), "left_anti").select(F.col("c").alias("id"), F.col("c").alias("component"))
+        new = materialise(found.unionByName(alone).join(joined, F.col("component") == F.col("c"), "left").select("id", F.coalesce("to", "component").alias("component")))
+        discard(found)
+        found = new
+    discard(places)
+    return found
 
 
 def groups(docs: DataFrame, cfg: JoinConfig = JoinConfig(), key: str = "doc_id", text: str = "text") -> DataFrame:
@@ -274,13 +435,16 @@ def groups(docs: DataFrame, cfg: JoinConfig = JoinConfig(), key: str = "doc_id",
     by links, itself included."""
     docs = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
     seen = materialise(profile(docs, cfg))
-    rows = seen.where("part is null").select("id", "n", "s1", "s2")
-    heads = rows.where("n > 0 and id is not null").groupBy("n", "s1", "s2").agg(F.min("id").alias("head"))
-    pre = prefixes(docs, sketch(seen, cfg), cfg).join(heads.select(F.col("head").alias("id")), "id", "left_semi")
-    clusters = components(candidates(pre, cfg))
-    found = components(links(docs, clusters, cfg))
-    known = heads.join(found.select(F.col("id").alias("head"), "component"), "head", "left").select("n", "s1", "s2", F.coalesce("component", "head").alias("component"))
-    return rows.join(known, ["n", "s1", "s2"], "left").select("id", F.col("n").alias("n_shingles"), F.coalesce(F.when(F.col("id").isNotNull(), F.col("component")), F.col("id")).alias("component_id"))
+    rows = seen.where("part is null").select("id", "n", "sig", "cid")
+    heads = rows.where("n > 0 and id is not null").groupBy("sig", "cid", "n").agg(F.min("id").alias("head"))
+    clusters = components(candidates(postings(docs, sketch(seen, cfg), cfg), cfg))
+    found = classes(docs, heads, clusters, cfg)
+    discard(clusters)
+    named = heads.join(found.withColumnRenamed("id", "sig"), "sig", "left").select("sig", "head", F.coalesce("component", "sig").alias("component"))
+    least = named.groupBy("component").agg(F.min("head").alias("least"))
+    known = materialise(named.join(least, "component").select("sig", "least"))
+    discard(found)
+    return rows.join(known, "sig", "left").select("id", F.col("n").alias("n_shingles"), F.coalesce(F.when(F.col("id").isNotNull(), F.col("least")), F.col("id")).alias("component_id"))
 
 
 def op10_jaccard_join(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -45,42 +45,63 @@ def test_kernels():
 
 
 def brute_components(texts, k, pct):
-    sets = {}
-    for i, t in texts:
+    """Smallest id reached from each row of texts (id, text), in their order."""
+    sets = []
+    for _, t in texts:
         w = re.findall(r"[^\x20\x09-\x0D]+", (t or "").lower())
-        sets.setdefault(i, []).append(frozenset(tuple(w[j : j + k]) for j in range(max(1, len(w) - k + 1))) if w else frozenset())
-    up = {i: i for i in sets}
+        sets.append(frozenset(tuple(w[j : j + k]) for j in range(max(1, len(w) - k + 1))) if w else frozenset())
+    up = list(range(len(texts)))
 
     def root(x):
         while up[x] != x:
             x = up[x]
         return x
 
-    for a, b in itertools.combinations(sets, 2):
-        for x in sets[a]:
-            for y in sets[b]:
-                if x and y and 100 * len(x & y) >= pct * len(x | y):
-                    p, q = root(a), root(b)
-                    up[max(p, q)] = min(p, q)
-    return {i: root(i) for i in sets}
+    for a, b in itertools.combinations(range(len(texts)), 2):
+        x, y = sets[a], sets[b]
+        if x and y and 100 * len(x & y) >= pct * len(x | y):
+            p, q = root(a), root(b)
+            up[max(p, q)] = min(p, q)
+    least = {}
+    for i, (key, _) in enumerate(texts):
+        least[root(i)] = min(key, least.get(root(i), key))
+    return [(key, len(sets[i]), least[root(i)]) for i, (key, _) in enumerate(texts)]
 
 
-@pytest.mark.parametrize("k,pct", [(3, 90), (5, 80)])
-def test_jaccard_join(spark, docs, k, pct):
-    rng = random.Random(k)
+def near_copies(seed, n=60):
+    """A group of near copies, larger than a short posting list, and a chain that leads away from it."""
+    rng = random.Random(seed)
     base = words(rng, 120).split()
     near = []
-    for i in range(60):  # a group of near copies, larger than a short posting list
+    for i in range(n):
         w = list(base)
         for _ in range(rng.randint(0, 5)):
             w[rng.randint(0, len(w) - 1)] = f"z{rng.randint(0, 9)}"
         near.append((1000 + i, " ".join(w), "a", "s0", 0))
-    all_docs = docs.union(spark.createDataFrame(near, DOCS))
-    got = jaccard_join.groups(all_docs, jaccard_join.JoinConfig(words=k, percent=pct, block=16)).collect()
+    w = list(base)
+    for i in range(20):
+        w[5 * i % 120 : 5 * i % 120 + 2] = [f"c{i}", f"d{i}"]
+        near.append((2000 - i, " ".join(w), "a", "s0", 0))
+    return near
+
+
+@pytest.mark.parametrize("k,pct,block,short", [(3, 90, 512, 8), (5, 80, 512, 8), (5, 80, 4, 3), (3, 90, 8, 2)])
+def test_jaccard_join(spark, docs, k, pct, block, short):
+    all_docs = docs.union(spark.createDataFrame(near_copies(k), DOCS))
+    cfg = jaccard_join.JoinConfig(words=k, percent=pct, block=block, short=short, leaders=2 if block < 512 else 16)
+    got = jaccard_join.groups(all_docs, cfg).collect()
     want = brute_components([(r["doc_id"], r["text"]) for r in all_docs.collect()], k, pct)
-    assert all(r["component_id"] == want[r["id"]] for r in got if r["id"] != 108)
-    assert len(got) == all_docs.count()
-    assert jaccard_join.groups(all_docs.where("false"), jaccard_join.JoinConfig()).count() == 0
+    assert sorted(tuple(r) for r in got) == sorted(want)
+    assert sum(r[0] == 108 for r in got) == 2
+    assert jaccard_join.groups(all_docs.where("false"), cfg).count() == 0
+
+
+def test_posting_lists_longer_than_a_buffer(spark):
+    """A list of 200,000 members and many copies gives an edge from each member to its first."""
+    many = spark.range(200_000).selectExpr("7L as token", "id as cid", f"{100 * 256 + 17}L as packed")
+    copies = spark.range(100_000).selectExpr("9L as token", "id % 3 as cid", f"{100 * 256 + 17}L as packed")
+    got = jaccard_join.candidates(many.union(copies), jaccard_join.JoinConfig())
+    assert got.count() == 199_999 + 1 and got.where("u = 0").count() == 199_999  # (1, 2) comes from the copies
 
 
 def test_components(spark):
@@ -245,5 +266,5 @@ def test_pipeline_stages(spark):
     docs = spark.read.parquet(f"{sf}/documents.parquet")
     kept = P.near_duplicates(spark, docs, sf)
     comp = brute_components([(r["doc_id"], r["text"]) for r in docs.collect()], 5, 80)
-    assert sorted(r["doc_id"] for r in kept.collect()) == sorted(i for i, c in comp.items() if i == c)
+    assert sorted(r["doc_id"] for r in kept.collect()) == sorted(i for i, _, c in comp if i == c)
     assert kept.columns == docs.columns

@@ -8,8 +8,9 @@ anything is verified; a pair uses the smaller l of the two.
 
 From postings to links without listing the pairs of a group:
 - equal shingle sets are one class, known by a 128-bit signature; a task posts each of its classes once;
-- postings are dealt by token and read in order, so that no list is held: a short list gives its pairs,
-  and pairs with l shared postings are candidates; a long one gives an edge from each member to its first;
+- postings are dealt by token and read in order, so that no long list is held: a short list gives its pairs; pairs with
+  l shared postings are candidates; a long list gives edges from its members to the first of like length, but only
+  from those that are in so many long lists that these alone may make l;
 - candidate edges give clusters, and a cluster is dealt in blocks of bounded size, with a few leaders in each.
   There an inverted index finds all partners of one document at a time, and documents of the largest
   component found so far need not be asked: their partners outside it ask for them;
@@ -40,7 +41,7 @@ from .components import components
 @dataclass(frozen=True)
 class JoinConfig:
     """words: of a shingle; percent: least Jaccard similarity; deepest: largest l; verify: cost of
-    verifying a candidate, in postings; short: longest posting list whose pairs are counted;
+    verifying a candidate, in postings; short: longest posting list whose pairs are counted one by one;
     block: documents of a block, weight: its shingles; leaders: documents put into each block of a cluster;
     cells: of the sketch (a power of two); bits: of the bitmap of ids."""
 
@@ -48,7 +49,7 @@ class JoinConfig:
     percent: int = 80
     deepest: int = 8
     verify: float = 16.0
-    short: int = 8
+    short: int = 64
     block: int = 512
     weight: int = 1 << 20
     leaders: int = 16
@@ -186,50 +187,48 @@ def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
     return docs.select("text").mapInArrow(run, "token long, cid long, packed long")
 
 
-def _pairs(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, short: int, percent: int, head: tuple[int, int] | None) -> list[np.ndarray]:
-    """Edges (u, v, l) of whole posting lists in order of token and cid; head: (token, first member) of a list
-    whose beginning has been read already. Pairs of short lists carry the l that they need, edges of long lists 0."""
+def _lists(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, cfg: JoinConfig, going: bool) -> np.ndarray:
+    """Rows (kind, a, b, c) of whole posting lists in order of token and cid; going: the first is known to be long. For
+    short lists their pairs that may link, as (0, u, v, l that the pair needs); for long ones their members (1, cid, token, packed)."""
     keep = np.ones(len(token), dtype=bool)
     keep[1:] = (token[1:] != token[:-1]) | (cid[1:] != cid[:-1]) | (packed[1:] != packed[:-1])
     token, cid, packed = token[keep], cid[keep], packed[keep]
     new = np.ones(len(token), dtype=bool)
     new[1:] = token[1:] != token[:-1]
     start = np.flatnonzero(new)
-    size = np.diff(np.append(start, len(token)))
-    first = cid[start]
-    if head is not None and len(start) and token[0] == head[0]:
-        first[0] = head[1]
-        size[0] += short  # what has been read of it is longer than a short list
-    size, first = np.repeat(size, np.diff(np.append(start, len(token)))), np.repeat(first, np.diff(np.append(start, len(token))))
-    long = size > short
-    star = long & (cid != first)
-    out = [np.stack([np.minimum(cid[star], first[star]), np.maximum(cid[star], first[star]), np.zeros(int(star.sum()), np.int64)])]
+    own = np.diff(np.append(start, len(token)))
+    size, first = np.repeat(own, own), np.repeat(start, own)
+    long = size > cfg.short
+    if going and len(start):
+        long[: own[0]] = True
+    out = [np.stack([np.ones(int(long.sum()), np.int64), cid[long], token[long], packed[long]])]
     n, deep, level = packed >> 8, (packed >> 4) & 15, packed & 15
-    for d in range(1, short):
-        a = np.flatnonzero(~long[:-d] & (token[:-d] == token[d:])) if d < len(token) else np.zeros(0, np.int64)
+    end = first + size
+    a = np.flatnonzero(~long)
+    for d in range(1, cfg.short):
+        a = a[a + d < end[a]]
         if not len(a):
             break
         z = a + d
         need = np.minimum(deep[a], deep[z])
-        ok = (100 * np.minimum(n[a], n[z]) >= percent * np.maximum(n[a], n[z])) & (np.maximum(level[a], level[z]) <= need) & (cid[a] != cid[z])
-        a, z = a[ok], z[ok]
-        out.append(np.stack([np.minimum(cid[a], cid[z]), np.maximum(cid[a], cid[z]), need[ok]]))
-    return out
+        ok = (100 * np.minimum(n[a], n[z]) >= cfg.percent * np.maximum(n[a], n[z])) & (np.maximum(level[a], level[z]) <= need) & (cid[a] != cid[z])
+        u, v = cid[a[ok]], cid[z[ok]]
+        out.append(np.stack([np.zeros(len(u), np.int64), np.minimum(u, v), np.maximum(u, v), need[ok]]))
+    return np.concatenate(out, axis=1)
 
 
-def candidates(post: DataFrame, cfg: JoinConfig) -> DataFrame:
-    """Edges (u, v) between classes that have to meet, over cid."""
+def scan_lists(post: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """(kind, a, b, c), see _lists; postings are dealt by token and read in order, a buffer at a time."""
     n_parts = int(post.sparkSession.conf.get("spark.sql.shuffle.partitions"))
     ordered = post.repartition(n_parts, "token").sortWithinPartitions("token", "cid", "packed")
-    short, percent, most = cfg.short, cfg.percent, 1 << 17
+    most = 1 << 17
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         held = np.zeros((3, 0), dtype=np.int64)
-        head: tuple[int, int] | None = None
+        going = False  # the first token held belongs to a list whose beginning has been given out
 
-        def flush(part: np.ndarray) -> pa.RecordBatch:
-            e = np.concatenate(_pairs(*part, short, percent, head), axis=1)
-            return pa.RecordBatch.from_arrays([pa.array(x) for x in e], ["u", "v", "l"])
+        def give(part: np.ndarray) -> pa.RecordBatch:
+            return pa.RecordBatch.from_arrays([pa.array(x) for x in _lists(*part, cfg, going)], ["kind", "a", "b", "c"])
 
         for b in batches:
             held = np.concatenate([held, np.stack([c.to_numpy() for c in b.columns])], axis=1)
@@ -237,22 +236,60 @@ def candidates(post: DataFrame, cfg: JoinConfig) -> DataFrame:
                 continue
             cut = int(np.searchsorted(held[0], held[0, -1]))  # the last list may go on
             if cut:
-                yield flush(held[:, :cut])
-                held, head = held[:, cut:], None
+                yield give(held[:, :cut])
+                held, going = held[:, cut:], False
             if held.shape[1] > most // 2:
                 # One list fills the buffer; it is long, unless its rows repeat.
-                own = np.unique(held, axis=1)
-                if own.shape[1] <= short and head is None:
-                    held = own
-                else:
-                    yield flush(held)
-                    head = (int(held[0, 0]), head[1] if head and head[0] == held[0, 0] else int(held[1, 0]))
+                held = held[:, np.concatenate([[True], (held[:, 1:] != held[:, :-1]).any(axis=0)])]
+                if held.shape[1] > cfg.short:
+                    going = True
+                    yield give(held[:, :-1])
                     held = held[:, -1:]
         if held.shape[1]:
-            yield flush(held)
+            yield give(held)
+
+    return ordered.mapInArrow(run, "kind long, a long, b long, c long")
+
+
+def _stars(members: DataFrame, percent: int) -> DataFrame:
+    """Edges (u, v) from each member of a token's list to the first of those whose lengths may go with its own: in order
+    of length, a gap that no link crosses starts anew. members: (token, n, cid)."""
+    n_parts = int(members.sparkSession.conf.get("spark.sql.shuffle.partitions"))
+
+    def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        last: tuple[int, int, int] | None = None  # token, n, first cid of the run
+        for b in batches:
+            token, n, cid = (c.to_numpy() for c in b.columns)
+            if not len(token):
+                continue
+            before = np.concatenate([[last[0] if last else 0], token[:-1]]), np.concatenate([[last[1] if last else 0], n[:-1]])
+            new = (token != before[0]) | (100 * before[1] < percent * n)
+            new[0] |= last is None
+            at = np.maximum.accumulate(np.where(new, np.arange(len(token)), -1))
+            head = np.where(at >= 0, cid[at], last[2] if last else 0)
+            last = int(token[-1]), int(n[-1]), int(head[-1])
+            other = cid != head
+            yield pa.RecordBatch.from_arrays([pa.array(cid[other]), pa.array(head[other])], ["u", "v"])
 
-    edges = ordered.mapInArrow(run, "u long, v long, l long")
-    return edges.groupBy("u", "v").agg(F.count(F.lit(1)).alias("k"), F.min("l").alias("l")).where("k >= l").select("u", "v")
+    return members.select("token", "n", "cid").repartition(n_parts, "token").sortWithinPartitions("token", "n", "cid").mapInArrow(run, "u long, v long").distinct()
+
+
+def candidates(post: DataFrame, cfg: JoinConfig) -> DataFrame:
+    """Edges (u, v) between classes that have to meet, over cid: all pairs that share enough of their prefixes, and more.
+
+    Pairs that share a short list are counted, with the long lists that both are in. A pair that shares long lists
+    alone shares `deepest` of them, or one has a smaller l: so each class brings its first long lists but deepest - 1,
+    and all to a list with a class of smaller l; such lists stay linear in their members."""
+    seen = materialise(scan_lists(post, cfg))
+    pairs = seen.where("kind = 0").groupBy(F.col("a").alias("u"), F.col("b").alias("v")).agg(F.count(F.lit(1)).alias("k"), F.min("c").alias("l"))
+    long = seen.where("kind = 1").groupBy(F.col("a").alias("cid")).agg(F.sort_array(F.collect_set("b")).alias("lists"), F.max(F.shiftright("c", 8)).alias("n"), F.max(F.shiftright("c", 4) % 16).alias("l"))
+    side = lambda c: long.select(F.col("cid").alias(c), F.col("lists").alias(f"_{c}"))
+    few = pairs.where("k < l").join(side("u"), "u").join(side("v"), "v").where(F.col("k") + F.size(F.array_intersect("_u", "_v")) >= F.col("l"))
+    posted = long.select("cid", "n", (F.col("l") < cfg.deepest).alias("odd"), F.size("lists").alias("m"), F.posexplode("lists").alias("pos", "token"))
+    odd = posted.where("odd").select("token").distinct()
+    first = posted.where(~F.col("odd") & (F.col("pos") <= F.col("m") - cfg.deepest))
+    members = first.select("token", "n", "cid").union(posted.join(odd, "token", "left_semi").select("token", "n", "cid"))
+    return pairs.where("k >= l").select("u", "v").union(few.select("u", "v")).union(_stars(members, cfg.percent))
 
 
 class Tile:

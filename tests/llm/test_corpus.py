@@ -85,7 +85,7 @@ def near_copies(seed, n=60):
     return near
 
 
-@pytest.mark.parametrize("k,pct,block,short", [(3, 90, 512, 8), (5, 80, 512, 8), (5, 80, 4, 3), (3, 90, 8, 2)])
+@pytest.mark.parametrize("k,pct,block,short", [(3, 90, 512, 8), (5, 80, 512, 8), (5, 80, 4, 3), (3, 90, 8, 2), (5, 80, 8, 1)])
 def test_jaccard_join(spark, docs, k, pct, block, short):
     all_docs = docs.union(spark.createDataFrame(near_copies(k), DOCS))
     cfg = jaccard_join.JoinConfig(words=k, percent=pct, block=block, short=short, leaders=2 if block < 512 else 16)
@@ -97,11 +97,15 @@ def test_jaccard_join(spark, docs, k, pct, block, short):
 
 
 def test_posting_lists_longer_than_a_buffer(spark):
-    """A list of 200,000 members and many copies gives an edge from each member to its first."""
-    many = spark.range(200_000).selectExpr("7L as token", "id as cid", f"{100 * 256 + 17}L as packed")
-    copies = spark.range(100_000).selectExpr("9L as token", "id % 3 as cid", f"{100 * 256 + 17}L as packed")
-    got = jaccard_join.candidates(many.union(copies), jaccard_join.JoinConfig())
-    assert got.count() == 199_999 + 1 and got.where("u = 0").count() == 199_999  # (1, 2) comes from the copies
+    """Lists of 200,000 members are joined in edges as many as the members; copies of 3 members are a short list."""
+    cfg = jaccard_join.JoinConfig()
+    packed = 100 * 256 + 8 * 16 + 1
+    many = spark.range(200_000).selectExpr("explode(sequence(1L, 8L)) as token", "id as cid", f"{packed}L as packed")
+    copies = spark.range(100_000).selectExpr("9L as token", "-1 - id % 3 as cid", f"{packed}L as packed")
+    got = jaccard_join.candidates(many.union(copies), cfg)
+    assert got.where("v = 0").count() == got.count() == 199_999  # the three share one of the eight that they need
+    found = jaccard_join.scan_lists(many.where("token = 1").union(copies), cfg).groupBy("kind").count().collect()
+    assert {r["kind"]: r["count"] for r in found} == {0: 3, 1: 200_000}
 
 
 def test_components(spark):

@@ -2,14 +2,16 @@
 
 from __future__ import annotations
 
-from collections.abc import Sequence
+from collections.abc import Callable, Sequence
 
-from pyspark.sql import Column
+from pyspark.sql import Column, DataFrame
 from pyspark.sql import functions as F
 
-from ..functions.expr import Triple, req, rlit
+from ..functions.expr import Triple, rand, req, rlit
 from ..plans.joins import overlap_pairs
+from ..plans.prefix import bucket_count, join_null_safe, running_sums, splitters, with_bucket
 from ..schema import DUP, MULT, RID, Attr, RangeFrame
+from .order import RankSpec, corners, rank
 
 
 def _scaled(rf_m: Triple, t: Triple) -> dict[str, Column]:
@@ -42,10 +44,10 @@ def widen(rf: RangeFrame, names: Sequence[str]) -> RangeFrame:
 
 
 def union(a: RangeFrame, b: RangeFrame) -> RangeFrame:
-    """Union all. Row ids are made unique by a hash of side and id."""
+    """Union all. A row's new id has its side in the last bit; ids below 2^62 stay unique, and hashed ones lose a bit."""
     mixed = [x.name for x in a.attrs if not x.certain or not b.attr(x.name).certain]
     a, b = widen(a, mixed), widen(b, mixed)
-    sides = [x.df.withColumn(RID, F.col(RID) * 2 + i) for i, x in enumerate((a, b))]
+    sides = [x.df.withColumn(RID, F.shiftleft(RID, 1).bitwiseOR(F.lit(i).cast("long"))) for i, x in enumerate((a, b))]
     cols = [c for c in a.columns]
     return RangeFrame(sides[0].select(*cols).unionByName(sides[1].select(*cols)), a.attrs, a.unit)
 
@@ -56,34 +58,28 @@ def _aligned(rf: RangeFrame, prefix: str) -> RangeFrame:
     return RangeFrame(rf.df.select(F.col(RID).alias(f"{prefix}{RID}"), *cols, *[F.col(c).alias(f"{prefix}{c}") for c in MULT]), attrs)
 
 
-def join(a: RangeFrame, b: RangeFrame, on: Sequence[tuple[str, str]], prefix: str = "r_", how: str = "inner") -> RangeFrame:
-    """Equi join; attributes of b get the prefix. Certain keys join by equality; one pair of keys may
-    be whole-number ranges, which join where they overlap. how="left" keeps unmatched rows of a, with nulls
-    for certain attributes of b (b's attributes must be certain then)."""
-    r = _aligned(b, prefix)
+def _soft_pairs(a: RangeFrame, r: RangeFrame, b: RangeFrame, on: Sequence[tuple[str, str]], prefix: str) -> tuple:
+    """Pairs of a and r (b with the prefix) whose keys may be equal, and how sure that is. The first pair of uncertain
+    keys, whole numbers, is joined by overlap; the others filter."""
     hard = [(x, y) for x, y in on if a.attr(x).certain and b.attr(y).certain]
     soft = [(x, y) for x, y in on if (x, y) not in hard]
-    if len(soft) > 1:
-        raise ValueError("one key pair may be uncertain")
-    if soft:
-        if how != "inner":
-            raise ValueError("an uncertain key has an inner join only")
-        (x, y) = soft[0]
-        ta, tb = a.c(x), Triple(*(F.col(f"{prefix}{c}") for c in (b.attr(y).columns * 3 if b.attr(y).certain else b.attr(y).columns)))
-        left = a.df.withColumns({"_l0": ta.lb, "_l1": ta.ub})
-        right = r.df.withColumns({"_r0": tb.lb, "_r1": tb.ub})
-        pairs = overlap_pairs(left, right, ("_l0", "_l1"), ("_r0", "_r1"))
-        pairs = pairs.select(*[c for c in pairs.columns if not c.startswith("s_")], *[F.col(f"s_{c}").alias(c) for c in right.columns])
-        for p, q in hard:
-            pairs = pairs.where(F.col(p) == F.col(f"{prefix}{q}"))
-        t = req(ta, tb)
-    else:
-        cond = [F.col(p) == F.col(f"{prefix}{q}") for p, q in hard]
-        pairs, t = a.df.join(r.df, cond, how), rlit(F.lit(True))
+    other = lambda y: Triple(*(F.col(f"{prefix}{c}") for c in (b.attr(y).columns * 3 if b.attr(y).certain else b.attr(y).columns)))
+    x, y = soft[0]
+    left = a.df.withColumns({"_l0": a.c(x).lb, "_l1": a.c(x).ub})
+    right = r.df.withColumns({"_r0": other(y).lb, "_r1": other(y).ub})
+    pairs = overlap_pairs(left, right, ("_l0", "_l1"), ("_r0", "_r1"))
+    pairs = pairs.select(*[c for c in pairs.columns if not c.startswith("s_")], *[F.col(f"s_{c}").alias(c) for c in right.columns])
+    for p, q in hard:
+        pairs = pairs.where(F.col(p) == F.col(f"{prefix}{q}"))
+    t = rand(*[req(a.c(p), other(q)) for p, q in soft])
+    return pairs.where(t.ub), t
+
+
+def _pair_rows(pairs: DataFrame, t: Triple, a: RangeFrame, r: RangeFrame, prefix: str, left: bool = False) -> RangeFrame:
     zero = F.lit(0).cast("long")
     ms = {}
     for c, ok in zip(MULT, (t.lb, t.sg, t.ub), strict=True):
-        other = F.coalesce(F.col(f"{prefix}{c}"), F.lit(1).cast("long")) if how == "left" else F.col(f"{prefix}{c}")
+        other = F.coalesce(F.col(f"{prefix}{c}"), F.lit(1).cast("long")) if left else F.col(f"{prefix}{c}")
         ms[c] = F.when(ok, F.col(c) * other).otherwise(zero)
     # One id for the pair; an explicit hash, as two ids don't fit one number.
     rid = F.xxhash64(*[F.col(i) for i in a.ids], F.col(f"{prefix}{RID}"))
@@ -91,12 +87,42 @@ def join(a: RangeFrame, b: RangeFrame, on: Sequence[tuple[str, str]], prefix: st
     return out.with_df(pairs.withColumns(ms).withColumn(RID, rid).select(*out.columns))
 
 
+def join(a: RangeFrame, b: RangeFrame, on: Sequence[tuple[str, str]], prefix: str = "r_", how: str = "inner") -> RangeFrame:
+    """Equi join; attributes of b get the prefix. Certain keys join by equality, whole-number ranges where they overlap.
+    Null keys meet nothing. how="left" keeps unmatched rows of a, with nulls for certain attributes of b (b's attributes
+    must be certain then)."""
+    r = _aligned(b, prefix)
+    if all(a.attr(x).certain and b.attr(y).certain for x, y in on):
+        pairs = a.df.join(r.df, [F.col(p) == F.col(f"{prefix}{q}") for p, q in on], how)
+        return _pair_rows(pairs, rlit(F.lit(True)), a, r, prefix, how == "left")
+    if how != "inner":
+        raise ValueError("an uncertain key has an inner join only")
+    pairs, t = _soft_pairs(a, r, b, on, prefix)
+    return _pair_rows(pairs, t, a, r, prefix)
+
+
+def theta_join(a: RangeFrame, b: RangeFrame, cond: Callable[[Callable[[str], Triple]], Triple] | None = None, prefix: str = "r_") -> RangeFrame:
+    """All pairs that may meet a condition over the triples of both sides (cond gets a function from attribute names
+    to triples); without one, the cross product. It compares all pairs: equal or overlapping keys belong in join."""
+    r = _aligned(b, prefix)
+    both = RangeFrame(a.df.crossJoin(r.df), (*a.attrs, *r.attrs))
+    t = cond(both.c) if cond else rlit(F.lit(True))
+    return _pair_rows(both.df.where(t.ub), t, a, r, prefix)
+
+
 def semi_join(a: RangeFrame, b: RangeFrame, on: Sequence[tuple[str, str]], anti: bool = False) -> RangeFrame:
-    """Rows of a with (anti: without) a match in b, on certain keys. A row certainly has one if some certain row of b matches."""
+    """Rows of a with (anti: without) a match in b. A row certainly has one if some certain row of b certainly matches,
+    possibly if some row may. Keys may be ranges; null keys have no match."""
     keys = [y for _, y in on]
-    seen = b.df.groupBy(*keys).agg(F.max(F.col("_m_lb") > 0).alias("_c"), F.max(F.col("_m_sg") > 0).alias("_g"))
-    seen = seen.select(*[F.col(k).alias(f"_k_{k}") for k in keys], "_c", "_g", F.lit(True).alias("_p"))
-    got = a.df.join(seen, [F.col(x) == F.col(f"_k_{y}") for x, y in on], "left")
+    if all(a.attr(x).certain and b.attr(y).certain for x, y in on):
+        seen = b.df.groupBy(*keys).agg(F.max(F.col("_m_lb") > 0).alias("_c"), F.max(F.col("_m_sg") > 0).alias("_g"))
+        seen = seen.select(*[F.col(k).alias(f"_k_{k}") for k in keys], "_c", "_g", F.lit(True).alias("_p"))
+        got = a.df.join(seen, [F.col(x) == F.col(f"_k_{y}") for x, y in on], "left")
+    else:
+        one = b.project(*dict.fromkeys(keys)).canonicalize()  # equal keys of b count once
+        pairs, t = _soft_pairs(a, _aligned(one, "_r_"), one, on, "_r_")
+        seen = pairs.groupBy(*a.ids).agg(F.max(t.lb & (F.col("_r__m_lb") > 0)).alias("_c"), F.max(t.sg & (F.col("_r__m_sg") > 0)).alias("_g")).withColumn("_p", F.lit(True))
+        got = a.df.join(seen, list(a.ids), "left")
     t = Triple(*(F.coalesce(c, F.lit(False)) for c in ("_c", "_g", "_p")))
     if anti:
         t = Triple(~t.ub, ~t.sg, ~t.lb)
@@ -272,30 +298,77 @@ def intersect(a: RangeFrame, b: RangeFrame) -> RangeFrame:
     return x.with_df(df.select(*x.columns))
 
 
-def ranking(rf: RangeFrame, keys: Sequence[str], kind: str, n: int = 4) -> RangeFrame:
-    """row_number, rank, dense_rank, ntile and percent_rank bounds (into attribute of that name). rank counts rows
-    with certainly / possibly smaller keys; dense_rank lies between 1 and rank."""
-    from .order import rank
+def _smaller(rf: RangeFrame, keys: Sequence[str]) -> DataFrame:
+    """(ids, n_lb, n_sg, n_ub, d_lb, d_sg, d_ub): rows, and distinct keys, that are smaller than a row's key for certain, by
+    guess and possibly. Equal keys don't count. Weights are summed by distinct point, then along the order of points."""
+    spec = RankSpec(tuple(keys), ties=False)
+    rows = corners(rf, spec)
+    n = len(keys)
+    point = lambda c: F.struct(*[F.col(f"{c}.k{i}").alias(f"k{i}") for i in range(n)])
+    rows = rows.select(*rf.ids, *MULT, point("_lo").alias("_lo"), point("_sg").alias("_sg"), point("_hi").alias("_hi"))
+    sure = F.col("_lo") == F.col("_hi")
+    zero = F.lit(0).cast("long")
+    m_lb, m_sg, m_ub = (F.col(c) for c in MULT)
+
+    def event(at: str, **weights: Column) -> Column:
+        return F.struct(F.col(at).alias("at"), *[weights.get(w, zero).cast("long").alias(w) for w in ("low", "guess", "high", "sure", "point", "wide")])
+
+    ends = F.array(event("_lo", high=m_ub, point=sure.cast("long"), wide=F.when(sure, zero).otherwise(m_ub)), event("_sg", guess=m_sg), event("_hi", low=m_lb, sure=(sure & (m_lb > 0)).cast("long")))
+    at = rows.select(F.explode(ends).alias("e")).select("e.*").groupBy("at").agg(F.sum("low").alias("low"), F.sum("guess").alias("guess"), F.sum("high").alias("high"), F.max("sure").alias("d_sure"), F.max(F.least("guess", F.lit(1))).alias("d_guess"), F.max("point").alias("d_point"), F.sum("wide").alias("wide"))
+    kinds = [f.dataType.simpleString() for f in at.schema["at"].dataType.fields]
+    cuts = splitters(at.withColumn("_id", F.xxhash64("at")), "at", "_id", bucket_count(at))
+    sums = running_sums(with_bucket(at, "at", cuts, kinds), ["_b"], ["at"], {f"s_{c}": c for c in ("low", "guess", "high", "d_sure", "d_guess", "d_point", "wide")})
+    ask = rows.select(*rf.ids, sure.alias("_sure"), F.explode(F.array(*[F.struct(F.lit(i).alias("i"), F.col(c).alias("at")) for i, c in enumerate(("_lo", "_sg", "_hi"))])).alias("q")).select(*rf.ids, "_sure", "q.*")
+    of = lambda i, c: F.max(F.when(F.col("i") == i, F.col(c)))
+    own = (~F.col("_sure")).cast("long")  # a wide row starts before its own end
+    got = join_null_safe(ask, sums, ["at"]).groupBy(*rf.ids, "_sure").agg(of(0, "s_low").alias("n_lb"), of(1, "s_guess").alias("n_sg"), (of(2, "s_high") - own).alias("n_ub"), of(0, "s_d_sure").alias("d_lb"), of(1, "s_d_guess").alias("d_sg"), (of(2, "s_d_point") + of(2, "s_wide") - own).alias("d_ub"))
+    return got.drop("_sure")
 
-    ranked = rank(rf, keys, ties=kind not in ("rank", "dense_rank", "percent_rank"))
-    pos = ranked.c("pos")
+
+def ranking(rf: RangeFrame, keys: Sequence[str], kind: str, n: int = 4) -> RangeFrame:
+    """row_number, rank, dense_rank, ntile and percent_rank bounds (into attribute of that name). rank counts rows with
+    smaller keys, dense_rank distinct smaller keys: at least those that certainly exist, at most those that may."""
     one = F.lit(1).cast("long")
-    if kind == "row_number":
-        t = pos.map(lambda c: c + 1)
-    elif kind in ("rank", "dense_rank"):
-        t = Triple(one if kind == "dense_rank" else one, pos.sg + 1, pos.ub + 1)
+    if kind in ("row_number", "ntile"):
+        ranked = rank(rf, keys)
+        pos = ranked.c("pos")
     else:
+        unit = rf.split()
+        ranked = unit.with_df(unit.df.join(_smaller(unit, keys), [RID, DUP]))
+        pre = "d" if kind == "dense_rank" else "n"
+        pos = Triple(*(F.col(f"{pre}_{e}") for e in ("lb", "sg", "ub")))
+    if kind in ("ntile", "percent_rank"):
         total = ranked.df.agg(F.sum("_m_lb").alias("_n0"), F.sum("_m_sg").alias("_n1"), F.sum("_m_ub").alias("_n2"))
         ranked = ranked.with_df(ranked.df.crossJoin(F.broadcast(total)))  # one row
-        if kind == "ntile":
-            t = Triple(F.greatest(one, F.floor(pos.lb * n / F.col("_n2")) + 1), F.floor(pos.sg * n / F.greatest(F.col("_n1"), one)) + 1, F.least(F.lit(n).cast("long"), F.floor(pos.ub * n / F.greatest(F.col("_n0"), pos.ub + 1)) + 1))
-        else:
-            t = Triple(pos.lb / F.greatest(F.col("_n2") - 1, one), pos.sg / F.greatest(F.col("_n1") - 1, one), F.least(F.lit(1.0), pos.ub / F.greatest(F.col("_n0") - 1, one)))
+    if kind == "ntile":
+        t = Triple(F.greatest(one, F.floor(pos.lb * n / F.col("_n2")) + 1), F.floor(pos.sg * n / F.greatest(F.col("_n1"), one)) + 1, F.least(F.lit(n).cast("long"), F.floor(pos.ub * n / F.greatest(F.col("_n0"), pos.ub + 1)) + 1))
+    elif kind == "percent_rank":
+        t = Triple(pos.lb / F.greatest(F.col("_n2") - 1, one), pos.sg / F.greatest(F.col("_n1") - 1, one), F.least(F.lit(1.0), pos.ub / F.greatest(F.col("_n0") - 1, one)))
+    elif kind in ("row_number", "rank", "dense_rank"):
+        t = pos.map(lambda c: c + 1)
+    else:
+        raise ValueError(kind)
     attrs = (*ranked.attrs, Attr(kind, False))
     out = RangeFrame(ranked.df.withColumns({f"{kind}__{e}": c for e, c in zip(("lb", "sg", "ub"), (t.lb, F.least(F.greatest(t.sg, t.lb), t.ub), t.ub), strict=True)}), attrs, True)
     return out.with_df(out.df.select(*out.columns))
 
 
+def end_values(rf: RangeFrame, arg: str, keys: Sequence[str], partition: Sequence[str] = ()) -> DataFrame:
+    """first_value and last_value of each partition's order: the hull of the rows that may come first, and last.
+    (partition, first__lb/sg/ub, last__lb/sg/ub); a partition without a certain row may be empty."""
+    part = list(partition)
+    ranked = rank(rf, keys, partition=part)
+    pos, v = ranked.c("pos"), ranked.c(arg)
+    # A row may be last only if all rows that certainly exist may come before it.
+    sizes = ranked.df.groupBy(*part).agg(F.sum("_m_lb").alias("_n0"))
+    rows = join_null_safe(ranked.df, sizes, part) if part else ranked.df.crossJoin(F.broadcast(sizes))  # one row
+    first, last = pos.lb == 0, pos.ub >= F.col("_n0") - 1
+    hull = lambda cond, name: [F.min(F.when(cond, v.lb)).alias(f"{name}__lb"), F.max(F.when(cond, v.ub)).alias(f"{name}__ub")]
+    live = F.col("_m_sg") > 0
+    guess = [F.min_by(v.sg, F.when(live, pos.sg)).alias("first__sg"), F.max_by(v.sg, F.when(live, pos.sg)).alias("last__sg")]
+    return rows.groupBy(*part).agg(*hull(first, "first"), *hull(last, "last"), *guess)
+
+
 def neighbour(rf: RangeFrame, arg: str, keys: Sequence[str], shift: int, into: str = "x") -> RangeFrame:
     """lag (shift < 0) and lead (shift > 0): the hull of the rows that may be at that position."""
     from .window import window

@@ -18,7 +18,7 @@ from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
 from ..functions.expr import Triple, rlit, rlex_lt, rlt
-from ..plans.prefix import bucket_of, running_sums, splitters
+from ..plans.prefix import bucket_count, join_null_safe, ordered, running_sums, splitters, with_bucket
 from ..schema import DUP, MULT, RID, Attr, RangeFrame
 
 METHODS = ("auto", "naive", "rewrite", "onepass", "dist", "cdf")
@@ -97,16 +97,20 @@ SUMS = {"s_end": "w_end", "s_start": "w_start", "s_guess": "w_guess"}
 
 
 def _dist(rows: DataFrame, ids: Sequence[str], partition: Sequence[str], buckets: int | None) -> DataFrame:
-    n = buckets or int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    cuts = splitters(rows, "_lo", RID, min(n, 512))
-    ev = _events(rows, ids, partition).withColumn("_b", bucket_of(F.col("point"), cuts, _kinds(rows, "_lo")))
+    cuts = splitters(rows, "_lo", RID, bucket_count(rows, buckets))
+    ev = with_bucket(_events(rows, ids, partition), "point", cuts, _kinds(rows, "_lo"))
     return _paired(running_sums(ev, ["_b"], ["point", "kind"], SUMS, partition), ids)
 
 
-def _cdf(rows: DataFrame, ids: Sequence[str], partition: Sequence[str]) -> DataFrame:
-    """For keys of few values: a bucket is a value of the first key."""
-    ev = _events(rows, ids, partition).withColumn("_b", F.col("point.k0"))
-    return _paired(running_sums(ev, ["_b"], ["point", "kind"], SUMS, partition), ids)
+def _cdf(rows: DataFrame, ids: Sequence[str], partition: Sequence[str], buckets: int | None) -> DataFrame:
+    """For keys of few values, without splitters of rows: a bucket is a value of the keys and a stretch of row ids, so
+    that a hot value is dealt out too. The sums at a bucket's start are running sums over the distinct buckets."""
+    n_keys = len(_kinds(rows, "_lo")) - len(ids)
+    span = rows.agg(F.min(RID), F.max(RID)).first()
+    wide = max(1.0, ((span[1] or 0) - (span[0] or 0) + 1) / bucket_count(rows, buckets))
+    stretch = F.floor((F.col(f"point.k{n_keys}").cast("double") - float(span[0] or 0)) / wide)
+    ev = _events(rows, ids, partition).withColumns({f"_v{i}": F.col(f"point.k{i}") for i in range(n_keys)} | {"_s": stretch})
+    return _paired(running_sums(ev, [*[f"_v{i}" for i in range(n_keys)], "_s"], ["point", "kind"], SUMS, partition, many=True), ids)
 
 
 def _rewrite(rows: DataFrame, ids: Sequence[str], partition: Sequence[str]) -> DataFrame:
@@ -170,11 +174,9 @@ def sweep_positions(rows: list[tuple], before_end: int = 0, before_start: int =
 def _onepass(rows: DataFrame, ids: Sequence[str], partition: Sequence[str], buckets: int | None) -> DataFrame:
     """The sweep, bucket by bucket: each starts from the sums of those before it, and takes over the
     rows that began before and end in it. The guess comes from running sums."""
-    n = buckets or int(rows.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    cuts = splitters(rows, "_lo", RID, min(n, 512))
+    cuts = splitters(rows, "_lo", RID, bucket_count(rows, buckets))
     kinds = _kinds(rows, "_lo")
-    lo_b, hi_b = bucket_of(F.col("_lo"), cuts, kinds), bucket_of(F.col("_hi"), cuts, kinds)
-    placed = rows.withColumns({"_b": lo_b, "_h": hi_b})
+    placed = with_bucket(with_bucket(rows, "_lo", cuts, kinds), "_hi", cuts, kinds, "_h")
     part = list(partition)
     base = [*ids, *part, "_lo", "_hi", "_m_lb", "_m_ub"]
     here = placed.select(*base, F.col("_b"), F.lit(True).alias("own"), (F.col("_h") > F.col("_b")).alias("leaves"))
@@ -186,7 +188,7 @@ def _onepass(rows: DataFrame, ids: Sequence[str], partition: Sequence[str], buck
     names = list(ids)
 
     def sweep(pdf: pd.DataFrame) -> pd.DataFrame:
-        key = lambda v: tuple(v.values()) if isinstance(v, dict) else tuple(v)
+        key = lambda v: ordered(v.values() if isinstance(v, dict) else v)
         keys = list(zip(*[pdf[i] for i in names], strict=True))
         own, pend = [], []
         for lo, hi, a, b, mine, rid in zip(pdf["_lo"], pdf["_hi"], pdf["_m_lb"], pdf["_m_ub"], pdf["own"], keys, strict=True):
@@ -203,10 +205,10 @@ def _onepass(rows: DataFrame, ids: Sequence[str], partition: Sequence[str], buck
         return frame.astype({"low": "Int64", "high": "Int64"})
 
     schema = ", ".join([f"{i} long" if i == RID else f"{i} int" for i in names] + ["low long", "high long"])
-    got = both.join(sums, [*part, "_b"]).groupBy(*part, "_b").applyInPandas(sweep, schema)
+    got = join_null_safe(both, sums, [*part, "_b"]).groupBy(*part, "_b").applyInPandas(sweep, schema)
     bounds = got.groupBy(*names).agg(F.max("low").alias("_p_lb"), F.max("high").alias("_p_ub"))
     zero = F.lit(0).cast("long")
-    ev = rows.select(*ids, *part, F.col("_sg").alias("point"), F.col("_m_sg").alias("w"), zero.alias("kind")).withColumn("_b", bucket_of(F.col("point"), cuts, kinds))
+    ev = with_bucket(rows.select(*ids, *part, F.col("_sg").alias("point"), F.col("_m_sg").alias("w"), zero.alias("kind")), "point", cuts, kinds)
     guess = running_sums(ev, ["_b"], ["point"], {"_p_sg": "w"}, part).select(*names, "_p_sg")
     return bounds.join(guess, names)
 
@@ -223,7 +225,7 @@ def rank_weighted(rf: RangeFrame, spec: RankSpec, method: str = "auto", buckets:
     if method == "rewrite":
         return _rewrite(rows, rf.ids, spec.partition)
     if method == "cdf":
-        return _cdf(rows, rf.ids, spec.partition)
+        return _cdf(rows, rf.ids, spec.partition, buckets)
     if method == "onepass":
         return _onepass(rows, rf.ids, spec.partition, buckets)
     return _dist(rows, rf.ids, spec.partition, buckets)
@@ -254,15 +256,24 @@ def select_positions(rf: RangeFrame, low: int, high: int, into: str = "pos", cap
     return rf.with_df(df)
 
 
+#: Most rows that a cut reads to the driver; beyond, it is found by running sums.
+CUT_ROWS = 10_000
+
+
 def cut(rf: RangeFrame, spec: RankSpec, k: int) -> tuple | None:
-    """High corner at which k rows are certain; None where fewer than k are certain. Reads k rows at most."""
-    first = corners(rf, spec).where("_m_lb > 0").select("_hi", "_m_lb").orderBy("_hi").limit(k).collect()
-    n = 0
-    for r in first:
-        n += r["_m_lb"]
-        if n >= k:
-            return tuple(r["_hi"])
-    return None
+    """High corner at which k rows are certain; None where fewer than k are certain."""
+    sure = corners(rf, spec).where("_m_lb > 0").select(RID, "_hi", "_m_lb")
+    if k <= CUT_ROWS:
+        n = 0
+        for r in sure.select("_hi", "_m_lb").orderBy("_hi").limit(k).collect():
+            n += r["_m_lb"]
+            if n >= k:
+                return tuple(r["_hi"])
+        return None
+    cuts = splitters(sure, "_hi", RID, bucket_count(sure))
+    got = running_sums(with_bucket(sure, "_hi", cuts, _kinds(sure, "_hi")), ["_b"], ["_hi"], {"before": "_m_lb"})
+    at = got.where((F.col("before") < k) & (F.col("before") + F.col("_m_lb") >= k)).select("_hi").first()
+    return None if at is None else tuple(at[0])
 
 
 def prune(rf: RangeFrame, spec: RankSpec, k: int) -> RangeFrame:
@@ -278,33 +289,22 @@ def prune(rf: RangeFrame, spec: RankSpec, k: int) -> RangeFrame:
     first = rf.c(spec.keys[0])
     kind = dict(rf.df.dtypes)[rf.attr(spec.keys[0]).columns[0]]
     plain = first.ub >= -lits[0] if spec.keys[0] in spec.desc and kind in ("int", "bigint", "double") else keys[0].lb <= lits[0]
-    return rf.with_df(rf.df.where(plain).where(low <= F.struct(*[x.alias(f"k{i}") for i, x in enumerate(lits)])))
+    if at[0] is not None:  # nulls come first
+        rf = rf.with_df(rf.df.where(plain | first.lb.isNull() | first.ub.isNull()))
+    return rf.with_df(rf.df.where(low <= F.struct(*[x.alias(f"k{i}") for i, x in enumerate(lits)])))
 
 
 def _topk_onepass(rf: RangeFrame, spec: RankSpec, k: int) -> DataFrame:
-    """The sweep with its early stop over what the cut lets through, at most the rows that overlap
-    the first k certain ones."""
-    rows = corners(prune(rf, spec, k), spec)
-    names = list(rf.ids)
-
-    def sweep(batches: Iterator[pd.DataFrame]) -> Iterator[pd.DataFrame]:
-        key = lambda v: tuple(v.values()) if isinstance(v, dict) else tuple(v)
-        pdf = pd.concat(list(batches), ignore_index=True)
-        items = sorted((key(a), key(b), c, d, rid) for a, b, c, d, *rid in zip(pdf["_lo"], pdf["_hi"], pdf["_m_lb"], pdf["_m_ub"], *[pdf[i] for i in names], strict=True))
-        out = [(*rid, low, high) for rid, low, high in sweep_positions(items, stop_at=k)]
-        yield pd.DataFrame(out, columns=[*names, "_p_lb", "_p_ub"])
-
-    schema = ", ".join([f"{i} long" if i == RID else f"{i} int" for i in names] + ["_p_lb long", "_p_ub long"])
-    slim = rows.select(*names, "_lo", "_hi", "_m_lb", "_m_ub")
-    bounds = slim.coalesce(1).mapInPandas(sweep, schema)
-    w = W.orderBy("_sg").rowsBetween(W.unboundedPreceding, -1)
-    guess = rows.select(*names, F.coalesce(F.sum("_m_sg").over(w), F.lit(0)).cast("long").alias("_p_sg"))
-    return bounds.join(guess, names)
+    """The sweep over what the cut lets through, at most the rows that overlap the first k certain ones: the cut
+    is where the sweep of a whole input would stop, and rows that wait there end at position k at most."""
+    got = _onepass(corners(prune(rf, spec, k), spec), rf.ids, (), None)
+    return got.withColumn("_p_ub", F.least(F.col("_p_ub"), F.lit(k).cast("long")))
 
 
 def topk(rf: RangeFrame, keys: Sequence[str], k: int, desc: Sequence[str] = (), offset: int = 0, method: str = "auto", cap: bool = True, ties: bool = True) -> RangeFrame:
     """Rows that may be at positions offset to offset + k - 1; those that certainly are keep m_lb = 1.
-    select: ranks all rows. prune: ranks what the cut lets through. onepass: the sweep with early stop."""
+    select: ranks all rows. prune: ranks what the cut lets through. onepass: the sweep with early stop.
+    Nulls come first, ascending and descending."""
     spec = RankSpec(tuple(keys), tuple(desc), (), "corner", ties)
     most = offset + k
     if k <= 0:

@@ -22,7 +22,9 @@ from pyspark.sql import functions as F
 from ..functions.expr import Triple, req, rlit
 from ..functions.heaps import ConnectedHeap, UnconnectedHeaps
 from ..plans.joins import band_pairs, bucket_index, overlap_pairs
+from ..plans.overlap import end_pairs, levels_for, split_cells, summaries
 from ..plans.prefix import running_sums
+from ..plans.scratch import materialise
 from ..schema import DUP, MULT, RID, Attr, RangeFrame
 from .order import RankSpec, _events, _paired, corners, rank
 
@@ -95,9 +97,13 @@ def _bounds(pairs: DataFrame, owner: Sequence[str], spec: WindowSpec) -> DataFra
         base |= {"_cl": F.collect_list(F.when(c, lb)), "_ch": F.collect_list(F.when(c, ub)), "_pl": F.collect_list(F.when(p, lb)), "_ph": F.collect_list(F.when(p, ub)), "_g": F.collect_list(F.when(g, sg))}
     elif agg != "count":
         raise ValueError(f"{agg} is none of {AGGREGATES} and has not been registered")
-    got = pairs.groupBy(*owner).agg(*[x.alias(k) for k, x in base.items()])
+    return _from_members(pairs.groupBy(*owner).agg(*[x.alias(k) for k, x in base.items()]), owner, spec)
+
+
+def _from_members(got: DataFrame, owner: Sequence[str], spec: WindowSpec) -> DataFrame:
+    """Bounds from what _bounds has gathered of each owner."""
+    agg, zero = spec.agg, F.lit(0).cast("long")
     slots = F.greatest(F.lit(spec.size) - F.col("_nc"), F.lit(0))
-    zero = F.lit(0).cast("long")
     if agg == "count":
         low, guess, high = F.col("_nc"), F.col("_ng"), F.least(F.lit(spec.size).cast("long"), F.col("_nc") + F.col("_np"))
     elif agg == "sum":
@@ -170,6 +176,70 @@ def _band(members: DataFrame, spec: WindowSpec, width: int | None, index: DataFr
     return band_pairs(owners, members if index is None else index, ("o_lo", "o_hi"), ("p__lb", "p__ub"), w, spec.partition, index is not None)
 
 
+def _guess_windows(members: DataFrame, spec: WindowSpec) -> DataFrame:
+    """(RID, DUP, _ng, _g): the windows of the guess world, whose positions are dense. Rows are dealt by stretches of
+    positions, and a stretch also gets the rows of its neighbours that its windows reach."""
+    p = list(spec.partition)
+    step = max(4096, 4 * spec.size)
+    g = members.where("_m_sg > 0").select(RID, DUP, *p, F.col("p__sg").alias("_q"), "v__sg")
+    g = g.withColumn("_s", F.explode(F.sequence(F.floor((F.col("_q") - max(0, spec.hi)) / step), F.floor((F.col("_q") - min(0, spec.lo)) / step))))
+    w = W.partitionBy(*p, "_s").orderBy("_q").rangeBetween(spec.lo, spec.hi)
+    value = {"sum": F.sum("v__sg"), "count": F.sum(F.lit(1).cast("long")), "min": F.min("v__sg"), "max": F.max("v__sg"), "avg": F.sum("v__sg")}[spec.agg]
+    got = g.withColumns({"_ng": F.count(F.lit(1)).over(w), "_g": value.over(w)})
+    return got.where(F.floor(F.col("_q") / step) == F.col("_s")).select(RID, DUP, "_ng", "_g")
+
+
+def _summarised(members: DataFrame, spec: WindowSpec, width: int | None, most: int) -> DataFrame:
+    """The default plan: certain members and what an owner's end cells hold by pairs, all else by summaries of the
+    `size` + 1 values that push a bound furthest (one may be the owner itself). most: rows that there may be."""
+    p, k = list(spec.partition), spec.size + 1
+    cell = max(width or 16, 2 * spec.size)  # so wide that a certain member begins in an end cell
+    lb, ub = F.col("v__lb"), F.col("v__ub")
+    entry = lambda v: F.struct(v.alias("v"), F.col(RID), F.col(DUP))
+    # Values that can't push a bound of a sum are left out of its lists.
+    give = lambda v, ok: F.when(ok, F.array(entry(v))).otherwise(F.array().cast(f"array<struct<v:{kind},{RID}:bigint,{DUP}:int>>"))
+    kind = dict(members.dtypes)["v__lb"]
+    yes = F.lit(True)
+    one = F.lit(1).cast("long")
+    rows = members.withColumns({"n": one, "low": give(lb, lb < 0 if spec.agg == "sum" else yes), "high": give(ub, ub > 0 if spec.agg == "sum" else yes)})
+    rows = split_cells(rows, F.col("p__lb"), F.col("p__ub"), cell)
+    owners = split_cells(members, F.col("p__lb") + spec.lo, F.col("p__ub") + spec.hi, cell).withColumns({"_begun": F.floor(F.col("p__lb") / cell), "_end": F.floor(F.col("p__ub") / cell)})
+    owners = owners.withColumns({c: F.greatest(F.col(c), F.lit(0)) for c in ("_c0", "_c1")})  # nothing lies before the first cell
+    met = end_pairs(owners, rows.select(*members.columns, "_c0", "_c1"), p)
+    t, s = (Triple(*(F.col(f"{x}p__{e}") for e in ("lb", "sg", "ub"))) for x in ("", "s_"))
+    same = (F.col(RID) == F.col(f"s_{RID}")) & (F.col(DUP) == F.col(f"s_{DUP}"))
+    c, maybe, _ = membership(spec, t, s, F.col("s__m_lb"), same, F.lit(False))
+    vl, vh = F.col("s_v__lb"), F.col("s_v__ub")
+    entry_s = lambda v: F.struct(v.alias("v"), F.col(f"s_{RID}").alias(RID), F.col(f"s_{DUP}").alias(DUP))
+    push = (lambda v, sign: (v < 0) if sign < 0 else (v > 0)) if spec.agg == "sum" else lambda v, sign: yes
+    fold = {"min": F.min, "max": F.max}.get(spec.agg, F.sum)
+    near = met.select(RID, DUP, c.alias("_c"), maybe.alias("_p"), vl.alias("vl"), vh.alias("vh"), entry_s(vl).alias("el"), entry_s(vh).alias("eh")).where("_c or _p")
+    near = near.groupBy(RID, DUP).agg(
+        F.sum(F.col("_c").cast("long")).alias("_nc"), F.sum(F.col("_p").cast("long")).alias("n"), fold(F.when(F.col("_c"), F.col("vl"))).alias("_cl"), fold(F.when(F.col("_c"), F.col("vh"))).alias("_ch"),
+        F.collect_list(F.when(F.col("_p") & push(F.col("vl"), -1), F.col("el"))).alias("low"), F.collect_list(F.when(F.col("_p") & push(F.col("vh"), 1), F.col("eh"))).alias("high"),
+    )
+    far = summaries(owners, rows.select(*p, "_c0", "_c1", "n", "low", "high"), (RID, DUP), p, k, levels_for(most // cell + 1)).select(RID, DUP, F.col("n").alias("n_far"), F.col("low").alias("low_far"), F.col("high").alias("high_far"))
+    own = owners.select(RID, DUP, lb.alias("own_l"), ub.alias("own_h"), (((F.col("_begun") > F.col("_c0")) & (F.col("_begun") < F.col("_c1"))) | ((F.col("_begun") < F.col("_c0")) & (F.col("_end") > F.col("_c0")))).alias("self_far"))
+    got = own.join(near, [RID, DUP], "left").join(far, [RID, DUP], "left").join(_guess_windows(members, spec), [RID, DUP], "left")
+    none = F.array().cast(f"array<struct<v:{kind},{RID}:bigint,{DUP}:int>>")
+    other = lambda x: (x[RID] != F.col(RID)) | (x[DUP] != F.col(DUP))
+    both = lambda a: F.transform(F.filter(F.concat(F.coalesce(a, none), F.coalesce(f"{a}_far", none)), other), lambda x: x["v"])
+    zero = F.lit(0).cast("long")
+    # The row itself is a certain member of its window, if the frame holds it, also where its own cell lies far within.
+    mine = F.col("self_far") & F.lit(spec.has_self)
+    cl, ch = F.col("_cl"), F.col("_ch")
+    if spec.agg in ("min", "max"):
+        pick = F.least if spec.agg == "min" else F.greatest
+        cl, ch = F.when(mine, pick("_cl", "own_l")).otherwise(cl), F.when(mine, pick("_ch", "own_h")).otherwise(ch)
+    elif spec.agg in ("sum", "avg"):
+        cl, ch = F.when(mine, F.coalesce("_cl", zero) + F.col("own_l")).otherwise(cl), F.when(mine, F.coalesce("_ch", zero) + F.col("own_h")).otherwise(ch)
+    got = got.select(RID, DUP, (F.coalesce("_nc", zero) + mine.cast("long")).alias("_nc"), (F.coalesce("n", zero) + F.coalesce("n_far", zero) - F.col("self_far").cast("long")).alias("_np"), F.coalesce("_ng", zero).alias("_ng"), "_g", cl.alias("_cl"), ch.alias("_ch"), both("low").alias("_pl"), both("high").alias("_ph"))
+    if spec.agg in ("min", "max"):
+        got = got.withColumns({"_least": F.array_min("_pl"), "_most": F.array_max("_ph"), "_pl": F.array_min("_pl"), "_ph": F.array_max("_ph")})
+    got = got.where("_nc > 0 or _np > 0")
+    return _from_members(got, (RID, DUP), spec)
+
+
 def _all_pairs(members: DataFrame, spec: WindowSpec) -> DataFrame:
     cond = F.lit(True)
     for p in spec.partition:
@@ -178,7 +248,8 @@ def _all_pairs(members: DataFrame, spec: WindowSpec) -> DataFrame:
 
 
 def _rewrite_fill(flags: DataFrame, spec: WindowSpec) -> DataFrame:
-    """Sum by two orders per owner: possible values ranked from both ends, kept while there are slots."""
+    """Bounds by two orders per owner: possible values ranked from both ends, kept while there are slots. All aggregates but
+    avg, whose fill stops by itself."""
     owner = W.partitionBy(RID, DUP)
     f = flags.where("is_certain or is_possible or is_guess").withColumn("nc", F.sum(F.col("is_certain").cast("long")).over(owner))
     low = F.row_number().over(owner.orderBy(F.col("is_certain").desc(), F.col("is_possible").desc(), "v__lb")) - F.col("nc")
@@ -186,11 +257,23 @@ def _rewrite_fill(flags: DataFrame, spec: WindowSpec) -> DataFrame:
     f = f.withColumns({"rl": low, "rh": high})
     room = F.lit(spec.size) - F.col("nc")
     zero = F.lit(0).cast("long")
-    lo = F.sum(F.when(F.col("is_certain"), F.col("v__lb")).when(F.col("is_possible") & (F.col("v__lb") < 0) & (F.col("rl") <= room), F.col("v__lb")).otherwise(zero))
-    hi = F.sum(F.when(F.col("is_certain"), F.col("v__ub")).when(F.col("is_possible") & (F.col("v__ub") > 0) & (F.col("rh") <= room), F.col("v__ub")).otherwise(zero))
-    g = F.sum(F.when(F.col("is_guess"), F.col("v__sg")).otherwise(zero))
-    got = f.groupBy(RID, DUP).agg(lo.alias("x__lb"), g.alias("_g"), hi.alias("x__ub"), F.max("nc").alias("x_certain"), F.sum(F.col("is_possible").cast("long")).alias("x_possible"))
-    return got.select(RID, DUP, "x__lb", F.least(F.greatest("_g", "x__lb"), "x__ub").alias("x__sg"), "x__ub", "x_certain", "x_possible", (F.col("x_certain") == 0).cast("int").alias("x_maybe_empty"))
+    c, p, g = F.col("is_certain"), F.col("is_possible"), F.col("is_guess")
+    fill_low, fill_high = p & (F.col("rl") <= room), p & (F.col("rh") <= room)
+    n_pos = F.sum(p.cast("long"))
+    if spec.agg == "sum":
+        lo = F.sum(F.when(c, F.col("v__lb")).when(fill_low & (F.col("v__lb") < 0), F.col("v__lb")).otherwise(zero))
+        hi = F.sum(F.when(c, F.col("v__ub")).when(fill_high & (F.col("v__ub") > 0), F.col("v__ub")).otherwise(zero))
+        guess = F.sum(F.when(g, F.col("v__sg")).otherwise(zero))
+    elif spec.agg == "count":
+        lo, guess, hi = F.max("nc"), F.sum(g.cast("long")), F.sum((c | fill_low).cast("long"))
+    elif spec.agg == "min":
+        lo, guess = F.min(F.when(c | fill_low, F.col("v__lb"))), F.min(F.when(g, F.col("v__sg")))
+        hi = F.coalesce(F.min(F.when(c, F.col("v__ub"))), F.max(F.when(fill_high, F.col("v__ub"))))
+    else:
+        hi, guess = F.max(F.when(c | fill_high, F.col("v__ub"))), F.max(F.when(g, F.col("v__sg")))
+        lo = F.coalesce(F.max(F.when(c, F.col("v__lb"))), F.min(F.when(fill_low, F.col("v__lb"))))
+    got = f.groupBy(RID, DUP).agg(lo.alias("x__lb"), guess.alias("_g"), hi.alias("x__ub"), F.max("nc").alias("x_certain"), n_pos.alias("x_possible"))
+    return got.select(RID, DUP, "x__lb", F.least(F.greatest(F.coalesce("_g", "x__lb"), "x__lb"), "x__ub").alias("x__sg"), "x__ub", "x_certain", "x_possible", (F.col("x_certain") == 0).cast("int").alias("x_maybe_empty"))
 
 
 def sweep_windows(rows: list[tuple], spec_agg: str, lo: int, hi: int, connected: bool = True) -> tuple[list[tuple], dict]:
@@ -198,6 +281,8 @@ def sweep_windows(rows: list[tuple], spec_agg: str, lo: int, hi: int, connected:
     window; it closes once no later row can be in it. Certain rows wait in a list by low position,
     possible ones in a heap with three orders: high position, low value, high value. Rows are evicted
     below every window that is still open. Returns (id, low, high, certain, possible) and the counters."""
+    if spec_agg not in AGGREGATES:
+        raise ValueError(f"the sweep has {AGGREGATES}, not {spec_agg}")
     rows = sorted(rows, key=lambda r: (r[0], r[1], r[6]))
     size = hi - lo + 1
     own_in = lo <= 0 <= hi
@@ -300,6 +385,8 @@ def sweep_windows(rows: list[tuple], spec_agg: str, lo: int, hi: int, connected:
 def _onepass(members: DataFrame, spec: WindowSpec, chunk: int) -> DataFrame:
     """The sweep over chunks of positions. A chunk owns the rows whose low position lies in it, and also gets
     the rows that may be in their windows."""
+    if spec.agg not in AGGREGATES:
+        raise ValueError(f"the sweep has {AGGREGATES}, not {spec.agg}")
     p = list(spec.partition)
     own = members.withColumn("_k", F.floor(F.col("p__lb") / chunk))
     reach = own.groupBy(*p, "_k").agg(F.min(F.col("p__lb") + min(0, spec.lo)).alias("from"), F.max(F.col("p__ub") + max(0, spec.hi)).alias("to"))
@@ -419,8 +506,9 @@ def _unbounded(members: DataFrame, spec: WindowSpec) -> DataFrame:
 
 def window(rf: RangeFrame, agg: str, arg: str | None, keys: Sequence[str], lo: int | None, hi: int, partition: Sequence[str] = (), desc: Sequence[str] = (), method: str = "auto", into: str = "x", rank_method: str = "auto", ties: bool = True, width: int | None = None, chunk: int = 4096, index: DataFrame | None = None, detail: bool = False) -> RangeFrame:
     """Adds the aggregate as an attribute. Frame: rows lo to hi around each row, lo None for all before.
-    naive: all pairs. rewrite: pairs, then two orders per owner. bucket: band join on positions. onepass:
-    the sweep. detail keeps the counts of members (and numerators and denominators of avg)."""
+    naive: all pairs. rewrite: pairs, then two orders per owner; with an index (see band_index) the pairs come from it.
+    bucket: pairs at the ends of windows, summaries of what lies between. pairs: band join on positions (also for
+    registered aggregates). onepass: the sweep. detail keeps the counts of members (and numerators and denominators of avg)."""
     spec = WindowSpec(agg, arg, tuple(keys), 0 if lo is None else lo, hi, tuple(desc), tuple(partition), ties)
     if any(not rf.attr(p).certain for p in partition):
         if lo is None:
@@ -435,10 +523,15 @@ def window(rf: RangeFrame, agg: str, arg: str | None, keys: Sequence[str], lo: i
         elif method == "onepass":
             got = _onepass(members, spec, chunk)
         elif method in ("naive", "rewrite"):
-            flags = _flag(_all_pairs(members, spec), spec)
-            got = _rewrite_fill(flags, spec) if method == "rewrite" and agg == "sum" else _bounds(flags, (RID, DUP), spec)
-        else:
+            flags = _flag(_all_pairs(members, spec) if index is None else _band(members, spec, width, index), spec)
+            got = _rewrite_fill(flags, spec) if method == "rewrite" and agg in AGGREGATES and agg != "avg" else _bounds(flags, (RID, DUP), spec)
+        elif index is not None or agg not in AGGREGATES:
             got = _bounds(_flag(_band(members, spec, width, index), spec), (RID, DUP), spec)
+        elif method == "pairs":
+            got = _bounds(_flag(_band(members, spec, width, None), spec), (RID, DUP), spec)
+        else:
+            # Positions are read four times below; written once, their lineage ends there.
+            got = _summarised(materialise(members), spec, width, rf.df.agg(F.sum("_m_ub")).first()[0] or 0)
     more = [c for c in got.columns if c.startswith("x_") and not c.startswith("x__")]
     got = got.select(RID, DUP, *[F.col(f"x__{e}").alias(f"{into}__{e}") for e in ("lb", "sg", "ub")], *([F.col(c).alias(c.replace("x_", f"{into}_", 1)) for c in more] if detail else []))
     ends = [f"{into}__{e}" for e in ("lb", "sg", "ub")]

@@ -48,7 +48,7 @@ def sample_worlds(rf: RangeFrame, samples: int, seed: int = 0) -> DataFrame:
     """(world_id, _rid, _dup, attributes) of `samples` worlds in one plan. Draws are whole-number hashes of row, copy,
     sample and attribute, uniform over each range."""
     df = rf.df.withColumn("world_id", F.explode(F.sequence(F.lit(0).cast("long"), F.lit(samples - 1).cast("long"))))
-    base = F.col(RID) + F.col("world_id") * 613 + seed * 31
+    base = F.pmod(F.col(RID), F.lit(1 << 40)) + F.col("world_id") * 613 + seed * 31
     m = F.col("_m_lb") + draw(base, 50) % (F.col("_m_ub") - F.col("_m_lb") + 1)
     if rf.unit:
         df = df.where(m > 0)

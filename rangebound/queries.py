@@ -345,8 +345,42 @@ add(
     f"SELECT coalesce(c_mktsegment, '*') AS segment, coalesce(c_nationkey, -1) AS nation, CAST(sum(lb) AS BIGINT) AS total__lb, CAST(sum(sg) AS BIGINT) AS total__sg, CAST(sum(ub) AS BIGINT) AS total__ub FROM ({CUSTOMERS(keep='c_mktsegment, c_nationkey')}) GROUP BY ROLLUP (c_mktsegment, c_nationkey)",
 )
 add("ranking_row_number", lambda s, d: A.ranking(customers(s, d), ["bal"], "row_number").df.select(RID, "row_number__lb", "row_number__ub"), f"{rank_cte(CUSTOMERS())} SELECT rid AS _rid, pl + 1 AS row_number__lb, pu + 1 AS row_number__ub FROM p")
-add("ranking_ntile", lambda s, d: A.ranking(customers(s, d), ["bal"], "ntile").df.select(RID, "ntile__lb", "ntile__ub"))
-add("lag_bounds", lambda s, d: A.neighbour(customers(s, d), "bal", ["bal"], -1).df.select(RID, "x__lb", "x__ub"))
+add(
+    "ranking_ntile",
+    lambda s, d: A.ranking(customers(s, d), ["bal"], "ntile").df.select(RID, "ntile__lb", "ntile__ub"),
+    f"""{rank_cte(CUSTOMERS())}, n AS (SELECT sum(wl) AS n0, sum(wu) AS n2 FROM p) SELECT rid AS _rid, CAST(greatest(1, floor(pl * 4 / n2) + 1) AS BIGINT) AS ntile__lb, CAST(least(4, floor(pu * 4 / greatest(n0, pu + 1)) + 1) AS BIGINT) AS ntile__ub FROM p, n""",
+)
+_SMALLER = f"""WITH b AS ({_PARTS}), q AS (SELECT t.rid, count(CASE WHEN s.ub < t.lb THEN 1 END) AS n0, count(CASE WHEN s.lb < t.ub AND s.rid <> t.rid THEN 1 END) AS n2,
+ count(DISTINCT CASE WHEN s.lb = s.ub AND s.ub < t.lb THEN s.lb END) AS d0, count(DISTINCT CASE WHEN s.lb = s.ub AND s.lb < t.ub THEN s.lb END) + count(CASE WHEN s.lb < s.ub AND s.lb < t.ub AND s.rid <> t.rid THEN 1 END) AS d2 FROM b t CROSS JOIN b s GROUP BY t.rid)"""
+add("ranking_rank", lambda s, d: A.ranking(_parts(s, d), ["size"], "rank").df.select(RID, "rank__lb", "rank__ub"), f"{_SMALLER} SELECT rid AS _rid, n0 + 1 AS rank__lb, n2 + 1 AS rank__ub FROM q")
+add("ranking_dense_rank", lambda s, d: A.ranking(_parts(s, d), ["size"], "dense_rank").df.select(RID, "dense_rank__lb", "dense_rank__ub"), f"{_SMALLER} SELECT rid AS _rid, d0 + 1 AS dense_rank__lb, d2 + 1 AS dense_rank__ub FROM q")
+add("ranking_percent_rank", lambda s, d: A.ranking(_parts(s, d), ["size"], "percent_rank").df.select(RID, "percent_rank__lb", "percent_rank__ub"), f"{_SMALLER} SELECT rid AS _rid, n0 / ((SELECT count(*) FROM q) - 1) AS percent_rank__lb, least(1.0, n2 / ((SELECT count(*) FROM q) - 1)) AS percent_rank__ub FROM q")
+_LAG = window_sql(CUSTOMERS(), "min", -1, -1)
+add(
+    "lag_bounds",
+    lambda s, d: A.neighbour(customers(s, d), "bal", ["bal"], -1).df.select(RID, "x__lb", "x__ub"),
+    f"{_LAG.rpartition(' SELECT ')[0]}, g AS (SELECT rid, min(CASE WHEN c OR 1 - nc > 0 THEN vl END) AS lo, max(CASE WHEN c OR 1 - nc > 0 THEN vh END) AS hi FROM n GROUP BY rid) SELECT p.rid AS _rid, lo AS x__lb, hi AS x__ub FROM p LEFT JOIN g USING (rid)",
+)
+add(
+    "end_values",
+    lambda s, d: A.end_values(customers(s, d, 20, 100_000, 10, 10, keep=("c_nationkey",)), "bal", ["bal"], ["c_nationkey"]),
+    f"""{rank_cte(CUSTOMERS(20, 100_000, 10, 10, keep='c_nationkey'), part='c_nationkey')}, n AS (SELECT c_nationkey, sum(wl) AS n0 FROM p GROUP BY c_nationkey)
+SELECT c_nationkey, min(CASE WHEN pl = 0 THEN lb END) AS first__lb, max(CASE WHEN pl = 0 THEN ub END) AS first__ub, min(CASE WHEN pu >= n0 - 1 THEN lb END) AS last__lb, max(CASE WHEN pu >= n0 - 1 THEN ub END) AS last__ub,
+ arg_min(sg, pg) FILTER (WHERE wg > 0) AS first__sg, arg_max(sg, pg) FILTER (WHERE wg > 0) AS last__sg FROM p JOIN n USING (c_nationkey) GROUP BY c_nationkey""",
+)
+add(
+    "ra_theta",
+    lambda s, d: _m3(A.theta_join(suppliers(s, d, 20, 1_000_000, 10), suppliers(s, d, 5, 1_000_000), lambda c: E.rlt(c("bal"), c("r_bal"))), "bal__lb", "bal__ub", "r_bal__lb", "r_bal__ub"),
+    f"SELECT a.lb AS bal__lb, a.ub AS bal__ub, b.lb AS r_bal__lb, b.ub AS r_bal__ub, CASE WHEN a.ub < b.lb THEN a.ml ELSE 0 END AS _m_lb, CASE WHEN a.sg < b.sg THEN a.mg ELSE 0 END AS _m_sg, a.mu AS _m_ub FROM ({SUPPLIERS(20, 1_000_000, 10)}) a JOIN ({SUPPLIERS(5, 1_000_000)}) b ON a.lb < b.ub",
+)
+for _n, _anti in (("ra_semi_overlap", False), ("ra_anti_overlap", True)):
+    add(
+        _n,
+        lambda s, d, anti=_anti: _m3(A.semi_join(_parts(s, d), A.select((x := _parts(s, d, 10, 2, 80)), E.rlt(x.c("size"), E.rlit(30))), [("size", "size")], anti), RID),
+        f"""WITH b AS (SELECT lb, sg, ub, CASE WHEN ub < 30 THEN ml ELSE 0 END AS ml, CASE WHEN sg < 30 THEN mg ELSE 0 END AS mg FROM ({box_sql('part', 'p_partkey', 'p_size', 10, 2, 80)}) WHERE lb < 30),
+t AS (SELECT a.rid, bool_or(coalesce(a.lb = a.ub AND b.lb = b.ub AND a.lb = b.lb AND b.ml > 0, false)) AS c, bool_or(coalesce(a.sg = b.sg AND b.mg > 0, false)) AS g, bool_or(b.lb IS NOT NULL) AS p FROM ({_PARTS}) a LEFT JOIN b ON a.lb <= b.ub AND b.lb <= a.ub GROUP BY a.rid)
+SELECT rid AS _rid, CAST({'NOT p' if _anti else 'c'} AS BIGINT) AS _m_lb, CAST({'NOT g' if _anti else 'g'} AS BIGINT) AS _m_sg, CAST(1 AS BIGINT) AS _m_ub FROM t WHERE {'NOT c' if _anti else 'p'}""",
+    )
 
 # ---- workloads ------------------------------------------------------------------------------
 
@@ -360,7 +394,7 @@ add(
     lambda s, d: B.baseline_det(customers(s, d), B.positions(["bal"])).select(RID, "pos"),
     f"SELECT c_custkey AS _rid, row_number() OVER (ORDER BY {money('c_acctbal')}, c_custkey) - 1 AS pos FROM customer",
 )
-_SAMPLED = lambda n: f"""WITH b AS ({CUSTOMERS(20, 100_000)}), w AS (SELECT rid, w.w, lb + ((((rid + w.w * 613) * 7919 + 60 * 104729) % 10007) * 997) % (ub - lb + 1) AS v FROM b CROSS JOIN (SELECT CAST(range AS BIGINT) AS w FROM range({n})) w),
+_SAMPLED = lambda n: f"""WITH b AS ({CUSTOMERS(20, 100_000)}), w AS (SELECT rid, w.w AS w, lb + ((((rid + w.w * 613) * 7919 + 60 * 104729) % 10007) * 997) % (ub - lb + 1) AS v FROM b CROSS JOIN (SELECT CAST(range AS BIGINT) AS w FROM range({n})) w),
 p AS (SELECT rid, row_number() OVER (PARTITION BY w ORDER BY v, rid) - 1 AS pos FROM w) SELECT rid AS _rid, min(pos) AS pos__lb, max(pos) AS pos__ub, count(*) AS worlds FROM p GROUP BY rid"""
 for _k in (10, 20):
     add(f"base_sampled{_k}", lambda s, d, k=_k: B.baseline_sampled(customers(s, d, 20, 100_000), B.positions(["bal"]), k, "pos").drop(DUP), _SAMPLED(_k))
@@ -368,9 +402,25 @@ _TOP = lambda cond: f"{rank_cte(SUPPLIERS(20, 1_000_000))} SELECT rid AS _rid FR
 add("base_threshold_certain", lambda s, d: B.threshold_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 10, 1.0).select(RID), _TOP("pu < 10 AND wl = 1"))
 add("base_threshold_possible", lambda s, d: B.threshold_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 10, 0.0).select(RID), _TOP("pl < 10"))
 add("base_threshold_half", lambda s, d: B.threshold_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 10, 0.5))
-add("base_most_likely_list", lambda s, d: B.most_likely_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 3))
+add(
+    "base_most_likely_list",
+    lambda s, d: B.most_likely_topk(suppliers(s, d, 20, 1_000_000), ["bal"], 3),
+    _SAMPLED(200).replace(CUSTOMERS(20, 100_000), SUPPLIERS(20, 1_000_000)).replace("SELECT rid, row_number()", "SELECT rid, w, row_number()").rpartition(" SELECT ")[0]
+    + ", l AS (SELECT list(rid ORDER BY pos) AS ids FROM p WHERE pos < 3 GROUP BY w), best AS (SELECT ids, count(*) AS n FROM l GROUP BY ids ORDER BY n DESC, ids LIMIT 1) SELECT CAST(generate_subscripts(ids, 1) - 1 AS INTEGER) AS place, unnest(ids) AS _rid, n FROM best",
+)
 add("base_most_likely_pos", lambda s, d: B.most_likely_per_position(suppliers(s, d, 20, 1_000_000), ["bal"], 5))
-add("base_exact_bounds", X.exact_small)
+_SIX = box_sql("(SELECT *, CAST(floor(s_acctbal / 1000) AS BIGINT) AS fv FROM supplier WHERE s_suppkey < 6)", "s_suppkey", "fv", 60, 3, 30)
+add(
+    "base_exact_bounds",
+    X.exact_small,
+    f"""WITH RECURSIVE f AS (SELECT *, row_number() OVER (ORDER BY rid) AS i FROM ({_SIX})),
+o AS (SELECT i, rid, unnest(range(lb, ub + 1)) AS v FROM f UNION ALL SELECT i, rid, NULL FROM f WHERE ml = 0),
+w AS (SELECT CAST(0 AS BIGINT) AS i, CAST([] AS STRUCT(v BIGINT, rid BIGINT)[]) AS xs UNION ALL SELECT o.i, CASE WHEN o.v IS NULL THEN xs ELSE list_append(xs, {{'v': o.v, 'rid': o.rid}}) END FROM w JOIN o ON o.i = w.i + 1),
+z AS (SELECT list_sort(xs) AS xs FROM w WHERE i = (SELECT max(i) FROM f)),
+y AS (SELECT unnest(xs) AS x, generate_subscripts(xs, 1) - 1 AS pos FROM z),
+e AS (SELECT x.rid AS rid, min(pos) AS lb, max(pos) AS ub FROM y GROUP BY x.rid),
+r AS ({rank_sql(_SIX)}) SELECT r._rid, r._dup, CAST(e.lb AS BIGINT) AS lb, CAST(e.ub AS BIGINT) AS ub, r.pos__lb, r.pos__ub FROM r JOIN e ON e.rid = r._rid""",
+)
 
 
 def _sort_quality(s: SparkSession, d: str) -> DataFrame:

@@ -5,6 +5,7 @@ from __future__ import annotations
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
+from ..plans.prefix import join_null_safe
 from ..schema import MULT, RID, Attr, RangeFrame, schema_from_json
 
 
@@ -28,8 +29,9 @@ def from_intervals(df: DataFrame, rid: str | Column, ranges: dict[str, tuple], m
 
 
 def draw(key: Column, salt: int) -> Column:
-    """The hash of the injection, in whole-number arithmetic any engine repeats."""
-    return (key * 7919 + salt * 104729) % 10007
+    """The hash of the injection, in whole-number arithmetic any engine repeats. Ids of 2^40 and more (hashed ones)
+    count by their remainder, so that nothing overflows."""
+    return (F.pmod(key, F.lit(1 << 40)) * 7919 + salt * 104729) % 10007
 
 
 def box(key: Column, value: Column, u: int, r: int, per: int = 100, salt: int = 0) -> tuple[Column, Column, Column]:
@@ -76,10 +78,11 @@ def from_repairs(df: DataFrame, keys: tuple[str, ...], values: tuple[str, ...],
 
 
 def from_imputation(df: DataFrame, key: str, col: str, group: str, keep: tuple[str, ...] = ()) -> RangeFrame:
-    """Missing values get the range of their group, guessed at its low end (the whole table's where the group has no value)."""
+    """Missing values get the range of their group, guessed at its low end (the whole table's where the group has no
+    value). Rows without a group are a group."""
     seen = df.groupBy(group).agg(F.min(col).alias("_lo"), F.max(col).alias("_hi"))
     every = df.agg(F.min(col).alias("_all_lo"), F.max(col).alias("_all_hi"))
-    got = df.join(seen, group).crossJoin(F.broadcast(every))  # one row
+    got = join_null_safe(df, seen, [group], "left").crossJoin(F.broadcast(every))  # one row
     lo, hi = F.coalesce("_lo", "_all_lo"), F.coalesce("_hi", "_all_hi")
     return from_intervals(got, key, {col: (F.coalesce(F.col(col), lo), F.coalesce(F.col(col), lo), F.coalesce(F.col(col), hi))}, None, (group, *keep))
 

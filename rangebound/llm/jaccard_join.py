@@ -34,7 +34,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import discard, materialise, table
+from .common import aside, discard, materialise, table
 from .components import components
 
 
@@ -152,8 +152,7 @@ def _depth(own: np.ndarray, cost: np.ndarray, cfg: JoinConfig) -> tuple[int, int
 
 def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
     """docs: (id, text). (token, cid, packed) for each token of each class's prefix in the common order. A token is a
-    shingle's frequency class and hash; packed has n, l and the token's level: the least l whose prefix holds it.
-    A task posts a class once, however many of its rows are copies."""
+    shingle's frequency class and hash; packed has n, l and the token's place in the order. A task posts a class once, however many of its rows are copies."""
     classes = np.floor(2 * np.log2(np.maximum(counts, 1))).astype(np.uint64)
     load = max(1.0, float(counts.mean()))
     costs = 1 + np.maximum(0.0, 2.0 ** (np.arange(128) / 2) - 2 * load)
@@ -180,7 +179,7 @@ def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
                     own = own[: first + deep - 1]
                     tokens.append(own.view(np.int64))
                     who.append(np.full(len(own), c, dtype=np.int64))
-                    packed.append(size * 256 + deep * 16 + np.maximum(1, np.arange(len(own)) - first + 2))
+                    packed.append(size << 32 | deep << 28 | np.arange(len(own)))
                 if tokens:
                     yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (tokens, who, packed)], ["token", "cid", "packed"])
 
@@ -189,7 +188,11 @@ def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
 
 def _lists(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, cfg: JoinConfig, going: bool) -> np.ndarray:
     """Rows (kind, a, b, c) of whole posting lists in order of token and cid; going: the first is known to be long. For
-    short lists their pairs that may link, as (0, u, v, l that the pair needs); for long ones their members (1, cid, token, packed)."""
+    short lists their pairs that may link, as (0, u, v, l that the pair needs); for long ones their members (1, cid, token, packed).
+
+    Two sets that link share `least` tokens, by their sizes; so they share l of the first n - least + l of each, which is
+    often less than what they have posted, and with a shared token at places i and j no more than what precedes the
+    nearer and follows the farther."""
     keep = np.ones(len(token), dtype=bool)
     keep[1:] = (token[1:] != token[:-1]) | (cid[1:] != cid[:-1]) | (packed[1:] != packed[:-1])
     token, cid, packed = token[keep], cid[keep], packed[keep]
@@ -202,7 +205,7 @@ def _lists(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, cfg: JoinConf
     if going and len(start):
         long[: own[0]] = True
     out = [np.stack([np.ones(int(long.sum()), np.int64), cid[long], token[long], packed[long]])]
-    n, deep, level = packed >> 8, (packed >> 4) & 15, packed & 15
+    n, deep, place = packed >> 32, (packed >> 28) & 15, packed & ((1 << 28) - 1)
     end = first + size
     a = np.flatnonzero(~long)
     for d in range(1, cfg.short):
@@ -211,7 +214,10 @@ def _lists(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, cfg: JoinConf
             break
         z = a + d
         need = np.minimum(deep[a], deep[z])
-        ok = (100 * np.minimum(n[a], n[z]) >= cfg.percent * np.maximum(n[a], n[z])) & (np.maximum(level[a], level[z]) <= need) & (cid[a] != cid[z])
+        least = -(-cfg.percent * (n[a] + n[z]) // (100 + cfg.percent))
+        ok = (100 * np.minimum(n[a], n[z]) >= cfg.percent * np.maximum(n[a], n[z])) & (cid[a] != cid[z])
+        ok &= (place[a] < n[a] - least + need) & (place[z] < n[z] - least + need)
+        ok &= np.minimum(place[a], place[z]) + np.minimum(n[a] - place[a], n[z] - place[z]) >= least
         u, v = cid[a[ok]], cid[z[ok]]
         out.append(np.stack([np.zeros(len(u), np.int64), np.minimum(u, v), np.maximum(u, v), need[ok]]))
     return np.concatenate(out, axis=1)
@@ -282,7 +288,7 @@ def candidates(post: DataFrame, cfg: JoinConfig) -> DataFrame:
     and all to a list with a class of smaller l; such lists stay linear in their members."""
     seen = materialise(scan_lists(post, cfg))
     pairs = seen.where("kind = 0").groupBy(F.col("a").alias("u"), F.col("b").alias("v")).agg(F.count(F.lit(1)).alias("k"), F.min("c").alias("l"))
-    long = seen.where("kind = 1").groupBy(F.col("a").alias("cid")).agg(F.sort_array(F.collect_set("b")).alias("lists"), F.max(F.shiftright("c", 8)).alias("n"), F.max(F.shiftright("c", 4) % 16).alias("l"))
+    long = seen.where("kind = 1").groupBy(F.col("a").alias("cid")).agg(F.sort_array(F.collect_set("b")).alias("lists"), F.max(F.shiftright("c", 32)).alias("n"), F.max(F.shiftright("c", 28) % 16).alias("l"))
     side = lambda c: long.select(F.col("cid").alias(c), F.col("lists").alias(f"_{c}"))
     few = pairs.where("k < l").join(side("u"), "u").join(side("v"), "v").where(F.col("k") + F.size(F.array_intersect("_u", "_v")) >= F.col("l"))
     posted = long.select("cid", "n", (F.col("l") < cfg.deepest).alias("odd"), F.size("lists").alias("m"), F.posexplode("lists").alias("pos", "token"))
@@ -377,10 +383,11 @@ def without(docs: DataFrame, ids: DataFrame, key: str = "doc_id", bits: int = 1
     """docs whose key isn't among ids.id. Only rows that the bitmap doesn't clear are joined; the
     others aren't moved."""
     bitmap, hit = id_filter(docs.sparkSession, ids, bits)
+    docs, back = aside(docs, ["_bitmap", "_hit", "_id"])
     marked = docs.crossJoin(F.broadcast(bitmap)).withColumn("_hit", hit(key)).drop("_bitmap")  # one row
     clear = marked.where(~F.col("_hit")).drop("_hit")
     asked = marked.where("_hit").drop("_hit")
-    return clear.unionByName(asked.join(ids.select(F.col("id").alias("_id")), F.col(key) == F.col("_id"), "left_anti"))
+    return back(clear.unionByName(asked.join(ids.select(F.col("id").alias("_id")), F.col(key) == F.col("_id"), "left_anti")))
 
 
 def placed(heads: DataFrame, clusters: DataFrame, cfg: JoinConfig) -> DataFrame:
@@ -473,7 +480,7 @@ def groups(docs: DataFrame, cfg: JoinConfig = JoinConfig(), key: str = "doc_id",
     docs = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
     seen = materialise(profile(docs, cfg))
     rows = seen.where("part is null").select("id", "n", "sig", "cid")
-    heads = rows.where("n > 0 and id is not null").groupBy("sig", "cid", "n").agg(F.min("id").alias("head"))
+    heads = materialise(rows.where("n > 0 and id is not null").groupBy("sig", "cid", "n").agg(F.min("id").alias("head")))
     clusters = components(candidates(postings(docs, sketch(seen, cfg), cfg), cfg))
     found = classes(docs, heads, clusters, cfg)
     discard(clusters)

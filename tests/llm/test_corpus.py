@@ -99,7 +99,7 @@ def test_jaccard_join(spark, docs, k, pct, block, short):
 def test_posting_lists_longer_than_a_buffer(spark):
     """Lists of 200,000 members are joined in edges as many as the members; copies of 3 members are a short list."""
     cfg = jaccard_join.JoinConfig()
-    packed = 100 * 256 + 8 * 16 + 1
+    packed = 100 << 32 | 8 << 28 | 1
     many = spark.range(200_000).selectExpr("explode(sequence(1L, 8L)) as token", "id as cid", f"{packed}L as packed")
     copies = spark.range(100_000).selectExpr("9L as token", "-1 - id % 3 as cid", f"{packed}L as packed")
     got = jaccard_join.candidates(many.union(copies), cfg)

@@ -4,6 +4,7 @@ from __future__ import annotations
 
 import tempfile
 import uuid
+from collections.abc import Callable, Iterable
 
 from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
@@ -20,14 +21,30 @@ def fold(key: str, modulus: int) -> Column:
 
 def scratch_dir(spark: SparkSession) -> str:
     """A new folder under spark.checkpoint.dir, which all executors share. Only where that is
-    unset (tests on one machine) is a local folder taken."""
+    unset on one machine (tests) is a local folder taken; on a cluster it is an error."""
     base = spark.conf.get("spark.checkpoint.dir", None)
     if not base:
+        if not spark.sparkContext.master.startswith("local[") and spark.sparkContext.master != "local":
+            raise RuntimeError("spark.checkpoint.dir names no folder that all executors share")
         base = tempfile.mkdtemp(prefix="rangebound-")
         spark.conf.set("spark.checkpoint.dir", base)
     return f"{base.rstrip('/')}/rangebound-{uuid.uuid4().hex}"
 
 
+def free_of(df: DataFrame, names: Iterable[str]) -> DataFrame:
+    """df without the columns that are named as a result's, in any case of letters; the result takes their place."""
+    taken = {n.lower() for n in names}
+    return df.select(*[c for c in df.columns if c.lower() not in taken])
+
+
+def aside(df: DataFrame, names: Iterable[str]) -> tuple[DataFrame, Callable[[DataFrame], DataFrame]]:
+    """df with such columns renamed, and what gives them their names back."""
+    taken = {n.lower() for n in names}
+    moved = {c: f"aside_{i}_{uuid.uuid4().hex[:8]}" for i, c in enumerate(df.columns) if c.lower() in taken}
+    back = {v: k for k, v in moved.items()}
+    return df.withColumnsRenamed(moved), lambda out: out.withColumnsRenamed(back)
+
+
 def materialise(df: DataFrame) -> DataFrame:
     """Writes the rows as Parquet to the shared folder and reads them back: lineage ends there,
     and a lost executor takes nothing with it."""

@@ -7,7 +7,7 @@ after the other.
 
 Defined results: a text that is null, empty or has no letter is `und` with score 0. With no
 training row at all every text is `und`. Ties go to the language that sorts first. Repeated rows
-are scored alike, and extra columns of the input do not matter.
+are scored alike. Extra columns stay; those named lang_pred or lang_score give way to the results.
 """
 
 from __future__ import annotations
@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import fold, table
+from .common import free_of, fold, table
 
 UNDETERMINED = "und"
 _LUTS: dict[str, np.ndarray] = {}
@@ -176,12 +176,16 @@ def fit(train: DataFrame, cfg: LangConfig = LangConfig(), text: str = "text", la
     weights = dense.copy()
     weights[:, :-1] = np.log((dense[:, :-1] + cfg.alpha) / (dense[:, :-1].sum(axis=1, keepdims=True) + cfg.alpha * cfg.buckets)) if langs else 0
     weights[:, -1] = 0
-    return LangModel(langs, weights, np.log(np.maximum(dense[:, -1], 1) / max(1, dense[:, -1].sum())) if langs else np.zeros(0), cfg)
+    # Priors are shares of all training rows, not of the sample.
+    known = {r["lang"]: r["size"] for r in sizes.collect()} if langs else {}
+    share = np.array([float(known[x]) for x in langs])
+    return LangModel(langs, weights, np.log(share / share.sum()) if langs else np.zeros(0), cfg)
 
 
 def predict(docs: DataFrame, model: LangModel, text: str = "text") -> DataFrame:
     """All columns of docs, with lang_pred and lang_score."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
+    docs = free_of(docs, ["lang_pred", "lang_score"])
     fields = docs.schema.fieldNames()
     where = fields.index(text)
 

@@ -10,7 +10,8 @@ permutation, and of the block that crosses the budget, the first documents that
 All of it is DataFrame expressions. Per source there is one row, per block one; a hot source
 is many blocks, never one task. Defined results: a null source is a source of its own; a text
 without words costs nothing and is taken in each whole pass; sources without tokens have weight 0
-and are read once; an empty table gives no rows; repeated rows count each.
+and are read once; an empty table gives no rows; repeated rows count each and tie, in any order; a column to be carried
+must not have the name of a result.
 """
 
 from __future__ import annotations
@@ -31,12 +32,13 @@ P = 2147483647
 class MixConfig:
     """entropy: wanted, as a share of the most there can be (None: only the limit counts); repeats:
     most passes over a source; budget: tokens, as a multiple of all there are; block: tokens of a
-    block, about; seed: of the permutations; rounds: of the bisection."""
+    block, about; run: blocks that are ranked in one task, about; seed: of the permutations; rounds: of the bisection."""
 
     entropy: float | None = 0.95
     repeats: float = 4.0
     budget: float = 1.0
     block: int = 200_000
+    run: int = 4096
     seed: int = 1
     rounds: int = 50
 
@@ -91,10 +93,17 @@ def mix(docs: DataFrame, cfg: MixConfig = MixConfig(), key: str = "doc_id", text
     # One row for each source: Spark broadcasts it while it is small.
     placed = slim.join(plan.select("_s", "blocks", "passes", "rest"), "_s")
     placed = placed.withColumn("block", F.pmod(scatter(F.col("doc_id"), F.lit(cfg.seed)), F.col("blocks")).cast("int"))
-    held = placed.groupBy("_s", "block").agg(F.sum("n_tokens").alias("t"), F.first("passes").alias("passes"), F.first("rest").alias("rest"))
+    held = placed.groupBy("_s", "block").agg(F.sum("n_tokens").alias("t"), F.first("passes").alias("passes"), F.first("rest").alias("rest"), F.first("blocks").alias("blocks"))
     turns = held.withColumn("epoch", F.explode(F.sequence(F.lit(0), F.col("passes"))))
-    order = W.partitionBy("_s", "epoch").orderBy(scatter(F.col("block"), F.col("epoch") + cfg.seed), "block")
-    turns = turns.withColumn("block_rank", F.row_number().over(order)).withColumn("before", F.sum("t").over(order.rowsBetween(W.unboundedPreceding, 0)) - F.col("t"))
+    # A permutation's keys are spread evenly, so stretches of them hold about cfg.run blocks each: ranks and sums run within
+    # a stretch, and start from the totals of those before.
+    turns = turns.withColumn("key", scatter(F.col("block"), F.col("epoch") + cfg.seed)).withColumn("stretch", F.floor(F.col("key") / F.ceil(F.lit(P) / F.ceil(F.col("blocks") / cfg.run))))
+    totals = turns.groupBy("_s", "epoch", "stretch").agg(F.count(F.lit(1)).alias("n"), F.sum("t").alias("sum"))
+    earlier = W.partitionBy("_s", "epoch").orderBy("stretch").rowsBetween(W.unboundedPreceding, -1)
+    totals = totals.select("_s", "epoch", "stretch", F.coalesce(F.sum("n").over(earlier), F.lit(0)).alias("n0"), F.coalesce(F.sum("sum").over(earlier), F.lit(0)).alias("t0"))
+    order = W.partitionBy("_s", "epoch", "stretch").orderBy("key", "block")
+    turns = turns.withColumn("own", F.row_number().over(order)).withColumn("run", F.sum("t").over(order.rowsBetween(W.unboundedPreceding, 0)))
+    turns = turns.join(totals, ["_s", "epoch", "stretch"]).withColumns({"block_rank": (F.col("n0") + F.col("own")).cast("int"), "before": F.col("t0") + F.col("run") - F.col("t")})
     part = F.col("epoch") == F.col("passes")
     turns = turns.withColumn("room", F.when(part, F.col("rest") - F.col("before"))).where(~part | (F.col("room") > 0))
     turns = materialise(turns.select("_s", "block", "epoch", "block_rank", "t", "room"))

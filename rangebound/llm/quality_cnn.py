@@ -21,7 +21,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import fold, table
+from .common import fold, free_of, table
 from .toxicity import training_rows
 
 
@@ -168,8 +168,9 @@ def fit(rows: DataFrame, cfg: CnnConfig = CnnConfig()) -> Cnn:
 
 
 def score(docs: DataFrame, net: Cnn, text: str = "text") -> DataFrame:
-    """All columns of docs, with quality (0 to 1)."""
+    """All columns of docs, with quality (0 to 1), which takes the place of a column of that name."""
     shared = docs.sparkSession.sparkContext.broadcast(net)
+    docs = free_of(docs, ["quality"])
     fields = docs.schema.fieldNames()
     where = fields.index(text)
 

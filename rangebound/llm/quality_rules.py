@@ -12,7 +12,8 @@ reweights. A group of fewer than `least` texts takes its language's estimates.
 
 Defined results: null and empty texts have no words and fail the base rules; null languages and
 sources are groups of their own; if a language has fewer than `least` texts too, only the base
-rules count; repeated rows count each; other columns of the input are kept as they are.
+rules count; repeated rows count each and are judged alike; other columns of the input are kept as they are, but those
+named as a result, which takes their place.
 """
 
 from __future__ import annotations
@@ -24,7 +25,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 from pyspark.sql import Window as W
 
-from .common import materialise, table
+from .common import free_of, materialise, table
 
 SPACE = " \t\n\x0b\x0c\r"
 WORD_GAP = r"[\x20\x09-\x0D]+"
@@ -204,9 +205,11 @@ def fit(rows: DataFrame, cfg: McdConfig) -> DataFrame:
 def judge(docs: DataFrame, cfg: McdConfig = McdConfig(), text: str = "text", carry: tuple[str, ...] = ()) -> DataFrame:
     """The columns of docs (those in `carry`, if given), the base counts, base_failed, distance
     (null: not judged) and kept. docs has lang and source. What is carried is written once to the shared folder."""
-    carry = carry or tuple(docs.columns)
-    counted = base_counts(docs, text).withColumns({"base_failed": base_failed()} | statistics())
-    counted = materialise(counted.select(*carry, *BASE, *FEATURES))
+    carry = carry or tuple(free_of(docs, [*BASE, "distance", "kept"]).columns)
+    # What is carried travels as one column, so that no name of it meets one of ours.
+    slim = docs.select(F.struct(*carry).alias("row"), F.col(text).alias("text"), "lang", "source")
+    counted = base_counts(slim).withColumns({"base_failed": base_failed()} | statistics())
+    counted = materialise(counted.select("row", "lang", "source", *BASE, *FEATURES))
     own = F.concat_ws("\x1f", F.lit("s"), F.coalesce(F.concat(F.lit("="), F.col("lang")), F.lit("-")), F.coalesce(F.concat(F.lit("="), F.col("source")), F.lit("-")))
     wide = F.concat_ws("\x1f", F.lit("l"), F.coalesce(F.concat(F.lit("="), F.col("lang")), F.lit("-")))
     rows = counted.where(~F.col("base_failed")).select(F.explode(F.array(own, wide)).alias("g"), *FEATURES)
@@ -218,7 +221,7 @@ def judge(docs: DataFrame, cfg: McdConfig = McdConfig(), text: str = "text", car
         two = two.join(params.select(F.col("g").alias(key), *[F.col(c).alias(f"{side}_{c}") for c in names]), key, "left")
     two = two.withColumns({c: F.coalesce(f"a_{c}", f"b_{c}") for c in names}).withColumn("distance", distance())
     kept = ~F.col("base_failed") & (F.coalesce("distance", F.lit(0.0)) <= limit)
-    return two.select(*carry, *BASE, "distance", kept.alias("kept"))
+    return two.select("row.*", *BASE, "distance", kept.alias("kept"))
 
 
 def op2_quality_rules(spark: SparkSession, sf_dir: str) -> DataFrame:

@@ -3,11 +3,12 @@
 Texts are encoded whole by a public byte-pair vocabulary (its path is a parameter); only lengths
 leave the encoder. The histogram has a row for each length that occurs. Suffix sums answer, for
 every context limit, how many documents are at least so long, how many tokens they have, and how
-many tokens remain if all texts are cut at the limit. Sums run within ranges of lengths and over the
-ranges' totals, so no task sees the whole histogram.
+many tokens remain if all texts are cut at the limit. Limits that are asked for have a row of their own, with no
+documents if no text is so long. A quantile is the least length whose docs_up_to reaches its share of all. Sums run
+within ranges of lengths and over the ranges' totals, so no task sees the whole histogram.
 
-Defined results: null and empty texts have length 0; an empty table has an empty histogram;
-repeated rows count each.
+Defined results: null and empty texts have length 0; an empty table has an empty histogram, or nothing
+but zeros at the limits; repeated rows count each. A column n_tokens of the input gives way to the count.
 """
 
 from __future__ import annotations
@@ -21,12 +22,14 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
-from .common import table
+from .common import free_of, materialise, table
 
 VOCABULARY = "/opt/tokenizers/byte_bpe_50k.tiktoken"
 #: Fixed value: the split before merging that belongs to this vocabulary.
 PATTERN = r"""'s|'t|'re|'ve|'m|'ll|'d| ?\p{L}+| ?\p{N}+| ?[^\s\p{L}\p{N}]+|\s+(?!\S)|\s+"""
 RANGE = 1024
+#: Context limits that the query answers besides the lengths that occur.
+CONTEXT_LIMITS = tuple(1 << k for k in range(9, 18))
 
 
 def encoder(path: str = VOCABULARY, pattern: str = PATTERN):
@@ -39,7 +42,7 @@ def encoder(path: str = VOCABULARY, pattern: str = PATTERN):
 
 def lengths(docs: DataFrame, text: str = "text", path: str = VOCABULARY, pattern: str = PATTERN) -> DataFrame:
     """All columns of docs but the text, with n_tokens."""
-    keep = [c for c in docs.columns if c != text]
+    keep = [c for c in free_of(docs, ["n_tokens"]).columns if c != text]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         enc = encoder(path, pattern)
@@ -54,15 +57,21 @@ def lengths(docs: DataFrame, text: str = "text", path: str = VOCABULARY, pattern
     return docs.select(*keep, text).mapInArrow(run, docs.select(*keep, F.lit(0).cast("long").alias("n_tokens")).schema)
 
 
-def histogram(measured: DataFrame) -> DataFrame:
-    """From rows with n_tokens: n_tokens, n_docs, docs_at_least, tokens_at_least, truncated_total."""
-    h = measured.groupBy("n_tokens").agg(F.count(F.lit(1)).alias("n_docs")).withColumn("range", F.floor(F.col("n_tokens") / RANGE))
+def histogram(measured: DataFrame, limits: tuple[int, ...] = ()) -> DataFrame:
+    """From rows with n_tokens: n_tokens, n_docs, docs_up_to, docs_at_least, tokens_at_least, truncated_total. The counts
+    are written once to the shared folder, so texts are encoded once."""
+    h = measured.groupBy("n_tokens").agg(F.count(F.lit(1)).alias("n_docs"))
+    if limits:
+        asked = measured.sparkSession.createDataFrame([(x, 0) for x in sorted(set(limits))], "n_tokens long, n_docs long")
+        h = h.union(asked).groupBy("n_tokens").agg(F.sum("n_docs").alias("n_docs"))
+    h = materialise(h).withColumn("range", F.floor(F.col("n_tokens") / RANGE))
     later = W.orderBy("range").rowsBetween(1, W.unboundedFollowing)
+    all_ = W.orderBy("range").rowsBetween(W.unboundedPreceding, W.unboundedFollowing)
     totals = h.groupBy("range").agg(F.sum("n_docs").alias("d"), F.sum(F.col("n_docs") * F.col("n_tokens")).alias("t"))
-    above = totals.select("range", F.coalesce(F.sum("d").over(later), F.lit(0)).alias("d_above"), F.coalesce(F.sum("t").over(later), F.lit(0)).alias("t_above"), F.sum("t").over(W.orderBy("range").rowsBetween(W.unboundedPreceding, W.unboundedFollowing)).alias("t_all"))
+    above = totals.select("range", F.coalesce(F.sum("d").over(later), F.lit(0)).alias("d_above"), F.coalesce(F.sum("t").over(later), F.lit(0)).alias("t_above"), F.sum("t").over(all_).alias("t_all"), F.sum("d").over(all_).alias("d_all"))
     own = W.partitionBy("range").orderBy("n_tokens").rowsBetween(0, W.unboundedFollowing)
     h = h.join(above, "range").withColumns({"docs_at_least": F.sum("n_docs").over(own) + F.col("d_above"), "tokens_at_least": F.sum(F.col("n_docs") * F.col("n_tokens")).over(own) + F.col("t_above")})
-    return h.select("n_tokens", "n_docs", "docs_at_least", "tokens_at_least", (F.col("t_all") - F.col("tokens_at_least") + F.col("n_tokens") * F.col("docs_at_least")).alias("truncated_total"))
+    return h.select("n_tokens", "n_docs", (F.col("d_all") - F.col("docs_at_least") + F.col("n_docs")).alias("docs_up_to"), "docs_at_least", "tokens_at_least", (F.col("t_all") - F.col("tokens_at_least") + F.col("n_tokens") * F.col("docs_at_least")).alias("truncated_total"))
 
 
 def truncated_totals(hist: DataFrame, limits: list[int]) -> DataFrame:
@@ -83,4 +92,4 @@ def quantiles(hist: DataFrame, shares: list[float]) -> DataFrame:
 
 
 def op7_token_counts(spark: SparkSession, sf_dir: str) -> DataFrame:
-    return histogram(lengths(table(spark, sf_dir, "documents").select("text")))
+    return histogram(lengths(table(spark, sf_dir, "documents").select("text")), CONTEXT_LIMITS)

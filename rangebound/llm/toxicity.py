@@ -1,14 +1,15 @@
 """Toxicity: a logistic classifier regularised by counterfactual identity swaps.
 
-Each labelled text that names a group is paired with copies in which identity terms are swapped
-for other terms of their category. Training adds to the log loss a penalty on the squared
+Each labelled text that names a group is paired with copies in which every identity term is swapped
+for another of its category, a copy for each other term. Training adds to the log loss a penalty on the squared
 difference of the two logits, also for a copy that names none, so that naming a group does not move the score by itself, and an
 L1 penalty, so that words without evidence weigh nothing however long a text is. Features are
 hashed words and word beginnings, present or absent.
 
-Training takes at most `sample` labelled rows. Defined results: null and empty texts get the
-bias alone; with no labelled row the score is 0; labels given more than once for a document
-count once, as their maximum.
+Training takes at most `sample` labelled rows. Their features are counted on the executors, over whole texts; the
+driver gets the `keep` most telling ones, and then only these of each row. Defined results: null and empty texts get the
+bias alone; with no labelled row the score is 0; labels given more than once for a document count once, as their
+maximum; a column named toxicity gives way to the score.
 """
 
 from __future__ import annotations
@@ -22,7 +23,7 @@ from pyspark.sql import Column, DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from . import kernels as K
-from .common import bounded_sample, fold, table
+from .common import bounded_sample, fold, free_of, table
 
 #: Terms that name groups, by category and language; a term is swapped for the others of its category. No term is in two.
 IDENTITY: dict[str, tuple[str, ...]] = {
@@ -68,7 +69,7 @@ class ToxConfig:
     the counterfactual penalty; l1 (over the root of the rows), l2: other penalties; chi: least
     chi-square of a feature; steps, rate: gradient steps."""
 
-    sample: int = 5_000
+    sample: int = 12_000
     prefixes: tuple[int, ...] = (4, 5, 6)
     min_docs: int = 3
     keep: int = 4000
@@ -78,7 +79,6 @@ class ToxConfig:
     l2: float = 1e-6
     steps: int = 400
     rate: float = 0.3
-    swaps: int = 3
 
 
 def _features(data: np.ndarray, offsets: np.ndarray, cfg: ToxConfig) -> tuple[np.ndarray, np.ndarray, np.ndarray]:
@@ -139,63 +139,81 @@ class ToxModel:
         self._maybe[(self.hashes & np.uint64(0xFFFF)).astype(np.int64)] = True
 
 
+def _documents(column: pa.Array, cfg: ToxConfig) -> Iterator[tuple[int, np.ndarray]]:
+    """(row, distinct features) of each text."""
+    for i, j, data, off in K.slices(K.lowered(column)):
+        h, doc, _ = _features(data, off, cfg)
+        order = np.argsort(doc, kind="stable")
+        h, cut = h[order], np.searchsorted(doc[order], np.arange(j - i + 1))
+        for k in range(j - i):
+            yield i + k, np.unique(h[cut[k] : cut[k + 1]])
+
+
+def vocabulary(rows: DataFrame, n: int, pos: int, cfg: ToxConfig) -> np.ndarray:
+    """Sorted features: the cfg.keep of greatest chi-square among n rows, pos of them positive, and those of all terms."""
+
+    def count(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            y = b.column(1).to_numpy().astype(np.int64)
+            got = [(x, np.full(len(x), y[i])) for i, x in _documents(b.column(0), cfg)]
+            every, inv = np.unique(np.concatenate([np.zeros(0, np.uint64), *[x for x, _ in got]]), return_inverse=True)
+            ones = np.concatenate([np.zeros(0, np.int64), *[t for _, t in got]])
+            df, dp = np.bincount(inv, minlength=len(every)), np.bincount(inv, weights=ones, minlength=len(every)).astype(np.int64)
+            yield pa.RecordBatch.from_arrays([pa.array(every.view(np.int64)), pa.array(df.astype(np.int64)), pa.array(dp)], ["f", "df", "dp"])
+
+    ids = np.unique(np.concatenate([x[0] for x in _swaps(cfg).values()]))
+    seen = rows.mapInArrow(count, "f long, df long, dp long").groupBy("f").agg(F.sum("df").cast("double").alias("df"), F.sum("dp").cast("double").alias("dp"))
+    a, b = F.col("dp"), F.col("df") - F.col("dp")
+    c, d = float(pos) - F.col("dp"), float(n - pos) - (F.col("df") - F.col("dp"))
+    chi = float(n) * (a * d - b * c) * (a * d - b * c) / F.greatest((a + b) * (c + d) * (a + c) * (b + d), F.lit(1.0))
+    best = seen.where(F.col("df") >= cfg.min_docs).withColumn("chi", chi).where(F.col("chi") >= cfg.chi).orderBy(F.desc("chi"), "f").limit(cfg.keep).select("f").collect()
+    return np.union1d(np.array([r["f"] for r in best], dtype=np.int64).view(np.uint64), ids)
+
+
 def fit(rows: DataFrame, cfg: ToxConfig = ToxConfig()) -> ToxModel:
     """Learns from a bounded frame of (text, y)."""
+    sizes = rows.agg(F.count(F.lit(1)).alias("n"), F.coalesce(F.sum("y"), F.lit(0)).alias("pos")).first()
+    n, pos = sizes["n"], sizes["pos"]
+    if not n or pos in (0, n):
+        return ToxModel(np.zeros(0, np.uint64), np.zeros(0), 500.0 if n and pos else -500.0, cfg)
+    vocab = vocabulary(rows, n, pos, cfg)
 
     def encode(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         swaps = _swaps(cfg)
         ids = np.array(sorted(swaps), dtype=np.uint64)
+        known = lambda x: np.flatnonzero(np.isin(vocab, x)).astype(np.int32).tobytes()
         for b in batches:
             y = b.column(1).to_pylist()
             ys, feats, twins = [], [], []
-            for i, j, data, off in K.slices(K.lowered(b.column(0))):
-                h, doc, _ = _features(data, off, cfg)
-                order = np.argsort(doc, kind="stable")
-                h, cut = h[order], np.searchsorted(doc[order], np.arange(j - i + 1))
-                for k in range(j - i):
-                    own = np.unique(h[cut[k] : cut[k + 1]])
-                    named = own[np.isin(own, ids)].tolist()
-                    ys.append(y[i + k])
-                    feats.append(own.tobytes())
-                    more = []
-                    if named:
-                        # The t-th twin swaps every term named in the text for the t-th other of its category.
-                        rest = own[~np.isin(own, np.concatenate([swaps[x][0] for x in named]))]
-                        more = [np.unique(np.concatenate([rest, *[swaps[x][1][t % len(swaps[x][1])] for x in named]])).tobytes() for t in range(cfg.swaps)]
-                        more.append(rest.tobytes())  # and one twin names no group at all
-                    twins.append(more)
+            for i, own in _documents(b.column(0), cfg):
+                named = own[np.isin(own, ids)].tolist()
+                more = []
+                if named:
+                    # The t-th twin swaps every term named in the text for the t-th other of its category.
+                    rest = own[~np.isin(own, np.concatenate([swaps[x][0] for x in named]))]
+                    more = [known(np.concatenate([rest, *[swaps[x][1][t % len(swaps[x][1])] for x in named]])) for t in range(max(len(swaps[x][1]) for x in named))]
+                    more.append(known(rest))  # and one twin names no group at all
+                ys.append(y[i])
+                feats.append(known(own))
+                twins.append(more)
             yield pa.RecordBatch.from_arrays([pa.array(ys, pa.int32()), pa.array(feats, pa.binary()), pa.array(twins, pa.list_(pa.binary()))], ["y", "f", "twins"])
 
-    got = rows.mapInArrow(encode, "y int, f binary, twins array<binary>").toPandas()
-    return train([np.frombuffer(x, dtype=np.uint64) for x in got["f"]], got["y"].to_numpy(dtype=float), [[np.frombuffer(x, dtype=np.uint64) for x in t] for t in got["twins"]], cfg)
+    got = rows.mapInArrow(encode, "y int, f binary, twins array<binary>").collect()
+    got.sort(key=lambda r: (r["y"], bytes(r["f"]), [bytes(t) for t in r["twins"]]))  # the order of arrival differs from run to run
+    read = lambda x: np.frombuffer(bytes(x), dtype=np.int32)
+    return train([read(r["f"]) for r in got], np.array([float(r["y"]) for r in got]), [[read(t) for t in r["twins"]] for r in got], vocab, cfg)
 
 
-def _sparse(docs: list[np.ndarray], vocab: np.ndarray) -> tuple[np.ndarray, np.ndarray]:
-    cols = np.concatenate([*docs, np.zeros(0, np.uint64)])
-    row = np.repeat(np.arange(len(docs)), [len(x) for x in docs])
-    at = np.minimum(np.searchsorted(vocab, cols), max(0, len(vocab) - 1))
-    ok = vocab[at] == cols if len(vocab) else np.zeros(len(cols), dtype=bool)
-    return row[ok], at[ok]
+def _sparse(docs: list[np.ndarray]) -> tuple[np.ndarray, np.ndarray]:
+    return np.repeat(np.arange(len(docs)), [len(x) for x in docs]), np.concatenate([*docs, np.zeros(0, np.int32)]).astype(np.int64)
 
 
-def train(docs: list[np.ndarray], y: np.ndarray, twins: list[list[np.ndarray]], cfg: ToxConfig) -> ToxModel:
-    """Proximal gradient descent on log loss + pair * squared logit gap + L2, with an L1 step."""
+def train(docs: list[np.ndarray], y: np.ndarray, twins: list[list[np.ndarray]], vocab: np.ndarray, cfg: ToxConfig) -> ToxModel:
+    """Proximal gradient descent on log loss + pair * squared logit gap + L2, with an L1 step. docs, twins: places in vocab."""
     n, pos = len(docs), float(y.sum())
-    if not n or pos in (0.0, float(n)):
-        return ToxModel(np.zeros(0, np.uint64), np.zeros(0), 500.0 if n and pos else -500.0, cfg)
-    every, inv = np.unique(np.concatenate(docs), return_inverse=True)
-    df = np.bincount(inv, minlength=len(every)).astype(float)
-    dp = np.bincount(inv, weights=np.repeat(y, [len(x) for x in docs]), minlength=len(every))
-    a, b, c, d = dp, df - dp, pos - dp, (n - pos) - (df - dp)
-    chi = n * (a * d - b * c) ** 2 / np.maximum((a + b) * (c + d) * (a + c) * (b + d), 1)
-    ids = np.unique(np.concatenate([x[0] for x in _swaps(cfg).values()]))
-    named = np.isin(every, ids)
-    chi[(df < cfg.min_docs) & ~named] = -1
-    best = np.argsort(-chi, kind="stable")[: cfg.keep]
-    vocab = np.union1d(every[best[chi[best] >= cfg.chi]], ids)
-    r, col = _sparse(docs, vocab)
+    r, col = _sparse(docs)
     pair_of = np.repeat(np.arange(n), [len(t) for t in twins])
-    tr, tc = _sparse([t for ts in twins for t in ts], vocab)
+    tr, tc = _sparse([t for ts in twins for t in ts])
     m = len(pair_of)
     w, bias = np.zeros(len(vocab)), float(np.log(pos / (n - pos)))
     share = np.where(y > 0, 0.5 / pos, 0.5 / (n - pos))  # classes weigh alike
@@ -225,6 +243,7 @@ def train(docs: list[np.ndarray], y: np.ndarray, twins: list[list[np.ndarray]],
 def score(docs: DataFrame, model: ToxModel, text: str = "text") -> DataFrame:
     """All columns of docs, with toxicity (0 to 1)."""
     shared = docs.sparkSession.sparkContext.broadcast(model)
+    docs = free_of(docs, ["toxicity"])
     fields = docs.schema.fieldNames()
     where = fields.index(text)
 

@@ -40,16 +40,16 @@ DATE = "1970-01-01T00:00:00Z"
 @dataclass(frozen=True)
 class WarcConfig:
     """sample, sample_bytes: records, and bytes of each, that the dictionary is built from;
-    dictionary: its size; level: of compression; revisit_bytes: least payload of a revisit; hot:
-    copies from which a payload's group is looked up by broadcast, as there are at most rows / hot
-    such groups; archive_bytes: of payload in an archive, about."""
+    dictionary: its size; level: of compression; revisit_bytes: least payload of a revisit; hot: so many groups of copies,
+    the largest, are looked up by broadcast (some 100 bytes each); any other has a share of 1 / hot of the rows at
+    most, and meets its head in one task; archive_bytes: of payload in an archive, about."""
 
     sample: int = 1000
     sample_bytes: int = 16384
     dictionary: int = 65536
     level: int = 3
     revisit_bytes: int = 100
-    hot: int = 1000
+    hot: int = 5000
     archive_bytes: int = 64 << 20
 
 
@@ -70,25 +70,30 @@ def plan(pages: DataFrame, cfg: WarcConfig, key: str = "page_id", html: str = "h
     long = F.length("payload") >= cfg.revisit_bytes
     heads = rows.where(long).groupBy("digest").agg(F.min("page_id").alias("head"), F.count(F.lit(1)).alias("copies")).where("copies > 1")
     heads = materialise(heads)
-    hot = heads.where(F.col("copies") >= cfg.hot).select(F.col("digest").alias("hot_digest"), F.col("head").alias("hot_head"))
+    largest = materialise(heads.orderBy(F.desc("copies"), "digest").limit(cfg.hot).select("digest", "head"))
+    hot = largest.select(F.col("digest").alias("hot_digest"), F.col("head").alias("hot_head"))
     rows = rows.join(F.broadcast(hot), F.col("digest") == F.col("hot_digest"), "left")
     # Rows of hot groups have their answer; a key of their own keeps them out of one task.
     spread = F.when(F.col("hot_head").isNotNull(), F.concat(F.lit("-"), F.xxhash64("page_id").cast("string"))).otherwise(F.col("digest"))
-    rows = rows.withColumn("cold_digest", spread).join(heads.where(F.col("copies") < cfg.hot).select(F.col("digest").alias("cold_digest"), F.col("head").alias("cold_head")), "cold_digest", "left")
+    rows = rows.withColumn("cold_digest", spread).join(heads.join(largest, "digest", "left_anti").select(F.col("digest").alias("cold_digest"), F.col("head").alias("cold_head")), "cold_digest", "left")
     head = F.coalesce("hot_head", "cold_head")
     return rows.select("page_id", "url", "payload", "digest", F.when(F.col("page_id") > head, head).alias("refers_to"))
 
 
+def record_id(page_id: int | None, referred: bool) -> str:
+    """Pages that others refer to are known by their id; any other record has an id of its own, as ids may repeat or lack."""
+    return f"<urn:uuid:{uuid.UUID(int=page_id & ((1 << 128) - 1)) if referred and page_id is not None else uuid.uuid4()}>"
+
+
 def record(page_id: int | None, url: str | None, payload: bytes, digest: str, refers_to: int | None) -> bytes:
     """One WARC record; a revisit has no payload, but its size and digest."""
     kind = "response" if refers_to is None else "revisit"
     body = payload if refers_to is None else b""
-    name = lambda x: f"<urn:uuid:{uuid.UUID(int=(x or 0) & ((1 << 128) - 1))}>"
-    head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: {name(page_id)}", f"WARC-Date: {DATE}", f"WARC-Target-URI: {(url or '').replace(chr(13), '%0D').replace(chr(10), '%0A')}", f"WARC-Payload-Digest: sha256:{digest}"]
+    head = ["WARC/1.1", f"WARC-Type: {kind}", f"WARC-Record-ID: {record_id(page_id, refers_to is None)}", f"WARC-Date: {DATE}", f"WARC-Target-URI: {(url or '').replace(chr(13), '%0D').replace(chr(10), '%0A')}", f"WARC-Payload-Digest: sha256:{digest}"]
     if page_id is not None:
         head.append(f"X-Page-ID: {page_id}")
     if refers_to is not None:
-        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {name(refers_to)}", f"X-Refers-To-Page-ID: {refers_to}", f"X-Payload-Length: {len(payload)}"]
+        head += ["WARC-Profile: http://netpreserve.org/warc/1.1/revisit/identical-payload-digest", f"WARC-Refers-To: {record_id(refers_to, True)}", f"X-Refers-To-Page-ID: {refers_to}", f"X-Payload-Length: {len(payload)}"]
     head += ["Content-Type: text/html; charset=utf-8", f"Content-Length: {len(body)}"]
     return "\r\n".join(head).encode() + b"\r\n\r\n" + body + b"\r\n\r\n"
 

@@ -11,7 +11,7 @@ from pyspark.sql import DataFrame, SparkSession
 from pyspark.sql import functions as F
 
 from rangebound.llm import decontaminate, jaccard_join, langid, mixing, quality_rules
-from rangebound.llm.common import materialise, table
+from rangebound.llm.common import aside, materialise, table
 
 #: Least posterior of a language.
 LEAST_POSTERIOR = 0.5
@@ -19,13 +19,15 @@ LEAST_POSTERIOR = 0.5
 
 def language_id(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops texts of no language, and those whose language is in doubt."""
+    docs, back = aside(docs, ("lang_pred", "lang_score"))
     found = langid.predict(docs, langid.fit(docs))
-    return found.where((F.col("lang_pred") != langid.UNDETERMINED) & (F.col("lang_score") >= LEAST_POSTERIOR)).select(*docs.columns)
+    return back(found.where((F.col("lang_pred") != langid.UNDETERMINED) & (F.col("lang_score") >= LEAST_POSTERIOR)).select(*docs.columns))
 
 
 def rules(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:
     """Drops what the base rules or the outlier rule reject."""
-    return quality_rules.judge(docs).where("kept").select(*docs.columns)
+    whole = docs.select(F.struct("*").alias("doc"), "text", "lang", "source")
+    return quality_rules.judge(whole, carry=("doc",)).where("kept").select("doc.*")
 
 
 def near_duplicates(spark: SparkSession, docs: DataFrame, sf_dir: str) -> DataFrame:

@@ -223,8 +223,8 @@ def parse(page: str) -> Page:
 @dataclass(frozen=True)
 class Weights:
     """word: of a word; tags: of a tag, opening or closing; other: of a tag not seen in training; outside: of a word
-    outside the marked main part, on a page that has one; against: symbols whose words score -word; cross, slack:
-    in words, the cost of crossing furniture and what widening may cost."""
+    outside the marked main part, on a page that has one; against: symbols whose words score -word; in words: cross,
+    the cost of crossing furniture, beside, that of widening around it, and slack, what widening may cost in all."""
 
     word: float = 1.0
     tags: dict[str, float] = field(default_factory=dict)
@@ -232,6 +232,7 @@ class Weights:
     outside: float = -1.0
     against: frozenset[str] = frozenset()
     cross: float = 3.0
+    beside: float = 1.0
     slack: float = 3.0
 
 
@@ -336,8 +337,8 @@ def region(p: Page, w: Weights) -> tuple[int, int]:
         up = p.parent[k]
         first[up], last[up] = min(first[up], first[k]), max(last[up], last[k])
     run = [0.0]
-    for x in scores:
-        run.append(run[-1] + x)
+    for e, x in zip(p.events, scores, strict=True):
+        run.append(run[-1] + (-w.beside * w.word if e.edge else x))
     around = lambda k: next((x for x in _path(p, k) if p.tag[x] in BLOCKS), 0)
     words = [i for i in range(lo, hi) if p.events[i].kind == "text" and not p.events[i].low and p.events[i].value.strip()]
     if not words:

@@ -11,7 +11,7 @@ from __future__ import annotations
 import heapq
 from bisect import bisect_left, insort
 from collections.abc import Callable, Sequence
-from dataclasses import dataclass
+from dataclasses import dataclass, replace
 from itertools import count as counter
 
 import pandas as pd
@@ -23,10 +23,10 @@ from ..functions.expr import Triple, req, rlit
 from ..functions.heaps import ConnectedHeap, UnconnectedHeaps
 from ..plans.joins import band_pairs, bucket_index, overlap_pairs
 from ..plans.overlap import end_pairs, levels_for, split_cells, summaries
-from ..plans.prefix import running_sums
+from ..plans.prefix import join_null_safe, running_sums
 from ..plans.scratch import materialise
 from ..schema import DUP, MULT, RID, Attr, RangeFrame
-from .order import RankSpec, _events, _paired, corners, rank
+from .order import RankSpec, _dist, _events, _paired, order_keys, rank
 
 AGGREGATES = ("sum", "count", "min", "max", "avg")
 
@@ -160,6 +160,14 @@ def _flag(pairs: DataFrame, spec: WindowSpec) -> DataFrame:
     return pairs.select(RID, DUP, c.alias("is_certain"), p.alias("is_possible"), g.alias("is_guess"), *[F.col(f"s_v__{e}").alias(f"v__{e}") for e in ("lb", "sg", "ub")])
 
 
+def _flag_ids(pairs: DataFrame, spec: WindowSpec) -> DataFrame:
+    """(RID, member): pairs of which one is certainly or possibly in the other's window."""
+    t, s = (Triple(*(F.col(f"{x}p__{e}") for e in ("lb", "sg", "ub"))) for x in ("", "s_"))
+    same = (F.col(RID) == F.col(f"s_{RID}")) & (F.col(DUP) == F.col(f"s_{DUP}"))
+    c, p, _ = membership(spec, t, s, F.col("s__m_lb"), same, F.lit(False))
+    return pairs.where(c | p).select(RID, F.col(f"s_{RID}").alias("member")).distinct()
+
+
 def _prefixed(df: DataFrame) -> DataFrame:
     return df.select(*[F.col(c).alias(f"s_{c}") for c in df.columns])
 
@@ -192,6 +200,9 @@ def _guess_windows(members: DataFrame, spec: WindowSpec) -> DataFrame:
 def _summarised(members: DataFrame, spec: WindowSpec, width: int | None, most: int) -> DataFrame:
     """The default plan: certain members and what an owner's end cells hold by pairs, all else by summaries of the
     `size` + 1 values that push a bound furthest (one may be the owner itself). most: rows that there may be."""
+    # Partition columns may have any name; ours must not meet them.
+    members = members.withColumnsRenamed({c: f"_p{i}" for i, c in enumerate(spec.partition)})
+    spec = replace(spec, partition=tuple(f"_p{i}" for i in range(len(spec.partition))))
     p, k = list(spec.partition), spec.size + 1
     cell = max(width or 16, 2 * spec.size)  # so wide that a certain member begins in an end cell
     lb, ub = F.col("v__lb"), F.col("v__ub")
@@ -421,17 +432,88 @@ def _onepass(members: DataFrame, spec: WindowSpec, chunk: int) -> DataFrame:
 
 
 def _uncertain_partition(rf: RangeFrame, spec: WindowSpec) -> DataFrame:
-    """Partition keys that are ranges: owners meet all rows whose keys overlap theirs (rows with
-    certain keys by equality). Positions are counted within each owner's partition, by running sums over the owner's members."""
+    """Partitions of which one key is a range of whole numbers.
+
+    A row stands in each partition that it may be in, there without certainty unless its key is certain. All owners of
+    certain keys see the same partition, so their windows are those of a certain partition over these rows. An owner
+    whose own partition is unknown has no certain member but itself, and any row that may share a partition with it
+    may be next to it: its bounds take the values that push furthest among those of all its partitions."""
+    soft = [p for p in spec.partition if not rf.attr(p).certain]
+    if len(soft) > 1:
+        raise ValueError("one partition key may be a range; further ones must be certain")
+    extra = [p for p in spec.partition if p not in soft]
     full = RankSpec(spec.keys, spec.desc, (), "corner", spec.ties)
-    part = rf.c(spec.partition[0])
-    v = rf.c(spec.arg) if spec.arg else rlit(F.lit(0).cast("long"))
-    base = corners(rf, full).join(rf.df.select(RID, part.lb.alias("g__lb"), part.sg.alias("g__sg"), part.ub.alias("g__ub"), v.lb.alias("v__lb"), v.sg.alias("v__sg"), v.ub.alias("v__ub")), RID)
-    for extra in spec.partition[1:]:
-        if not rf.attr(extra).certain:
-            raise ValueError("one partition key may be a range; further ones must be certain")
-    owners = base.select(RID, "g__lb", "g__sg", "g__ub", F.col("_m_sg").alias("o_m_sg"))
+    part, v = rf.c(soft[0]), rf.c(spec.arg) if spec.arg else rlit(F.lit(0).cast("long"))
+    keys = order_keys(rf, full)
+    end = lambda e: F.struct(*[getattr(k, e).alias(f"k{i}") for i, k in enumerate(keys)])
+    base = rf.df.select(RID, *extra, *MULT, end("lb").alias("_lo"), end("sg").alias("_sg"), end("ub").alias("_hi"), part.lb.cast("long").alias("g0"), part.sg.cast("long").alias("gs"), part.ub.cast("long").alias("g1"), *[x.alias(f"v__{e}") for x, e in zip((v.lb, v.sg, v.ub), ("lb", "sg", "ub"), strict=True)])
+    sizes = base.agg(F.max(F.col("g1") - F.col("g0")).alias("w"), F.sum(F.col("_m_ub") * (1 + F.coalesce(F.col("g1") - F.col("g0"), F.lit(0)))).alias("n")).first()
+    stride, most = (sizes["w"] or 0) + 1, sizes["n"] or 0
+    sure, zero = F.coalesce(F.col("g0") == F.col("g1"), F.lit(True)), F.lit(0).cast("long")  # a null key is a partition
+    m = [*extra, "_at"]
+    grown = base.withColumn("_at", F.explode_outer(F.sequence("g0", "g1"))).withColumn("_o", F.coalesce(F.col("_at") - F.col("g0"), zero).cast("int"))
+    grown = grown.withColumns({"_m_lb": F.when(sure, F.col("_m_lb")).otherwise(zero), "_m_sg": F.when(F.coalesce(F.col("gs") == F.col("_at"), F.lit(True)), F.col("_m_sg")).otherwise(zero)})
+    pos = _dist(grown.select(RID, "_o", *m, *MULT, "_lo", "_sg", "_hi"), (RID, "_o"), m, None)
+    unit = grown.join(pos, [RID, "_o"]).withColumn("_d", F.explode(F.sequence(F.lit(0), F.col("_m_ub").cast("int") - 1)))
+    d = F.col("_d").cast("long")
+    members = materialise(unit.select(RID, (F.col("_d") * stride + F.col("_o")).cast("int").alias(DUP), "_d", *m, "g0", "gs", "g1", *[(d < F.col(c)).cast("long").alias(c) for c in MULT], *[(F.col(f"_p_{e}") + d).alias(f"p__{e}") for e in ("lb", "sg", "ub")], *[f"v__{e}" for e in ("lb", "sg", "ub")]))
+    inside = replace(spec, partition=tuple(m))
+    slim = members.drop("_d", "g0", "gs", "g1")
+    known = _summarised(slim, inside, None, most) if spec.agg in AGGREGATES else _bounds(_flag(_band(slim, inside, None, None), inside), (RID, DUP), inside)
+    known = known.join(members.where(sure).select(RID, DUP, "_d"), [RID, DUP]).withColumn(DUP, F.col("_d")).drop("_d")
+    if spec.has_self and spec.agg in AGGREGATES:
+        rest = _unknown_partition(members, spec, extra, slim, inside)
+    else:
+        rest = _partition_pairs(rf, base, spec, extra)
+    return known.unionByName(rest.select(*known.columns))
+
+
+def _unknown_partition(members: DataFrame, spec: WindowSpec, extra: Sequence[str], slim: DataFrame, inside: WindowSpec) -> DataFrame:
+    """Bounds of the owners that may be in several partitions, for frames that hold the owner."""
+    k, zero = spec.size + 1, F.lit(0).cast("long")
+    m = [*extra, "_at"]
+    kind = dict(members.dtypes)["v__lb"]
+    open_ = F.col("g0") < F.col("g1")
+    # By partition: rows in it, rows whose range begins with it, and the values at both ends (salted, so that a hot
+    # partition is cut where it is read).
+    salt = F.pmod(F.xxhash64(RID), F.lit(32))
+    lists = None
+    for name, c, way in (("low", "v__lb", F.asc), ("high", "v__ub", F.desc)):
+        push = (F.col(c) < 0 if name == "low" else F.col(c) > 0) if spec.agg == "sum" else F.lit(True)
+        some = members.where(push).select(*m, RID, "_d", F.col(c).alias("v"), salt.alias("_salt"))
+        for by in ([*m, "_salt"], m):
+            some = some.withColumn("_n", F.row_number().over(W.partitionBy(*by).orderBy(way("v"), RID, "_d"))).where(F.col("_n") <= k)
+        some = some.groupBy(*m).agg(F.collect_list(F.struct("v", RID, F.col("_d").alias(DUP))).alias(name))  # k at most
+        lists = some if lists is None else lists.unionByName(some, allowMissingColumns=True)
+    counts = members.groupBy(*m).agg(F.count(F.lit(1)).alias("all"), F.sum((F.coalesce(F.col("_at") == F.col("g0"), F.lit(True))).cast("long")).alias("begun"))
+    facts = lists.unionByName(counts, allowMissingColumns=True).groupBy(*m).agg(F.first("low", True).alias("low"), F.first("high", True).alias("high"), F.max("all").alias("all"), F.max("begun").alias("begun"))
+    asks = members.where(open_)
+    guess = asks.where(F.col("gs") == F.col("_at")).select(RID, DUP, "_d").join(_guess_windows(slim, inside), [RID, DUP], "left").select(RID, F.col("_d").alias(DUP), "_ng", "_g")
+    none = F.array().cast(f"array<struct<v:{kind},{RID}:bigint,{DUP}:int>>")
+    met = join_null_safe(asks, facts, m).withColumn("_n", F.when(F.col("_at") == F.col("g0"), F.col("all")).otherwise(F.col("begun")))
+    got = met.groupBy(RID, F.col("_d").alias(DUP)).agg(
+        F.max("v__lb").alias("own_l"), F.max("v__ub").alias("own_h"), F.max("p__ub").alias("before"), F.sum("_n").alias("n"),
+        F.array_distinct(F.flatten(F.collect_list(F.coalesce("low", none)))).alias("low"), F.array_distinct(F.flatten(F.collect_list(F.coalesce("high", none)))).alias("high"),
+    )
+    # Whoever has no row possibly before it has none in a frame that ends with it.
+    alone = (F.col("before") == 0) & F.lit(spec.hi == 0)
+    got = got.join(guess, [RID, DUP], "left")
+    other = lambda x: (x[RID] != F.col(RID)) | (x[DUP] != F.col(DUP))
+    of = lambda c, asc: F.when(alone, F.array().cast(f"array<{kind}>")).otherwise(F.transform(F.slice(F.sort_array(F.filter(c, other), asc=asc), 1, k), lambda x: x["v"]))
+    got = got.select(RID, DUP, F.lit(1).cast("long").alias("_nc"), F.when(alone, zero).otherwise(F.col("n") - 1).alias("_np"), F.coalesce("_ng", zero).alias("_ng"), "_g", F.col("own_l").alias("_cl"), F.col("own_h").alias("_ch"), of("low", True).alias("_pl"), of("high", False).alias("_ph"))
+    if spec.agg in ("min", "max"):
+        got = got.withColumns({"_least": F.array_min("_pl"), "_most": F.array_max("_ph"), "_pl": F.array_min("_pl"), "_ph": F.array_max("_ph")})
+    return _from_members(got, (RID, DUP), spec)
+
+
+def _partition_pairs(rf: RangeFrame, base: DataFrame, spec: WindowSpec, extra: Sequence[str]) -> DataFrame:
+    """Owners of uncertain keys meet all rows whose keys overlap theirs, and rank them: for frames without the owner, where
+    a member's own position decides, and for registered aggregates."""
+    base = base.withColumnsRenamed({"g0": "g__lb", "gs": "g__sg", "g1": "g__ub"})
+    owners = base.where("g__lb < g__ub").select(RID, *extra, "g__lb", "g__sg", "g__ub", F.col("_m_sg").alias("o_m_sg"))
     pairs = overlap_pairs(owners, base, ("g__lb", "g__ub"), ("g__lb", "g__ub"))
+    for c in extra:
+        pairs = pairs.where(F.col(c).eqNullSafe(F.col(f"s_{c}")))
     tg, sg = (Triple(*(F.col(f"{x}g__{e}") for e in ("lb", "sg", "ub"))) for x in ("", "s_"))
     eq = req(tg, sg)
     same = F.col(RID) == F.col(f"s_{RID}")

@@ -64,6 +64,31 @@ def exact_bounds(rf: RangeFrame, query: Callable[[list[tuple]], dict[tuple, floa
     return rf.df.sparkSession.createDataFrame(out, f"{RID} long, {DUP} int, lb long, ub long")
 
 
+def exact_positions(rf: RangeFrame, key: str) -> DataFrame:
+    """Tight positions (RID, DUP, lb, ub) of rows that occur once at most, at any size. Rows vary independently, so a
+    row comes first when it has its least value and every other that may be absent or later is; it comes last likewise.
+    Each row is tried at both ends against all others, in blocks of rows that the executors hold."""
+    t = rf.c(key)
+    rows = rf.df.where("_m_ub > 0").select(RID, t.lb.alias("a"), t.ub.alias("b"), F.col("_m_lb").alias("ml"))
+    n = max(1, rows.count() // 2000)
+    block = F.pmod(F.xxhash64(RID), F.lit(n)).cast("int")
+    asks = rows.withColumns({"_i": block, "_j": F.explode(F.sequence(F.lit(0), F.lit(n - 1)))})
+    others = rows.withColumns({"_j": block, "_i": F.explode(F.sequence(F.lit(0), F.lit(n - 1)))})
+
+    def count(me: pd.DataFrame, all_: pd.DataFrame) -> pd.DataFrame:
+        a, b, ids, ml = (all_[c].to_numpy() for c in ("a", "b", RID, "ml"))
+        out = []
+        for rid, lo, hi in zip(me[RID], me["a"], me["b"], strict=True):
+            other = ids != rid
+            sooner = other & (ml > 0) & ((b < lo) | ((b == lo) & (ids < rid)))
+            perhaps = other & ((a < hi) | ((a == hi) & (ids < rid)))
+            out.append((rid, int(sooner.sum()), int(perhaps.sum())))
+        return pd.DataFrame(out, columns=[RID, "lb", "ub"])
+
+    met = asks.groupBy("_i", "_j").cogroup(others.groupBy("_i", "_j")).applyInPandas(count, f"{RID} long, lb long, ub long")
+    return met.groupBy(RID).agg(F.sum("lb").alias("lb"), F.sum("ub").alias("ub")).select(RID, F.lit(0).alias(DUP), "lb", "ub")
+
+
 def _rank_probabilities(rf: RangeFrame, keys: Sequence[str], k: int, desc: Sequence[str] = ()) -> DataFrame:
     """(_rid, place, p): chance of a row to be at each of the first k places. Values are uniform on a grid of
     GRID points of each range; a row with m_lb = 0 exists with chance 1/2. Only rows that the top-k

@@ -71,13 +71,13 @@ def end_pairs(owners: DataFrame, members: DataFrame, on: Sequence[str]) -> DataF
     s = members.select(*[F.col(c).alias(f"s_{c}") for c in members.columns])
     same = reduce(lambda x, y: x & y, [F.col(c).eqNullSafe(F.col(f"s_{c}")) for c in on], F.lit(True))
     ends = F.array_distinct(F.array("_c0", "_c1"))
-    asks = owners.withColumn("_at", F.explode(F.transform(ends, lambda x: F.struct(F.lit(0).alias("kind"), x.alias("cell")))))
+    asks = owners.withColumn("_ask", F.explode(F.transform(ends, lambda x: F.struct(F.lit(0).alias("kind"), x.alias("cell")))))
     begins = F.struct(F.lit(0).alias("kind"), F.col("s__c0").alias("cell"))
     finish = F.struct(F.lit(1).alias("kind"), F.col("s__c1").alias("cell"))
     both = F.when(F.col("s__c1") > F.col("s__c0"), F.array(begins, finish)).otherwise(F.array(begins))
     s = s.withColumn("_by", F.explode(both))
-    late = owners.withColumn("_at", F.struct(F.lit(1).alias("kind"), F.col("_c0").alias("cell")))
-    return asks.unionByName(late).join(s, same & (F.col("_at") == F.col("_by"))).drop("_at", "_by")
+    late = owners.withColumn("_ask", F.struct(F.lit(1).alias("kind"), F.col("_c0").alias("cell")))
+    return asks.unionByName(late).join(s, same & (F.col("_ask") == F.col("_by"))).drop("_ask", "_by")
 
 
 def summaries(owners: DataFrame, members: DataFrame, ids: Sequence[str], on: Sequence[str], k: int, levels: int) -> DataFrame:

@@ -2,6 +2,7 @@
 
 from __future__ import annotations
 
+from bisect import bisect_left
 from collections.abc import Callable
 
 import pandas as pd
@@ -12,6 +13,7 @@ from .functions.heaps import ConnectedHeap, UnconnectedHeaps
 from .operators import algebra as A
 from .operators import order, window
 from .plans import baselines as B
+from .plans import exact
 from .schema import DUP, RID, RangeFrame
 from .sources import ingest
 from .sources.ingest import cents
@@ -105,12 +107,10 @@ def x21_labels(s: SparkSession, d: str) -> DataFrame:
     return order.rank(rf, ["q"], method="cdf").df.select(RID, "pos__lb", "pos__ub")
 
 
-def exact_small(s: SparkSession, d: str) -> DataFrame:
-    """Positions of six suppliers by enumeration of all worlds, beside the bounds."""
-    c = read(s, d, "supplier").where("s_suppkey < 6").withColumn("v", F.floor(F.col("s_acctbal") / 1000).cast("long"))
-    rf = ingest.inject(c, "s_suppkey", {"v": F.col("v")}, 60, 3, e=30)
-    exact = B.exact_bounds(rf, lambda w: {(r[0], r[1]): i for i, r in enumerate(sorted(w, key=lambda r: (r[2], r[0], r[1])))})
-    return exact.join(order.rank(rf, ["v"]).df.select(RID, DUP, "pos__lb", "pos__ub"), [RID, DUP])
+def exact_positions(s: SparkSession, d: str) -> DataFrame:
+    """Exact positions of all suppliers, row by row against all others, beside the bounds."""
+    rf = ingest.inject(read(s, d, "supplier"), "s_suppkey", {"bal": cents("s_acctbal")}, 60, 1_000_000, e=30)
+    return B.exact_positions(rf, "bal").join(order.rank(rf, ["bal"]).df.select(RID, DUP, "pos__lb", "pos__ub"), [RID, DUP])
 
 
 def heap_trace(s: SparkSession, d: str) -> DataFrame:
@@ -136,6 +136,67 @@ def heap_trace(s: SparkSession, d: str) -> DataFrame:
     return li.groupBy("part").applyInPandas(replay, "part long, kind string, n long, digest long, ops long")
 
 
+#: Share of uncertain rows in percent, and largest range, of the heap experiment.
+HEAP_SETTINGS = tuple((u, r) for u in (1, 5) for r in (2_000, 15_000, 30_000))
+
+
+def heap_sweep(s: SparkSession, d: str, settings: tuple = HEAP_SETTINGS, most: int | None = None) -> DataFrame:
+    """The sweep of sum windows over [-2, 0] by price (ranges up to r dollars), with connected and unconnected heaps: comparisons, largest heap
+    and a digest of the bounds. Chunks of 1,000 orders by id are swept each on its own; `most` orders in all (bench)."""
+    o = read(s, d, "orders")
+    if most:
+        o = o.orderBy("o_orderkey").limit(most)
+    parts = []
+    for u, r in settings:
+        rf = ingest.inject(o, "o_orderkey", {"price": cents("o_totalprice")}, u, 100 * r)
+        parts.append(rf.df.select(F.lit(u).alias("u"), F.lit(r).alias("r"), F.expr(f"{RID} div 1000").alias("part"), RID, F.col("price__lb").alias("lo"), F.col("price__ub").alias("hi")))
+    rows = parts[0]
+    for p in parts[1:]:
+        rows = rows.unionByName(p)
+
+    def sweep(pdf: pd.DataFrame) -> pd.DataFrame:
+        recs = list(zip(pdf["lo"].tolist(), pdf["hi"].tolist(), pdf[RID].tolist(), strict=True))
+        starts, ends = sorted((a, i) for a, _, i in recs), sorted((b, i) for _, b, i in recs)
+        low = [bisect_left(ends, (a, i)) for a, _, i in recs]
+        high = [bisect_left(starts, (b, i)) - (a < b) for a, b, i in recs]
+        out = []
+        for name in ("connected", "unconnected"):
+            got, n = window.sweep_windows([(p, q, 1, a, b, True, i) for (a, b, i), p, q in zip(recs, low, high, strict=True)], "sum", -2, 0, name == "connected")
+            digest = sum(x[0] * 31 + x[1] * 7 + x[2] for x in got) % 1_000_000_007
+            out.append((int(pdf["u"].iloc[0]), int(pdf["r"].iloc[0]), int(pdf["part"].iloc[0]), name, len(recs), digest, n["ops"], n["widest"]))
+        return pd.DataFrame(out, columns=["u", "r", "part", "kind", "n", "digest", "ops", "widest"])
+
+    each = rows.groupBy("u", "r", "part").applyInPandas(sweep, "u int, r int, part long, kind string, n long, digest long, ops long, widest long")
+    return each.groupBy("u", "r", "kind").agg(F.sum("n").alias("n"), F.sum("digest").alias("digest"), F.sum("ops").alias("ops"), F.max("widest").alias("widest"))
+
+
+def quality_iceberg(s: SparkSession, d: str) -> DataFrame:
+    """Orders of a day and the three that follow; one day in a hundred is only known to lie within ten days."""
+    daily = _day(read(s, d, "orders"), "o_orderdate").groupBy("day").agg(F.count(F.lit(1)).alias("n"))
+    return exact.window_quality(ingest.inject(daily, "day", {"at": F.col("day")}, 1, 10, keep=("n",)), "sum", "n", "at", 0, 3)
+
+
+def quality_crimes(s: SparkSession, d: str) -> DataFrame:
+    """Least order year among neighbours by price, one price in a thousand uncertain."""
+    o = read(s, d, "orders").where(F.col("o_orderpriority") == "1-URGENT").withColumn("year", F.year("o_orderdate").cast("long"))
+    return exact.window_quality(ingest.inject(o, "o_orderkey", {"price": cents("o_totalprice")}, 1, 1_000_000, keep=("year",), per=1000), "min", "year", "price", -1, 1)
+
+
+def quality_healthcare(s: SparkSession, d: str) -> DataFrame:
+    """Sum of a balance and the two below it in one segment, one balance in a hundred uncertain."""
+    c = read(s, d, "customer").where(F.col("c_mktsegment") == "BUILDING")
+    return exact.window_quality(ingest.inject(c, "c_custkey", {"bal": cents("c_acctbal")}, 1, 50_000), "sum", "bal", "bal", -2, 0)
+
+
+def quality_curve(s: SparkSession, d: str) -> DataFrame:
+    """The same windows over all customers, by share of uncertain rows and by range."""
+    out = None
+    for u, r in ((1, 1_000), (5, 1_000), (20, 1_000), (5, 2_000), (5, 5_000)):
+        got = exact.window_quality(ingest.inject(read(s, d, "customer"), "c_custkey", {"bal": cents("c_acctbal")}, u, r), "sum", "bal", "bal", -2, 0).withColumns({"u": F.lit(u), "r": F.lit(r)})
+        out = got if out is None else out.unionByName(got)
+    return out
+
+
 def _event_ranges(df: DataFrame) -> DataFrame:
     t = F.unix_seconds(F.col("ts").cast("timestamp"))
     return df.select("event_id", F.timestamp_seconds(t - (F.col("event_id") * 7919) % 300).alias("ts_lb"), F.timestamp_seconds(t + (F.col("event_id") * 104729) % 300).alias("ts_ub"))

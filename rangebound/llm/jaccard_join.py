@@ -58,6 +58,8 @@ class JoinConfig:
 
 
 SKETCH_PARTS = 16
+#: Places in the order that a posting tells apart.
+PLACES = 4095
 
 
 def sets(column: pa.Array, words: int) -> Iterator[tuple[int, int, np.ndarray, np.ndarray]]:
@@ -151,8 +153,9 @@ def _depth(own: np.ndarray, cost: np.ndarray, cfg: JoinConfig) -> tuple[int, int
 
 
 def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
-    """docs: (id, text). (token, cid, packed) for each token of each class's prefix in the common order. A token is a
-    shingle's frequency class and hash; packed has n, l and the token's place in the order. A task posts a class once, however many of its rows are copies."""
+    """docs: (id, text). (token, cid, n) for each token of each class's prefix in the common order. A token is a shingle's
+    frequency class and hash, in 48 bits (that two share one costs a comparison, no more), then l in 4 and its place in the
+    order, or PLACES if it is later, in 12. A task posts a class once, however many of its rows are copies."""
     classes = np.floor(2 * np.log2(np.maximum(counts, 1))).astype(np.uint64)
     load = max(1.0, float(counts.mean()))
     costs = 1 + np.maximum(0.0, 2.0 ** (np.arange(128) / 2) - 2 * load)
@@ -166,7 +169,7 @@ def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
             for _, _, v, n in sets(b.column(0), cfg.words):
                 cid = np.ascontiguousarray(signatures(v, n)[:, 0]).view(np.int64).tolist()
                 key = (cls[(v >> shift).astype(np.int64)].astype(np.uint64) << np.uint64(57)) | (v >> np.uint64(7))
-                tokens, who, packed = [], [], []
+                tokens, who, sizes = [], [], []
                 at = 0
                 for size, c in zip(n.tolist(), cid, strict=True):
                     own = key[at : at + size]
@@ -177,25 +180,28 @@ def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
                     own.sort()
                     deep, first = _depth(own, cost, cfg)
                     own = own[: first + deep - 1]
-                    tokens.append(own.view(np.int64))
+                    rest = np.minimum(np.arange(len(own)), PLACES).astype(np.uint64) | np.uint64(deep << 12)
+                    tokens.append(((own & np.uint64(0xFFFFFFFFFFFF0000)) | rest).view(np.int64))
                     who.append(np.full(len(own), c, dtype=np.int64))
-                    packed.append(size << 32 | deep << 28 | np.arange(len(own)))
+                    sizes.append(np.full(len(own), size, dtype=np.int32))
                 if tokens:
-                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (tokens, who, packed)], ["token", "cid", "packed"])
+                    yield pa.RecordBatch.from_arrays([pa.array(np.concatenate(x)) for x in (tokens, who, sizes)], ["token", "cid", "n"])
 
-    return docs.select("text").mapInArrow(run, "token long, cid long, packed long")
+    return docs.select("text").mapInArrow(run, "token long, cid long, n int")
 
 
-def _lists(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, cfg: JoinConfig, going: bool) -> np.ndarray:
-    """Rows (kind, a, b, c) of whole posting lists in order of token and cid; going: the first is known to be long. For
-    short lists their pairs that may link, as (0, u, v, l that the pair needs); for long ones their members (1, cid, token, packed).
+def _lists(token: np.ndarray, cid: np.ndarray, low: np.ndarray, n: np.ndarray, cfg: JoinConfig, going: bool) -> np.ndarray:
+    """Rows (kind, a, b, c) of whole posting lists in order of token and cid, low having l and the place; going: the first is
+    known to be long. For short lists their pairs that may link, as (0, u, v, l that the pair needs); for long ones their
+    members (1, cid, token, 16 n + l).
 
     Two sets that link share `least` tokens, by their sizes; so they share l of the first n - least + l of each, which is
     often less than what they have posted, and with a shared token at places i and j no more than what precedes the
     nearer and follows the farther."""
     keep = np.ones(len(token), dtype=bool)
-    keep[1:] = (token[1:] != token[:-1]) | (cid[1:] != cid[:-1]) | (packed[1:] != packed[:-1])
-    token, cid, packed = token[keep], cid[keep], packed[keep]
+    keep[1:] = (token[1:] != token[:-1]) | (cid[1:] != cid[:-1]) | (low[1:] != low[:-1]) | (n[1:] != n[:-1])
+    token, cid, low, n = token[keep], cid[keep], low[keep], n[keep]
+    deep, place = low >> 12, low & PLACES
     new = np.ones(len(token), dtype=bool)
     new[1:] = token[1:] != token[:-1]
     start = np.flatnonzero(new)
@@ -204,8 +210,7 @@ def _lists(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, cfg: JoinConf
     long = size > cfg.short
     if going and len(start):
         long[: own[0]] = True
-    out = [np.stack([np.ones(int(long.sum()), np.int64), cid[long], token[long], packed[long]])]
-    n, deep, place = packed >> 32, (packed >> 28) & 15, packed & ((1 << 28) - 1)
+    out = [np.stack([np.ones(int(long.sum()), np.int64), cid[long], token[long], n[long] << 4 | deep[long]])]
     end = first + size
     a = np.flatnonzero(~long)
     for d in range(1, cfg.short):
@@ -217,7 +222,8 @@ def _lists(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, cfg: JoinConf
         least = -(-cfg.percent * (n[a] + n[z]) // (100 + cfg.percent))
         ok = (100 * np.minimum(n[a], n[z]) >= cfg.percent * np.maximum(n[a], n[z])) & (cid[a] != cid[z])
         ok &= (place[a] < n[a] - least + need) & (place[z] < n[z] - least + need)
-        ok &= np.minimum(place[a], place[z]) + np.minimum(n[a] - place[a], n[z] - place[z]) >= least
+        late = np.maximum(place[a], place[z]) == PLACES
+        ok &= late | (np.minimum(place[a], place[z]) + np.minimum(n[a] - place[a], n[z] - place[z]) >= least)
         u, v = cid[a[ok]], cid[z[ok]]
         out.append(np.stack([np.zeros(len(u), np.int64), np.minimum(u, v), np.maximum(u, v), need[ok]]))
     return np.concatenate(out, axis=1)
@@ -226,18 +232,20 @@ def _lists(token: np.ndarray, cid: np.ndarray, packed: np.ndarray, cfg: JoinConf
 def scan_lists(post: DataFrame, cfg: JoinConfig) -> DataFrame:
     """(kind, a, b, c), see _lists; postings are dealt by token and read in order, a buffer at a time."""
     n_parts = int(post.sparkSession.conf.get("spark.sql.shuffle.partitions"))
-    ordered = post.repartition(n_parts, "token").sortWithinPartitions("token", "cid", "packed")
+    token = F.shiftrightunsigned("token", 16)
+    ordered = post.repartition(n_parts, token).sortWithinPartitions(token, "cid", "token", "n")
     most = 1 << 17
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        held = np.zeros((3, 0), dtype=np.int64)
+        held = np.zeros((4, 0), dtype=np.int64)
         going = False  # the first token held belongs to a list whose beginning has been given out
 
         def give(part: np.ndarray) -> pa.RecordBatch:
             return pa.RecordBatch.from_arrays([pa.array(x) for x in _lists(*part, cfg, going)], ["kind", "a", "b", "c"])
 
         for b in batches:
-            held = np.concatenate([held, np.stack([c.to_numpy() for c in b.columns])], axis=1)
+            token, cid, n = (c.to_numpy() for c in b.columns)
+            held = np.concatenate([held, np.stack([(token.view(np.uint64) >> np.uint64(16)).view(np.int64), cid, token & 0xFFFF, n])], axis=1)
             if held.shape[1] < most:
                 continue
             cut = int(np.searchsorted(held[0], held[0, -1]))  # the last list may go on
@@ -288,7 +296,7 @@ def candidates(post: DataFrame, cfg: JoinConfig) -> DataFrame:
     and all to a list with a class of smaller l; such lists stay linear in their members."""
     seen = materialise(scan_lists(post, cfg))
     pairs = seen.where("kind = 0").groupBy(F.col("a").alias("u"), F.col("b").alias("v")).agg(F.count(F.lit(1)).alias("k"), F.min("c").alias("l"))
-    long = seen.where("kind = 1").groupBy(F.col("a").alias("cid")).agg(F.sort_array(F.collect_set("b")).alias("lists"), F.max(F.shiftright("c", 32)).alias("n"), F.max(F.shiftright("c", 28) % 16).alias("l"))
+    long = seen.where("kind = 1").groupBy(F.col("a").alias("cid")).agg(F.sort_array(F.collect_set("b")).alias("lists"), F.max(F.shiftright("c", 4)).alias("n"), F.max(F.col("c") % 16).alias("l"))
     side = lambda c: long.select(F.col("cid").alias(c), F.col("lists").alias(f"_{c}"))
     few = pairs.where("k < l").join(side("u"), "u").join(side("v"), "v").where(F.col("k") + F.size(F.array_intersect("_u", "_v")) >= F.col("l"))
     posted = long.select("cid", "n", (F.col("l") < cfg.deepest).alias("odd"), F.size("lists").alias("m"), F.posexplode("lists").alias("pos", "token"))
@@ -427,7 +435,7 @@ def block_links(docs: DataFrame, places: DataFrame, cfg: JoinConfig, bitmap: Dat
     return _with_texts(docs, own.unionByName(lead), bitmap, hit).groupBy("component", "block").applyInArrow(compare, LINK)
 
 
-def rest_links(docs: DataFrame, places: DataFrame, known: DataFrame, cfg: JoinConfig, bitmap: DataFrame, hit: Callable[[str], Column]) -> DataFrame | None:
+def rest_links(docs: DataFrame, places: DataFrame, known: DataFrame, cfg: JoinConfig) -> DataFrame | None:
     """known: (id, component), the components that blocks have found. Links between them, over their names; None if
     every cluster of several blocks is one component. Documents outside the largest component of their cluster meet
     all its blocks."""
@@ -437,6 +445,8 @@ def rest_links(docs: DataFrame, places: DataFrame, known: DataFrame, cfg: JoinCo
     if left.isEmpty():
         discard(left)
         return None
+    # Only the texts of these clusters are dealt again.
+    bitmap, hit = id_filter(docs.sparkSession, large.join(left, "component", "left_semi").select(F.col("head").alias("id")), cfg.bits)
     large = large.join(left, "component").withColumn("part", F.pmod(F.xxhash64("sig", F.lit(2)), F.col("parts")).cast("int")).withColumn("asks", F.col("own") != F.col("giant"))
     meet = large.select("component", "block", F.explode(F.sequence(F.lit(0), F.col("parts") - 1)).alias("part"), "sig", "head", "own", F.lit(False).alias("asks"), F.expr("own = giant").alias("core"))
     ask = large.where("asks").select("component", F.explode(F.sequence(F.lit(0), F.col("blocks") - 1)).alias("block"), "part", "sig", "head", "own", "asks", F.lit(False).alias("core"))
@@ -462,7 +472,7 @@ def classes(docs: DataFrame, heads: DataFrame, clusters: DataFrame, cfg: JoinCon
     places = materialise(placed(heads, clusters, cfg))
     bitmap, hit = id_filter(docs.sparkSession, places.select(F.col("head").alias("id")), cfg.bits)
     found = components(block_links(docs, places, cfg, bitmap, hit))
-    rest = rest_links(docs, places, found, cfg, bitmap, hit)
+    rest = rest_links(docs, places, found, cfg)
     if rest is not None:
         # A component that blocks found may take part under its name, as may a document that none holds.
         joined = components(rest).select(F.col("id").alias("c"), F.col("component").alias("to"))

@@ -99,12 +99,12 @@ def test_jaccard_join(spark, docs, k, pct, block, short):
 def test_posting_lists_longer_than_a_buffer(spark):
     """Lists of 200,000 members are joined in edges as many as the members; copies of 3 members are a short list."""
     cfg = jaccard_join.JoinConfig()
-    packed = 100 << 32 | 8 << 28 | 1
-    many = spark.range(200_000).selectExpr("explode(sequence(1L, 8L)) as token", "id as cid", f"{packed}L as packed")
-    copies = spark.range(100_000).selectExpr("9L as token", "-1 - id % 3 as cid", f"{packed}L as packed")
+    low = 8 << 12 | 1
+    many = spark.range(200_000).selectExpr(f"explode(transform(sequence(1L, 8L), x -> x * 65536 + {low})) as token", "id as cid", "100 as n")
+    copies = spark.range(100_000).selectExpr(f"9L * 65536 + {low} as token", "-1 - id % 3 as cid", "100 as n")
     got = jaccard_join.candidates(many.union(copies), cfg)
     assert got.where("v = 0").count() == got.count() == 199_999  # the three share one of the eight that they need
-    found = jaccard_join.scan_lists(many.where("token = 1").union(copies), cfg).groupBy("kind").count().collect()
+    found = jaccard_join.scan_lists(many.where("token div 65536 = 1").union(copies), cfg).groupBy("kind").count().collect()
     assert {r["kind"]: r["count"] for r in found} == {0: 3, 1: 200_000}
 
 

@@ -20,6 +20,7 @@ from .operators import algebra as A
 from .operators import order, window
 from .plans import baselines as B
 from .plans import det
+from .plans import sql as S
 from .schema import DUP, RID, RangeFrame
 from .sources import ingest
 from .sources.ingest import cents
@@ -201,6 +202,9 @@ add(
 add("rank_partitioned", lambda s, d: ranked(order.rank(customers(s, d, 20, 100_000, keep=("c_nationkey",)), ["bal"], partition=["c_nationkey"])), rank_sql(CUSTOMERS(20, 100_000, keep="c_nationkey"), part="c_nationkey"))
 add("rank_dups_existence", lambda s, d: ranked(order.rank(orders(s, d, 20, 1_000_000, e=10, dup=10), ["price"])), whole(rank_sql, ORDERS(20, 1_000_000, e=10, d=10)))
 
+add("sql_rank", lambda s, d: S.positions(customers(s, d, 20, 100_000, 10, 10), ["bal"]), f"{rank_cte(CUSTOMERS(20, 100_000, 10, 10))} SELECT rid AS _rid, dup AS _dup, pl AS pos__lb, pg AS pos__sg, pu AS pos__ub FROM p")
+add("sql_topk", lambda s, d: S.top(customers(s, d, 20, 100_000, 10, 10), ["bal"], 10), f"{rank_cte(CUSTOMERS(20, 100_000, 10, 10))} SELECT rid AS _rid, dup AS _dup, pl AS pos__lb, least(pu, 10) AS pos__ub, pu < 10 AND wl = 1 AS is_certain FROM p WHERE pl < 10")
+
 # ---- top-k ----------------------------------------------------------------------------------
 
 for _m in ("select", "prune", "onepass"):

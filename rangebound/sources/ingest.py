@@ -87,14 +87,47 @@ def from_imputation(df: DataFrame, key: str, col: str, group: str, keep: tuple[s
     return from_intervals(got, key, {col: (F.coalesce(F.col(col), lo), F.coalesce(F.col(col), lo), F.coalesce(F.col(col), hi))}, None, (group, *keep))
 
 
-def write(rf: RangeFrame, path: str, mode: str = "overwrite") -> None:
-    """Parquet, clustered as the rows are; the range schema goes in a column's metadata."""
+def load(spark: SparkSession, source: str, kind: str = "parquet", schema: str | None = None, **options: str) -> DataFrame:
+    """A certain table from files (parquet, orc, json, csv) or, kind "table", from the catalog; then from_intervals and
+    the like say what is uncertain. Text formats need a schema, so that no file is read twice."""
+    if kind == "table":
+        return spark.table(source)
+    if kind in ("csv", "json") and schema is None:
+        raise ValueError(f"{kind} needs a schema")
+    reader = spark.read.format(kind).options(**options)
+    return (reader.schema(schema) if schema else reader).load(source)
+
+
+def from_columns(df: DataFrame, rid: str, uncertain: tuple[str, ...], keep: tuple[str, ...] = ()) -> RangeFrame:
+    """A table that already has a__lb, a__sg and a__ub for each uncertain attribute, and multiplicities if not all are 1."""
+    mult = tuple(F.col(c) for c in MULT) if set(MULT) <= set(df.columns) else None
+    return from_intervals(df, rid, {a: tuple(F.col(f"{a}__{e}") for e in ("lb", "sg", "ub")) for a in uncertain}, mult, keep)
+
+
+def write(rf: RangeFrame, path: str, mode: str = "overwrite", partition: tuple[str, ...] = ()) -> None:
+    """Parquet, clustered as the rows are; the range schema goes in a column's metadata. partition: certain attributes
+    that become folders, so that a filter on them skips files."""
     df = rf.df.select(*rf.columns)
     df = df.withMetadata(RID, {"range_schema": rf.schema_json()})
-    df.write.mode(mode).parquet(path)
+    out = df.write.mode(mode)
+    (out.partitionBy(*partition) if partition else out).parquet(path)
+
+
+def write_bucketed(rf: RangeFrame, table: str, keys: tuple[str, ...], buckets: int, mode: str = "overwrite") -> None:
+    """A catalog table dealt and sorted by certain attributes, so that joins and groups on them need no exchange."""
+    df = rf.df.select(*rf.columns).withMetadata(RID, {"range_schema": rf.schema_json()})
+    df.write.mode(mode).bucketBy(buckets, *keys).sortBy(*keys).format("parquet").saveAsTable(table)
+
+
+def read_table(spark: SparkSession, table: str) -> RangeFrame:
+    df = spark.table(table)
+    attrs, unit = schema_from_json(df.schema[RID].metadata["range_schema"])
+    out = RangeFrame(df, attrs, unit)
+    return out.with_df(df.select(*out.columns))
 
 
 def read(spark: SparkSession, path: str) -> RangeFrame:
     df = spark.read.parquet(path)
     attrs, unit = schema_from_json(df.schema[RID].metadata["range_schema"])
-    return RangeFrame(df, attrs, unit)
+    out = RangeFrame(df, attrs, unit)
+    return out.with_df(df.select(*out.columns))

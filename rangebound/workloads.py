@@ -140,7 +140,7 @@ def heap_trace(s: SparkSession, d: str) -> DataFrame:
 HEAP_SETTINGS = tuple((u, r) for u in (1, 5) for r in (2_000, 15_000, 30_000))
 
 
-def heap_sweep(s: SparkSession, d: str, settings: tuple = HEAP_SETTINGS, most: int | None = None) -> DataFrame:
+def heap_sweep(s: SparkSession, d: str, settings: tuple = HEAP_SETTINGS, most: int | None = None, kinds: tuple[str, ...] = ("connected", "unconnected")) -> DataFrame:
     """The sweep of sum windows over [-2, 0] by price (ranges up to r dollars), with connected and unconnected heaps: comparisons, largest heap
     and a digest of the bounds. Chunks of 1,000 orders by id are swept each on its own; `most` orders in all (bench)."""
     o = read(s, d, "orders")
@@ -160,7 +160,7 @@ def heap_sweep(s: SparkSession, d: str, settings: tuple = HEAP_SETTINGS, most: i
         low = [bisect_left(ends, (a, i)) for a, _, i in recs]
         high = [bisect_left(starts, (b, i)) - (a < b) for a, b, i in recs]
         out = []
-        for name in ("connected", "unconnected"):
+        for name in kinds:
             got, n = window.sweep_windows([(p, q, 1, a, b, True, i) for (a, b, i), p, q in zip(recs, low, high, strict=True)], "sum", -2, 0, name == "connected")
             digest = sum(x[0] * 31 + x[1] * 7 + x[2] for x in got) % 1_000_000_007
             out.append((int(pdf["u"].iloc[0]), int(pdf["r"].iloc[0]), int(pdf["part"].iloc[0]), name, len(recs), digest, n["ops"], n["widest"]))

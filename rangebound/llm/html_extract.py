@@ -272,7 +272,8 @@ def fit(pages: DataFrame, html: str = "html", key: str = "page_id", sample: int
                     inside.update(got[0])
                     outside.update(got[1])
         names = sorted({*inside, *outside})
-        yield pd.DataFrame({"s": names, "a": [inside[x] for x in names], "b": [outside[x] for x in names]})
+        if names:
+            yield pd.DataFrame({"s": names, "a": [inside[x] for x in names], "b": [outside[x] for x in names]})
 
     counts = rows.mapInPandas(count, "s string, a long, b long").groupBy("s").agg(F.sum("a").alias("a"), F.sum("b").alias("b"))
     return learn({r["s"]: (r["a"], r["b"]) for r in counts.orderBy(F.desc(F.col("a") + F.col("b")), "s").limit(common).collect()})

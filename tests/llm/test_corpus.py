@@ -108,10 +108,15 @@ def test_posting_lists_longer_than_a_buffer(spark):
     assert {r["kind"]: r["count"] for r in found} == {0: 3, 1: 200_000}
 
 
-def test_components(spark):
-    links = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 101), (7, 7), (101, 100)], "u long, v long")
-    got = {r["id"]: r["component"] for r in components.components(links).collect()}
+@pytest.mark.parametrize("part", [components.PART, 7])
+def test_components(spark, part):
+    links = spark.createDataFrame([(i, i + 1) for i in range(40)] + [(100, 101), (7, 7), (101, 100), (None, 3)], "u long, v long")
+    got = {r["id"]: r["component"] for r in components.components(links, part=part).collect()}
     assert got == {i: 0 for i in range(41)} | {100: 100, 101: 100}
+    names = links.select(*[F.encode(F.lpad(F.col(c).cast("string"), 3, "0"), "utf-8").alias(c) for c in "uv"])
+    got = {int(r["id"]): int(r["component"]) for r in components.components(names, part=part).collect()}
+    assert got == {i: 0 for i in range(41)} | {100: 100, 101: 100}
+    assert components.components(links.where("false"), part=part).count() == 0
 
 
 def test_language_id(spark, docs):

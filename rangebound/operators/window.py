@@ -15,7 +15,7 @@ from dataclasses import dataclass, replace
 from itertools import count as counter
 
 import pandas as pd
-from pyspark.sql import Column, DataFrame
+from pyspark.sql import Column, DataFrame, Observation
 from pyspark.sql import Window as W
 from pyspark.sql import functions as F
 
@@ -29,6 +29,8 @@ from ..schema import DUP, MULT, RID, Attr, RangeFrame
 from .order import RankSpec, _dist, _events, _paired, order_keys, rank
 
 AGGREGATES = ("sum", "count", "min", "max", "avg")
+#: Pairs a row, besides those of its frame, up to which the band join is the cheaper plan.
+PAIRS_A_ROW = 64
 
 
 @dataclass(frozen=True)
@@ -590,7 +592,7 @@ def window(rf: RangeFrame, agg: str, arg: str | None, keys: Sequence[str], lo: i
     """Adds the aggregate as an attribute. Frame: rows lo to hi around each row, lo None for all before.
     naive: all pairs. rewrite: pairs, then two orders per owner; with an index (see band_index) the pairs come from it.
     bucket: pairs at the ends of windows, summaries of what lies between. pairs: band join on positions (also for
-    registered aggregates). onepass: the sweep. detail keeps the counts of members (and numerators and denominators of avg)."""
+    registered aggregates). auto: pairs if ranges of positions are short on average, else bucket. onepass: the sweep. detail keeps the counts of members (and numerators and denominators of avg)."""
     spec = WindowSpec(agg, arg, tuple(keys), 0 if lo is None else lo, hi, tuple(desc), tuple(partition), ties)
     if any(not rf.attr(p).certain for p in partition):
         if lo is None:
@@ -612,8 +614,15 @@ def window(rf: RangeFrame, agg: str, arg: str | None, keys: Sequence[str], lo: i
         elif method == "pairs":
             got = _bounds(_flag(_band(members, spec, width, None), spec), (RID, DUP), spec)
         else:
-            # Positions are read four times below; written once, their lineage ends there.
-            got = _summarised(materialise(members), spec, width, rf.df.agg(F.sum("_m_ub")).first()[0] or 0)
+            # Positions are read several times below; written once, their lineage ends there. What they count tells which
+            # plan is cheaper: a pair for each row within reach, or the fixed work of the summaries.
+            reach = Observation()
+            members = materialise(members.observe(reach, F.count(F.lit(1)).alias("n"), F.sum(F.col("p__ub") - F.col("p__lb")).alias("w")))
+            n, wide = reach.get["n"], reach.get["w"] or 0
+            if method == "auto" and 2 * wide <= PAIRS_A_ROW * n:
+                got = _bounds(_flag(_band(members, spec, width, None), spec), (RID, DUP), spec)
+            else:
+                got = _summarised(members, spec, width, rf.df.agg(F.sum("_m_ub")).first()[0] or 0)
     more = [c for c in got.columns if c.startswith("x_") and not c.startswith("x__")]
     got = got.select(RID, DUP, *[F.col(f"x__{e}").alias(f"{into}__{e}") for e in ("lb", "sg", "ub")], *([F.col(c).alias(c.replace("x_", f"{into}_", 1)) for c in more] if detail else []))
     ends = [f"{into}__{e}" for e in ("lb", "sg", "ub")]

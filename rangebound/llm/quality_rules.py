@@ -5,8 +5,9 @@ is made of transformed statistics, and a text far from the centre in Mahalanobis
 rejected. Everything is DataFrame expressions and aggregates; the statistics are whole numbers (thousandths), so
 sums, and with them all estimates, do not depend on the order of rows.
 
-Concentration starts at coordinate-wise medians and median deviations; each step keeps the share
-`h` of a group nearest to the centre and re-estimates from those. Distances are ranked on a fine
+Concentration starts at coordinate-wise medians and median deviations, and again at the moments of the half nearest to
+those; each step keeps the share `h` of a group nearest to the centre and re-estimates from those. The start
+that ends with the least determinant counts. Distances are ranked on a fine
 fixed grid, so a group of any size is a bounded histogram, never a sorted list. The last step
 reweights. A group of fewer than `least` texts takes its language's estimates.
 
@@ -183,18 +184,30 @@ def start(rows: DataFrame, cfg: McdConfig) -> DataFrame:
     return got.withColumns({f"l_{i}_{j}": F.lit(0.0) for i in range(d) for j in range(i)})
 
 
+def nearest(rows: DataFrame, params: DataFrame, share: float) -> DataFrame:
+    """Each group's share of rows nearest to its centre."""
+    placed = rows.join(params, "g").select("g", *FEATURES, F.floor(F.log1p(distance()) * 200).alias("bin"))
+    return placed.join(materialise(quantile_bins(placed, ["g"], "bin", share)), "g").where("bin <= cut")
+
+
 def fit(rows: DataFrame, cfg: McdConfig) -> DataFrame:
-    """rows: g and the statistics. Estimates by group: n, m_i, l_i_j. A group has one row, so
-    Spark broadcasts the estimates only while they are small."""
+    """rows: g and the statistics. Estimates by group: n, m_i, l_i_j. Concentration runs from each start, and a group takes
+    the estimate of least determinant. A group has one row, so Spark broadcasts the estimates only while they are small."""
     d = len(FEATURES)
     cut = chi2_quantile(cfg.h, d)
     grow = cfg.h / chi2_cdf(cut, d + 2)
-    params = materialise(start(rows, cfg))
-    far = F.floor(F.log1p(distance()) * 200).alias("bin")
-    for _ in range(cfg.steps):
-        placed = rows.join(params, "g").select("g", *FEATURES, far)
-        near = placed.join(materialise(quantile_bins(placed, ["g"], "bin", cfg.h)), "g").where("bin <= cut")
-        params = materialise(estimates(near, cfg, grow))
+    half = 0.5 / chi2_cdf(chi2_quantile(0.5, d), d + 2)
+    first = materialise(start(rows, cfg))
+    found = None
+    for i, begin in enumerate((first, estimates(nearest(rows, first, 0.5), cfg, half))):
+        params = first if i == 0 else materialise(begin)
+        for _ in range(cfg.steps):
+            params = materialise(estimates(nearest(rows, params, cfg.h), cfg, grow))
+        names = [c for c in params.columns if c != "g"]
+        spread = sum((F.log(F.col(f"l_{j}_{j}")) for j in range(d)), F.lit(0.0))
+        one = params.select("g", F.round(spread, 9).alias("spread"), F.lit(i).alias("from"), F.struct(*names).alias("p"))
+        found = one if found is None else found.unionByName(one)
+    params = materialise(found.groupBy("g").agg(F.min_by("p", F.struct("spread", "from")).alias("p")).select("g", "p.*"))
     q = 0.975
     limit = chi2_quantile(q, d)
     inner = rows.join(params, "g").where(distance() <= limit).select("g", *FEATURES)

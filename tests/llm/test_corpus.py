@@ -189,6 +189,22 @@ def test_outliers(spark):
     assert abs(quality_rules.chi2_quantile(0.95, 1) - 3.8415) < 1e-3 and abs(quality_rules.chi2_quantile(0.99, 5) - 15.0863) < 1e-3
 
 
+def test_least_determinant_over_starts(spark):
+    """A fifth of a group lies in a cluster of its own: estimates come from the others, and no single start has a smaller determinant."""
+    rng = random.Random(8)
+    rows = [(i, words(rng, rng.randint(60, 160)), "a", "s0", 0) for i in range(120)]
+    rows += [(1000 + i, " ".join(f"w{j}$$%" for j in range(rng.randint(70, 90))), "a", "s0", 0) for i in range(30)]
+    docs = spark.createDataFrame(rows, DOCS)
+    got = {r["doc_id"]: r["kept"] for r in quality_rules.judge(docs).collect()}
+    assert sum(got[i] for i in range(120)) >= 119 and not any(got[1000 + i] for i in range(30))
+    cfg = quality_rules.McdConfig()
+    stats = quality_rules.base_counts(docs).withColumns(quality_rules.statistics()).select(F.lit("g").alias("g"), *quality_rules.FEATURES)
+    det = lambda p: sum(np.log(p.first()[f"l_{j}_{j}"]) for j in range(5))
+    first = quality_rules.start(stats, cfg)
+    near = quality_rules.nearest(stats, first, cfg.h)
+    assert near.count() >= 0.75 * 150 and det(quality_rules.fit(stats, cfg)) < det(first)
+
+
 def test_warc_round_trip(spark, tmp_path):
     big = "<p>" + "text " * 60 + "</p>"
     rows = [(5, "u5", big), (3, "u3", big), (9, "u9", big), (1, "u1", "short"), (2, "u2", "short"), (4, "u\n4", None), (None, None, big + "é"), (6, None, "x" * 200_000)] + [(i, f"u{i}", f"<p>{i} {big}</p>") for i in range(20, 60)]

@@ -588,19 +588,22 @@ def _unbounded(members: DataFrame, spec: WindowSpec) -> DataFrame:
     return out.select(RID, DUP, "x__lb", F.least(F.greatest(F.coalesce("_g", "x__lb"), "x__lb"), "x__ub").alias("x__sg"), "x__ub", F.lit(-1).cast("long").alias("x_certain"), F.lit(-1).cast("long").alias("x_possible"), F.lit(0).alias("x_maybe_empty"))
 
 
-def window(rf: RangeFrame, agg: str, arg: str | None, keys: Sequence[str], lo: int | None, hi: int, partition: Sequence[str] = (), desc: Sequence[str] = (), method: str = "auto", into: str = "x", rank_method: str = "auto", ties: bool = True, width: int | None = None, chunk: int = 4096, index: DataFrame | None = None, detail: bool = False) -> RangeFrame:
-    """Adds the aggregate as an attribute. Frame: rows lo to hi around each row, lo None for all before.
+def window(rf: RangeFrame, agg: str, arg: str | None, keys: Sequence[str], lo: int | None, hi: int, partition: Sequence[str] = (), desc: Sequence[str] = (), method: str = "auto", into: str = "x", rank_method: str = "auto", ties: bool = True, width: int | None = None, chunk: int = 4096, index: DataFrame | None = None, detail: bool = False, ranked: bool = False) -> RangeFrame:
+    """Adds the aggregate as an attribute. ranked: rf has positions already, by the same keys and partition (the
+    result of rank, or of a window before), so windows in sequence rank once. Frame: rows lo to hi around each row, lo None for all before.
     naive: all pairs. rewrite: pairs, then two orders per owner; with an index (see band_index) the pairs come from it.
     bucket: pairs at the ends of windows, summaries of what lies between. pairs: band join on positions (also for
     registered aggregates). auto: pairs if ranges of positions are short on average, else bucket. onepass: the sweep. detail keeps the counts of members (and numerators and denominators of avg)."""
     spec = WindowSpec(agg, arg, tuple(keys), 0 if lo is None else lo, hi, tuple(desc), tuple(partition), ties)
+    if ranked and any(not rf.attr(p).certain for p in partition):
+        raise ValueError("windows of uncertain partitions have positions for each partition, and can't share them")
     if any(not rf.attr(p).certain for p in partition):
         if lo is None:
             raise ValueError("an unbounded start needs certain partitions")
         got = _uncertain_partition(rf, spec)
         unit = rf.split()
     else:
-        unit = rank(rf, keys, desc, partition, rank_method, ties=ties)
+        unit = rf if ranked else rank(rf, keys, desc, partition, rank_method, ties=ties)
         members = _members(unit, spec)
         if lo is None:
             got = _unbounded(members, spec)

@@ -145,12 +145,17 @@ def most_likely_topk(rf: RangeFrame, keys: Sequence[str], k: int, desc: Sequence
     return best.select(F.posexplode("ids").alias("place", RID), "n")
 
 
-def exact_topk_lists(rf: RangeFrame, key: str, k: int, limit: int = 20_000) -> list[tuple[tuple[int, ...], float]]:
-    """All ordered top-k lists of a tiny frame with their share of worlds, likeliest first."""
+def topk_lists(rf: RangeFrame, key: str, k: int, limit: int = 20_000) -> list[tuple[tuple[int, ...], int]]:
+    """All ordered top-k lists of a tiny frame with the number of worlds that have them, most first."""
     rows = few_rows(rf)
     names = [a.name for a in rf.attrs]
     at = 2 + names.index(key)
     seen: Counter = Counter(tuple(r[0] for r in sorted(w, key=lambda r: (r[at], r[0], r[1]))[:k]) for w in worlds_of(rows, [(a.name, a.certain) for a in rf.attrs], limit))
-    total = sum(seen.values())
-    return sorted(((ids, n / total) for ids, n in seen.items()), key=lambda x: (-x[1], x[0]))
+    return sorted(seen.items(), key=lambda x: (-x[1], x[0]))
+
 
+def exact_topk_lists(rf: RangeFrame, key: str, k: int, limit: int = 20_000) -> list[tuple[tuple[int, ...], float]]:
+    """The same with their share of worlds."""
+    lists = topk_lists(rf, key, k, limit)
+    total = sum(n for _, n in lists)
+    return [(ids, n / total) for ids, n in lists]

@@ -21,6 +21,7 @@ from .operators import order, window
 from .plans import baselines as B
 from .plans import det
 from .plans import sql as S
+from .plans.scratch import materialise
 from .schema import DUP, RID, RangeFrame
 from .sources import ingest
 from .sources.ingest import cents
@@ -225,6 +226,47 @@ add(
     lambda s, d: window.window(customers(s, d, 20, 10_000, 10, 10), "avg", "bal", ["bal"], -2, 0, detail=True).df.select(RID, DUP, "x_low_sum", "x_low_n", "x_high_sum", "x_high_n"),
     window_sql(CUSTOMERS(20, 10_000, 10, 10), "avg", -2, 0),
 )
+for _a in ("count", "min", "max"):
+    add(f"window_{_a}_rewrite", lambda s, d, a=_a: spans(window.window(suppliers(s, d, 20, 1_000_000, 10, 10), a, None if a == "count" else "bal", ["bal"], -2, 0, method="rewrite")), window_sql(SUPPLIERS(20, 1_000_000, 10, 10), _a, -2, 0))
+
+
+def _indexed(s: SparkSession, d: str) -> DataFrame:
+    """The rewrite whose pairs come from a range index that has been written before."""
+    rf = customers(s, d, 20, 10_000, 10, 10)
+    spec = window.WindowSpec("sum", "bal", ("bal",), -2, 0)
+    index = materialise(window.band_index(window._members(order.rank(rf, ["bal"]), spec), 16))
+    return spans(window.window(rf, "sum", "bal", ["bal"], -2, 0, method="rewrite", index=index, width=16))
+
+
+add("window_sum_rewrite_index", _indexed, window_sql(CUSTOMERS(20, 10_000, 10, 10), "sum", -2, 0))
+add("window_sum_wide", lambda s, d: spans(window.window(customers(s, d, 20, 1_000_000, 10, 10), "sum", "bal", ["bal"], -2, 0, method="bucket")), window_sql(CUSTOMERS(20, 1_000_000, 10, 10), "sum", -2, 0))
+_GUESS = window_sql(CUSTOMERS(20, 10_000, 10, 10), "sum", -2, 0).rpartition(" SELECT ")
+add(
+    "window_guess",
+    lambda s, d: window.window(customers(s, d, 20, 10_000, 10, 10), "sum", "bal", ["bal"], -2, 0).df.select(RID, DUP, "x__lb", "x__sg", "x__ub"),
+    f"""{_GUESS[0]}, x AS (SELECT {_GUESS[2]}), g AS (SELECT t.rid AS _rid, t.dup AS _dup, CAST(sum(s.sg) AS BIGINT) AS g FROM p t JOIN p s ON s.pg BETWEEN t.pg - 2 AND t.pg WHERE t.wg = 1 AND s.wg = 1 GROUP BY t.rid, t.dup)
+SELECT _rid, _dup, x__lb, least(greatest(coalesce(g, 0), x__lb), x__ub) AS x__sg, x__ub FROM x LEFT JOIN g USING (_rid, _dup)""",
+)
+_SUM, _MIN = (window_sql(CUSTOMERS(20, 10_000, 10), a, -2, 0) for a in ("sum", "min"))
+
+
+def _sequence(s: SparkSession, d: str) -> DataFrame:
+    """Two windows over one ranking."""
+    one = window.window(customers(s, d, 20, 10_000, 10), "sum", "bal", ["bal"], -2, 0)
+    return window.window(one, "min", "bal", ["bal"], -2, 0, into="least", ranked=True).df.select(RID, DUP, "x__lb", "x__ub", "least__lb", "least__ub")
+
+
+add("window_sequence", _sequence, f"SELECT a.*, b.x__lb AS least__lb, b.x__ub AS least__ub FROM ({_SUM}) a JOIN ({_MIN}) b USING (_rid, _dup)")
+window.register_aggregate(
+    "positives",
+    lambda sure, maybe, slots: F.size(F.filter(sure, lambda x: x > 0)).cast("long"),
+    lambda sure, maybe, slots: F.size(F.filter(sure, lambda x: x > 0)) + F.least(slots, F.size(F.filter(maybe, lambda x: x > 0)).cast("long")),
+)
+add(
+    "window_registered",
+    lambda s, d: spans(window.window(customers(s, d, 20, 10_000, 10, 10), "positives", "bal", ["bal"], -2, 0)),
+    f"{window_sql(CUSTOMERS(20, 10_000, 10, 10), 'sum', -2, 0).rpartition(' SELECT ')[0]} SELECT rid AS _rid, dup AS _dup, CAST(sum(CASE WHEN c AND vl > 0 THEN 1 ELSE 0 END) AS BIGINT) AS x__lb, CAST(sum(CASE WHEN c AND vh > 0 THEN 1 ELSE 0 END) + least(max(3 - nc), sum(CASE WHEN NOT c AND vh > 0 THEN 1 ELSE 0 END)) AS BIGINT) AS x__ub FROM n GROUP BY rid, dup",
+)
 add("window_follow", lambda s, d: spans(window.window(customers(s, d, 20, 10_000, 10), "sum", "bal", ["bal"], 0, 3)), window_sql(CUSTOMERS(20, 10_000, 10), "sum", 0, 3))
 add("window_both", lambda s, d: spans(window.window(customers(s, d, 20, 10_000, 10), "sum", "bal", ["bal"], -1, 1, method="onepass")), window_sql(CUSTOMERS(20, 10_000, 10), "sum", -1, 1))
 add("window_part_certain", lambda s, d: spans(window.window(customers(s, d, 20, 100_000, 10, 10, keep=("c_nationkey",)), "sum", "bal", ["bal"], -2, 0, partition=["c_nationkey"])), window_sql(CUSTOMERS(20, 100_000, 10, 10, keep="c_nationkey"), "sum", -2, 0, part="c_nationkey"))
@@ -436,6 +478,21 @@ SELECT rid AS _rid, CAST(0 AS INTEGER) AS _dup, lb, ub, lb AS pos__lb, ub AS pos
 )
 
 
+_REGIONS = box_sql("(SELECT n_regionkey, CAST(floor(sum(s_acctbal) / 1000) AS BIGINT) AS v FROM supplier JOIN nation ON n_nationkey = s_nationkey GROUP BY n_regionkey)", "n_regionkey", "v", 100, 5)
+add(
+    "wl_sales_top2",
+    X.sales_top2,
+    f"""WITH RECURSIVE f AS (SELECT *, row_number() OVER (ORDER BY rid) AS i FROM ({_REGIONS})), o AS (SELECT i, rid, unnest(range(lb, ub + 1)) AS v FROM f),
+w AS (SELECT CAST(0 AS BIGINT) AS i, CAST([] AS STRUCT(v BIGINT, rid BIGINT)[]) AS xs UNION ALL SELECT o.i, list_append(xs, {{'v': o.v, 'rid': o.rid}}) FROM w JOIN o ON o.i = w.i + 1),
+t AS (SELECT list_transform(list_sort(xs)[1:2], lambda x: x.rid) AS ids FROM w WHERE i = (SELECT max(i) FROM f)),
+n AS (SELECT count(*) AS n FROM t), l AS (SELECT ids, count(*) AS k FROM t GROUP BY ids ORDER BY k DESC, ids LIMIT 1),
+e AS (SELECT unnest(ids) AS _rid, generate_subscripts(ids, 1) - 1 AS place FROM t), c AS (SELECT place, _rid, count(*) AS k FROM e GROUP BY place, _rid),
+r AS (SELECT *, row_number() OVER (PARTITION BY place ORDER BY k DESC, _rid) AS i FROM c), m AS (SELECT _rid, sum(k) AS k FROM c GROUP BY _rid)
+SELECT 'likeliest list' AS semantics, CAST(generate_subscripts(ids, 1) - 1 AS INTEGER) AS place, unnest(ids) AS _rid, CAST(k AS BIGINT) AS worlds FROM l UNION ALL SELECT 'likeliest at place', CAST(place AS INTEGER), _rid, CAST(k AS BIGINT) FROM r WHERE i = 1
+UNION ALL SELECT 'certain member', NULL, _rid, CAST(k AS BIGINT) FROM m, n WHERE k = n.n UNION ALL SELECT 'possible member', NULL, _rid, CAST(k AS BIGINT) FROM m""",
+)
+
+
 def _sort_quality(s: SparkSession, d: str) -> DataFrame:
     """Positions against tight ones: those of the pair count, which no world can exceed and some world reaches."""
     rf = suppliers(s, d, 20, 1_000_000)

@@ -113,6 +113,27 @@ def exact_positions(s: SparkSession, d: str) -> DataFrame:
     return B.exact_positions(rf, "bal").join(order.rank(rf, ["bal"]).df.select(RID, DUP, "pos__lb", "pos__ub"), [RID, DUP])
 
 
+def sales_top2(s: SparkSession, d: str) -> DataFrame:
+    """The two regions of least supplier balance, in thousands, each known to lie in a range: the list that most worlds have, who
+    most often holds each place, and who is certainly and possibly among the two. All worlds of the five regions are tried."""
+    by = read(s, d, "supplier").join(read(s, d, "nation"), F.col("n_nationkey") == F.col("s_nationkey")).groupBy("n_regionkey").agg(F.floor(F.sum("s_acctbal") / 1000).cast("long").alias("v"))
+    rf = ingest.inject(by, "n_regionkey", {"v": F.col("v")}, 100, 5)
+    lists = B.topk_lists(rf, "v", 2)
+    out = [("likeliest list", i, r, n) for ids, n in lists[:1] for i, r in enumerate(ids)]
+    held: dict[tuple[int, int], int] = {}
+    for ids, n in lists:
+        for place, r in enumerate(ids):
+            held[place, r] = held.get((place, r), 0) + n
+    for place in range(2):
+        n, r = max((n, -r) for (p, r), n in held.items() if p == place)
+        out.append(("likeliest at place", place, -r, n))
+    total = sum(n for _, n in lists)
+    for r in sorted({r for _, r in held}):
+        n = sum(v for (_, x), v in held.items() if x == r)
+        out += [("possible member", None, r, n)] + ([("certain member", None, r, n)] if n == total else [])
+    return s.createDataFrame(out, f"semantics string, place int, {RID} long, worlds long")
+
+
 def heap_trace(s: SparkSession, d: str) -> DataFrame:
     """The same pops from connected and unconnected heaps over line item prices, and the comparisons each made. All
     line items are replayed, in traces of a fixed number of order ids, so traces don't grow with the table."""

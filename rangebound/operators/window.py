@@ -29,8 +29,9 @@ from ..schema import DUP, MULT, RID, Attr, RangeFrame
 from .order import RankSpec, _dist, _events, _paired, order_keys, rank
 
 AGGREGATES = ("sum", "count", "min", "max", "avg")
-#: Pairs a row, besides those of its frame, up to which the band join is the cheaper plan.
-PAIRS_A_ROW = 64
+#: Pairs a row, besides those of its frame, up to which the band join is the cheaper plan: 150,000 orders took 5.1 s and
+#: 8.6 s (pairs, summaries) at some 25 pairs a row, 10.1 s and 12.9 s at some 300.
+PAIRS_A_ROW = 512
 
 
 @dataclass(frozen=True)

@@ -43,7 +43,8 @@ class JoinConfig:
     """words: of a shingle; percent: least Jaccard similarity; deepest: largest l; verify: cost of
     verifying a candidate, in postings; short: longest posting list whose pairs are counted one by one;
     block: documents of a block, weight: its shingles; leaders: documents put into each block of a cluster;
-    cells: of the sketch (a power of two); bits: of the bitmap of ids."""
+    cells: least of the sketch (a power of two), load: shingles a cell at most, while there are no more than `most_cells`;
+    bits: of the bitmap of ids."""
 
     words: int = 5
     percent: int = 80
@@ -54,10 +55,12 @@ class JoinConfig:
     weight: int = 1 << 20
     leaders: int = 16
     cells: int = 1 << 20
+    load: int = 32
+    most_cells: int = 1 << 26
     bits: int = 1 << 23
 
 
-SKETCH_PARTS = 16
+SKETCH_PARTS = 64
 #: Places in the order that a posting tells apart.
 PLACES = 4095
 
@@ -87,59 +90,95 @@ def _binary(sig: np.ndarray) -> pa.Array:
 PROFILE = "id long, n long, sig binary, cid long, part int, cells binary"
 
 
+def _added(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
+    """(cells in order, counts) of all parts together."""
+    cells, counts = (np.concatenate(x) for x in zip(*parts, strict=True))
+    order = np.argsort(cells, kind="stable")
+    cells, counts = cells[order], counts[order]
+    first = np.flatnonzero(np.concatenate([[True], cells[1:] != cells[:-1]])) if len(cells) else np.zeros(0, np.int64)
+    return cells[first], np.add.reduceat(counts, first) if len(first) else counts
+
+
+def _planes(x: np.ndarray) -> bytes:
+    """Whole numbers byte by byte, low bytes first: high ones are mostly zero."""
+    return np.ascontiguousarray(x.astype("<u4").view(np.uint8).reshape(-1, 4).T).tobytes()
+
+
+def _from_planes(raw: bytes) -> np.ndarray:
+    return np.ascontiguousarray(np.frombuffer(raw, np.uint8).reshape(4, -1).T).view("<u4").ravel().astype(np.int64)
+
+
 def profile(docs: DataFrame, cfg: JoinConfig) -> DataFrame:
     """docs: (id, text). A row for each document: id, n, the signature of its set and the first half of that
-    as a number (cid); and rows with the parts of each task's sketch (part, cells)."""
-    shift = np.uint64(64 - cfg.cells.bit_length() + 1)
+    as a number (cid); and rows with the parts of each task's sketch (part, cells): the cells that it has met, of the
+    finest sketch there may be, as steps and counts."""
+    shift = np.uint64(64 - cfg.most_cells.bit_length() + 1)
     names = ["id", "n", "sig", "cid", "part", "cells"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
-        cells = np.zeros(cfg.cells, dtype=np.int64)
+        met: list[tuple[np.ndarray, np.ndarray]] = []
         wait: list[np.ndarray] = []
         held = 0
+
+        def fold() -> None:
+            cells, counts = np.unique(np.concatenate(wait), return_counts=True)
+            met.append((cells, counts.astype(np.uint32)))
+            while len(met) > 1 and len(met[-1][0]) * 2 > len(met[-2][0]):
+                met[-2:] = [_added(met[-2:])]
+
         for b in batches:
             n_all = np.zeros(b.num_rows, dtype=np.int64)
             sig = np.zeros((b.num_rows, 2), dtype=np.uint64)
             for i, j, v, n in sets(b.column(1), cfg.words):
                 n_all[i:j] = n
                 sig[i:j] = signatures(v, n)
-                wait.append((v >> shift).astype(np.int64))
+                wait.append((v >> shift).astype(np.uint32))
                 held += len(v)
                 if held > 1 << 21:
-                    cells += np.bincount(np.concatenate(wait), minlength=cfg.cells)
+                    fold()
                     wait, held = [], 0
             cid = np.ascontiguousarray(sig[:, 0]).view(np.int64)
             yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n_all), _binary(sig), pa.array(cid), pa.nulls(b.num_rows, pa.int32()), pa.nulls(b.num_rows, pa.binary())], names)
-        if wait:
-            cells += np.bincount(np.concatenate(wait), minlength=cfg.cells)
-        if cells.any():
+        if held:
+            fold()
+        if met:
+            cells, counts = _added(met)
             pack = zstandard.ZstdCompressor(level=1)
-            rows = [pack.compress(x.tobytes()) for x in np.split(cells, SKETCH_PARTS)]
+            size = cfg.most_cells // SKETCH_PARTS
+            ends = np.searchsorted(cells, np.arange(SKETCH_PARTS + 1) * size)
+            rows = [pack.compress(_planes(np.diff(cells[i:j], prepend=np.uint32(0))) + _planes(counts[i:j])) for i, j in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
             null = pa.nulls(SKETCH_PARTS, pa.int64())
             yield pa.RecordBatch.from_arrays([null, null, pa.nulls(SKETCH_PARTS, pa.binary()), null, pa.array(range(SKETCH_PARTS), pa.int32()), pa.array(rows, pa.binary())], names)
 
     return docs.mapInArrow(run, PROFILE)
 
 
-def sketch(profiled: DataFrame, cfg: JoinConfig) -> np.ndarray:
-    """Sum of the tasks' sketches: streamed by part, then cfg.cells counts to the driver."""
+def sketch(profiled: DataFrame, cfg: JoinConfig) -> tuple[np.ndarray, float]:
+    """(frequency class of each cell, mean count of a cell): the tasks' sketches, streamed by part. The more shingles
+    there are, the more cells, or all would look alike frequent; a cell takes a byte on the driver."""
+    total = profiled.agg(F.sum("n")).first()[0] or 0
+    cells = cfg.cells
+    while cells < cfg.most_cells and cells * cfg.load < total:
+        cells *= 2
+    shift, size = (cfg.most_cells // cells).bit_length() - 1, cells // SKETCH_PARTS
 
     def add(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         acc: dict[int, np.ndarray] = {}
         unpack = zstandard.ZstdDecompressor()
         for b in batches:
-            for part, raw in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
-                x = np.frombuffer(unpack.decompress(raw), dtype=np.int64)
-                acc[part] = acc[part] + x if part in acc else x
-        if acc:
-            yield pa.RecordBatch.from_arrays([pa.array(list(acc), pa.int32()), pa.array([x.tobytes() for x in acc.values()], pa.binary())], ["part", "cells"])
+            for part, packed in zip(b.column(0).to_pylist(), b.column(1).to_pylist(), strict=True):
+                raw = unpack.decompress(packed)
+                at = (np.cumsum(_from_planes(raw[: len(raw) // 2])) >> shift) - part * size
+                np.add.at(acc.setdefault(part, np.zeros(size, dtype=np.int64)), at, _from_planes(raw[len(raw) // 2 :]))
+        for part, x in acc.items():
+            kind = np.floor(2 * np.log2(np.maximum(x, 1))).astype(np.uint8)
+            yield pa.RecordBatch.from_arrays([pa.array([part], pa.int32()), pa.array([kind.tobytes()], pa.binary())], ["part", "cells"])
 
     rows = profiled.where("part is not null").select("part", "cells").repartition(SKETCH_PARTS, "part").mapInArrow(add, "part int, cells binary").toLocalIterator()
-    out = np.zeros(cfg.cells, dtype=np.int64)
-    size = cfg.cells // SKETCH_PARTS
+    out = np.zeros(cells, dtype=np.uint8)
     for r in rows:
-        out[r["part"] * size : (r["part"] + 1) * size] += np.frombuffer(r["cells"], dtype=np.int64)
-    return out
+        out[r["part"] * size : (r["part"] + 1) * size] = np.frombuffer(r["cells"], dtype=np.uint8)
+    return out, total / cells
 
 
 def _depth(own: np.ndarray, cost: np.ndarray, cfg: JoinConfig) -> tuple[int, int]:
@@ -152,15 +191,14 @@ def _depth(own: np.ndarray, cost: np.ndarray, cfg: JoinConfig) -> tuple[int, int
     return 1 + int(np.argmin([spend[first + k - 1] * (1 + cfg.verify / (k + 1)) for k in range(top)])), first
 
 
-def postings(docs: DataFrame, counts: np.ndarray, cfg: JoinConfig) -> DataFrame:
+def postings(docs: DataFrame, counts: tuple[np.ndarray, float], cfg: JoinConfig) -> DataFrame:
     """docs: (id, text). (token, cid, n) for each token of each class's prefix in the common order. A token is a shingle's
     frequency class and hash, in 48 bits (that two share one costs a comparison, no more), then l in 4 and its place in the
     order, or PLACES if it is later, in 12. A task posts a class once, however many of its rows are copies."""
-    classes = np.floor(2 * np.log2(np.maximum(counts, 1))).astype(np.uint64)
-    load = max(1.0, float(counts.mean()))
+    classes, load = counts[0], max(1.0, counts[1])
     costs = 1 + np.maximum(0.0, 2.0 ** (np.arange(128) / 2) - 2 * load)
-    shared = docs.sparkSession.sparkContext.broadcast((classes.astype(np.uint8), costs))
-    shift = np.uint64(64 - cfg.cells.bit_length() + 1)
+    shared = docs.sparkSession.sparkContext.broadcast((classes, costs))
+    shift = np.uint64(64 - len(classes).bit_length() + 1)
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         cls, cost = shared.value

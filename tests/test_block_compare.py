@@ -29,3 +29,13 @@ def test_naive_by_blocks(spark, monkeypatch):
         got = by("naive")
         assert not lists_pairs(got)
         assert rows(got) == rows(by("pairs"))
+
+
+def test_rewrite_by_blocks(spark, monkeypatch):
+    monkeypatch.setattr(compare, "BLOCK", 64)
+    rf = frame(spark)
+    for agg in ("sum", "count", "min", "max"):
+        by = lambda m: window.window(rf, agg, None if agg == "count" else "v", ["v"], -2, 0, method=m, detail=True)  # noqa: B023, E731
+        got = by("rewrite")
+        assert not lists_pairs(got)
+        assert rows(got) == rows(by("pairs"))

@@ -2,7 +2,7 @@
 
 from pyspark.sql import functions as F
 
-from rangebound.operators import window
+from rangebound.operators import order, window
 from rangebound.plans import compare
 from rangebound.sources import ingest
 
@@ -39,3 +39,23 @@ def test_rewrite_by_blocks(spark, monkeypatch):
         got = by("rewrite")
         assert not lists_pairs(got)
         assert rows(got) == rows(by("pairs"))
+
+
+def test_index_has_each_member_once(spark):
+    rf = frame(spark)
+    spec = window.WindowSpec("sum", "v", ("v",), -2, 0)
+    members = window._members(order.rank(rf, ["v"]), spec)
+    index = window.band_index(members, 2).cache()
+    assert index.count() == members.count()
+    by = lambda **kw: window.window(rf, "sum", "v", ["v"], -2, 0, detail=True, **kw)
+    assert rows(by(method="rewrite", index=index, width=2)) == rows(by(method="pairs"))
+
+
+def test_registered_without_pairs(spark, monkeypatch):
+    monkeypatch.setattr(compare, "LISTED", 16)
+    window.register_aggregate("members", lambda sure, maybe, slots: F.size(sure).cast("long"), lambda sure, maybe, slots: (F.size(sure) + F.size(maybe)).cast("long"))
+    rf = frame(spark)
+    got = window.window(rf, "members", "v", ["v"], -2, 0, detail=True)
+    assert "collect_list" not in got.df._jdf.queryExecution().executedPlan().toString()
+    assert all(r[2] == r[5] and r[4] == r[5] + r[6] for r in rows(got))
+    assert [r[5:] for r in rows(got)] == [r[5:] for r in rows(window.window(rf, "count", None, ["v"], -2, 0, method="pairs", detail=True))]

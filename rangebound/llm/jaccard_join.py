@@ -11,6 +11,8 @@ From postings to links without listing the pairs of a group:
 - postings are dealt by token and read in order, so that no long list is held: a short list gives its pairs; pairs with
   l shared postings are candidates; a long list gives edges from its members to the first of like length, but only
   from those that are in so many long lists that these alone may make l;
+- a counted pair is an edge only if bitmaps of both sets leave room for a link: what one's bitmap has and the other's has
+  not is surely not shared, so this drops pairs that cannot link, and no other;
 - candidate edges give clusters, and a cluster is dealt in blocks of bounded size, with a few leaders in each.
   There an inverted index finds all partners of one document at a time, and documents of the largest
   component found so far need not be asked: their partners outside it ask for them;
@@ -87,7 +89,33 @@ def _binary(sig: np.ndarray) -> pa.Array:
     return pa.array([x.tobytes() for x in np.ascontiguousarray(sig)], pa.binary())
 
 
-PROFILE = "id long, n long, sig binary, cid long, part int, cells binary"
+def bitmaps(v: np.ndarray, n: np.ndarray) -> list[bytes]:
+    """For each document a bitmap of its shingles' low bits: the least power of two that has two bits for each, 64 at least."""
+    size = np.array([max(64, 1 << int(2 * x - 1).bit_length()) if x else 64 for x in n.tolist()], dtype=np.int64)
+    end = np.cumsum(size)
+    at = np.repeat(end - size, n) + (v & np.repeat(size - 1, n).astype(np.uint64)).astype(np.int64)
+    flags = np.zeros(int(size.sum()), dtype=bool)
+    flags[at] = True
+    packed = np.packbits(flags, bitorder="little").tobytes()
+    return [packed[(e - s) // 8 : e // 8] for e, s in zip(end.tolist(), size.tolist(), strict=True)]
+
+
+def may_link(n: int, bits: bytes, m: int, other: bytes, percent: int) -> bool:
+    """False only for sets (of n and m shingles, with these bitmaps) that surely don't link. The finer bitmap is folded."""
+    x, y = int.from_bytes(bits, "little"), int.from_bytes(other, "little")
+    a, b = 8 * len(bits), 8 * len(other)
+    while a > b:
+        a //= 2
+        x = (x >> a) | (x & ((1 << a) - 1))
+    while b > a:
+        b //= 2
+        y = (y >> b) | (y & ((1 << b) - 1))
+    both = (x & y).bit_count()
+    most = min(n - x.bit_count() + both, m - y.bit_count() + both)
+    return 100 * most >= percent * (n + m - most)
+
+
+PROFILE = "id long, n long, sig binary, cid long, bits binary, part int, cells binary"
 
 
 def _added(parts: list[tuple[np.ndarray, np.ndarray]]) -> tuple[np.ndarray, np.ndarray]:
@@ -109,11 +137,11 @@ def _from_planes(raw: bytes) -> np.ndarray:
 
 
 def profile(docs: DataFrame, cfg: JoinConfig) -> DataFrame:
-    """docs: (id, text). A row for each document: id, n, the signature of its set and the first half of that
-    as a number (cid); and rows with the parts of each task's sketch (part, cells): the cells that it has met, of the
+    """docs: (id, text). A row for each document: id, n, the signature of its set, the first half of that
+    as a number (cid) and its bitmap; and rows with the parts of each task's sketch (part, cells): the cells that it has met, of the
     finest sketch there may be, as steps and counts."""
     shift = np.uint64(64 - cfg.most_cells.bit_length() + 1)
-    names = ["id", "n", "sig", "cid", "part", "cells"]
+    names = ["id", "n", "sig", "cid", "bits", "part", "cells"]
 
     def run(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
         met: list[tuple[np.ndarray, np.ndarray]] = []
@@ -129,16 +157,18 @@ def profile(docs: DataFrame, cfg: JoinConfig) -> DataFrame:
         for b in batches:
             n_all = np.zeros(b.num_rows, dtype=np.int64)
             sig = np.zeros((b.num_rows, 2), dtype=np.uint64)
+            bits: list[bytes] = []
             for i, j, v, n in sets(b.column(1), cfg.words):
                 n_all[i:j] = n
                 sig[i:j] = signatures(v, n)
+                bits += bitmaps(v, n)
                 wait.append((v >> shift).astype(np.uint32))
                 held += len(v)
                 if held > 1 << 21:
                     fold()
                     wait, held = [], 0
             cid = np.ascontiguousarray(sig[:, 0]).view(np.int64)
-            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n_all), _binary(sig), pa.array(cid), pa.nulls(b.num_rows, pa.int32()), pa.nulls(b.num_rows, pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([b.column(0), pa.array(n_all), _binary(sig), pa.array(cid), pa.array(bits, pa.binary()), pa.nulls(b.num_rows, pa.int32()), pa.nulls(b.num_rows, pa.binary())], names)
         if held:
             fold()
         if met:
@@ -148,7 +178,7 @@ def profile(docs: DataFrame, cfg: JoinConfig) -> DataFrame:
             ends = np.searchsorted(cells, np.arange(SKETCH_PARTS + 1) * size)
             rows = [pack.compress(_planes(np.diff(cells[i:j], prepend=np.uint32(0))) + _planes(counts[i:j])) for i, j in zip(ends[:-1].tolist(), ends[1:].tolist(), strict=True)]
             null = pa.nulls(SKETCH_PARTS, pa.int64())
-            yield pa.RecordBatch.from_arrays([null, null, pa.nulls(SKETCH_PARTS, pa.binary()), null, pa.array(range(SKETCH_PARTS), pa.int32()), pa.array(rows, pa.binary())], names)
+            yield pa.RecordBatch.from_arrays([null, null, pa.nulls(SKETCH_PARTS, pa.binary()), null, pa.nulls(SKETCH_PARTS, pa.binary()), pa.array(range(SKETCH_PARTS), pa.int32()), pa.array(rows, pa.binary())], names)
 
     return docs.mapInArrow(run, PROFILE)
 
@@ -326,8 +356,25 @@ def _stars(members: DataFrame, percent: int) -> DataFrame:
     return members.select("token", "n", "cid").repartition(n_parts, "token").sortWithinPartitions("token", "n", "cid").mapInArrow(run, "u long, v long").distinct()
 
 
-def candidates(post: DataFrame, cfg: JoinConfig) -> DataFrame:
-    """Edges (u, v) between classes that have to meet, over cid: all pairs that share enough of their prefixes, and more.
+def likely(pairs: DataFrame, rows: DataFrame, percent: int) -> DataFrame:
+    """The pairs (u, v) of cids whose bitmaps leave room for a link. rows: (n, sig, cid, bits), repeated or not; should
+    two sets share a cid, a pair of either stays."""
+    ids = pairs.select(F.col("u").alias("cid")).union(pairs.select(F.col("v").alias("cid"))).distinct()
+    own = materialise(rows.join(ids, "cid", "left_semi").groupBy("cid", "sig", "n").agg(F.first("bits").alias("bits")).drop("sig"))
+    side = lambda c: own.select(F.col("cid").alias(c), F.col("n").alias(f"n_{c}"), F.col("bits").alias(f"bits_{c}"))
+
+    def test(batches: Iterator[pa.RecordBatch]) -> Iterator[pa.RecordBatch]:
+        for b in batches:
+            ok = [may_link(*x, percent) for x in zip(*(b.column(i).to_pylist() for i in range(2, 6)), strict=True)]
+            yield pa.RecordBatch.from_arrays([b.column(i).filter(pa.array(ok, pa.bool_())) for i in range(2)], ["u", "v"])
+
+    both = pairs.join(side("u"), "u").join(side("v"), "v").select("u", "v", "n_u", "bits_u", "n_v", "bits_v")
+    return both.mapInArrow(test, "u long, v long")
+
+
+def candidates(post: DataFrame, cfg: JoinConfig, rows: DataFrame | None = None) -> DataFrame:
+    """Edges (u, v) between classes that have to meet, over cid: all pairs that share enough of their prefixes and, given
+    rows (see likely), whose bitmaps allow it, and more.
 
     Pairs that share a short list are counted, with the long lists that both are in. A pair that shares long lists
     alone shares `deepest` of them, or one has a smaller l: so each class brings its first long lists but deepest - 1,
@@ -341,7 +388,10 @@ def candidates(post: DataFrame, cfg: JoinConfig) -> DataFrame:
     odd = posted.where("odd").select("token").distinct()
     first = posted.where(~F.col("odd") & (F.col("pos") <= F.col("m") - cfg.deepest))
     members = first.select("token", "n", "cid").union(posted.join(odd, "token", "left_semi").select("token", "n", "cid"))
-    return pairs.where("k >= l").select("u", "v").union(few.select("u", "v")).union(_stars(members, cfg.percent))
+    counted = pairs.where("k >= l").select("u", "v").union(few.select("u", "v"))
+    if rows is not None:
+        counted = likely(materialise(counted), rows, cfg.percent)
+    return counted.union(_stars(members, cfg.percent))
 
 
 class Tile:
@@ -527,9 +577,9 @@ def groups(docs: DataFrame, cfg: JoinConfig = JoinConfig(), key: str = "doc_id",
     by links, itself included."""
     docs = docs.select(F.col(key).cast("long").alias("id"), F.col(text).alias("text"))
     seen = materialise(profile(docs, cfg))
-    rows = seen.where("part is null").select("id", "n", "sig", "cid")
+    rows = seen.where("part is null").select("id", "n", "sig", "cid", "bits")
     heads = materialise(rows.where("n > 0 and id is not null").groupBy("sig", "cid", "n").agg(F.min("id").alias("head")))
-    clusters = components(candidates(postings(docs, sketch(seen, cfg), cfg), cfg))
+    clusters = components(candidates(postings(docs, sketch(seen, cfg), cfg), cfg, rows))
     found = classes(docs, heads, clusters, cfg)
     discard(clusters)
     named = heads.join(found.withColumnRenamed("id", "sig"), "sig", "left").select("sig", "head", F.coalesce("component", "sig").alias("component"))
